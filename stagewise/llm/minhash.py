@@ -8,10 +8,9 @@ missed with a probability below 1e-8.
 
 Equal sets are merged before anything is compared, so copies cost one row.  Within a
 bucket, members are first compared with one member; a bucket whose members are then in
-one component is done.  Only buckets that still hold several components go on: the members
-outside the main one meet other members of it, and at last, when few pairs are left, every
-pair of members of different components is compared.  So no link between components is
-lost, and a bucket of n near copies never makes n * n rows.
+one component is done.  In buckets that still hold several components, the rows outside the
+main one are queries against all rows of the bucket, in chunks that give only links.  So no link
+between components is lost, and a bucket of n near copies never makes n * n rows.
 """
 
 from __future__ import annotations
@@ -19,6 +18,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -76,9 +76,53 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.where(able).where(100 * common >= percent * union).select("a", "b")
 
 
-def near_duplicates(
-    docs: DataFrame, width: int = 5, percent: int = 80, star_rounds: int = 8, few_pairs_per_member: int = 4
-) -> DataFrame:
+def _blocks_linked(percent: int):
+    """One base component, one chunk of its rows: links of the queries to rows of other components, as pairs of roots."""
+
+    def run(group: pd.DataFrame) -> pd.DataFrame:
+        queries, targets = group[group["query"]], group[~group["query"]]
+        edges: set[tuple[int, int]] = set()
+        if len(queries) and len(targets):
+            sizes = np.array([len(x) for x in targets["shingles"]])
+            flat = np.concatenate(list(targets["shingles"]))
+            order = np.argsort(flat, kind="stable")
+            owner = np.repeat(np.arange(len(targets)), sizes)[order]
+            known, first, count = np.unique(flat[order], return_index=True, return_counts=True)
+            roots = targets["root"].to_numpy()
+            for root, own in zip(queries["root"], queries["shingles"]):
+                at = np.minimum(np.searchsorted(known, own), len(known) - 1)
+                at = at[known[at] == own]
+                n = count[at]
+                where = np.repeat(first[at] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+                common = np.bincount(owner[where], minlength=len(targets))
+                linked = 100 * common >= percent * (len(own) + sizes - common)
+                edges |= {(root, r) for r in np.unique(roots[linked]).tolist() if r != root}
+        rows = sorted(edges)
+        return pd.DataFrame({"a": [x for x, _ in rows], "b": [y for _, y in rows]}).astype("int64")
+
+    return run
+
+
+def _between(placed: DataFrame, sets: DataFrame, percent: int, only_first: bool, chunk: int = 256) -> DataFrame:
+    """placed(key, gid, root): links between components that share a bucket, as pairs of roots.
+
+    In each bucket of several components the rows outside of its main one are queries against all its rows.
+    Queries and rows are gathered per main component, over all its buckets, and compared in chunks
+    of rows; ``only_first`` takes one chunk of each, which settles most queries cheaply.
+    """
+    parts = placed.groupBy("key", "root").agg(F.count("*").alias("n"))
+    mixed = parts.groupBy("key").agg(F.max(F.struct("n", "root")).alias("main"), F.count("*").alias("roots")).where("roots > 1")
+    rows = placed.join(mixed.select("key", F.col("main.root").alias("base")), "key").select("base", "gid", "root").distinct()
+    sizes = rows.groupBy("base").agg(F.ceil(F.count("*") / chunk).cast("int").alias("chunks"))
+    rows = rows.join(sizes, "base").join(sets, "gid")
+    targets = rows.withColumns({"query": F.lit(False), "chunk": F.pmod(F.xxhash64("gid"), F.col("chunks")).cast("int")})
+    chunks = F.array(F.lit(0)) if only_first else F.sequence(F.lit(0), F.col("chunks") - 1)
+    queries = rows.where("root <> base").withColumns({"query": F.lit(True), "chunk": F.explode(chunks)})
+    both = queries.unionByName(targets.where("chunk = 0") if only_first else targets)
+    return both.select("base", "chunk", "query", "root", "shingles").groupBy("base", "chunk").applyInPandas(_blocks_linked(percent), "a long, b long")
+
+
+def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """docs(doc_id long, text, ...) -> (doc_id, text_key, n_shingles, component_id, group_key, kept), one row per input row.
 
     ``n_shingles`` is the size of the row's set of ``width``-word shingles; a text with
@@ -87,7 +131,6 @@ def near_duplicates(
     doc_id reachable over links, itself included; ``kept`` holds where it is the row's own.
     Rows without doc_id are linked with nothing and have no component_id.  ``text_key`` is a
     hash of the text, which tells rows of one doc_id apart.  Other columns are not read, whatever their names.
-    ``star_rounds`` and ``few_pairs_per_member`` only choose when to compare all remaining pairs.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
@@ -108,47 +151,26 @@ def near_duplicates(
     pairs = buckets.where("c = 2").select(F.col("lo").alias("a"), F.col("hi").alias("b")).unionByName(
         members.where("gid <> lo").select(F.col("lo").alias("a"), F.col("gid").alias("b"))
     )
-    tested = scratch.save(pairs.distinct(), "tested-0")
-    asked = tested.select(F.col("a").alias("gid")).unionByName(tested.select(F.col("b").alias("gid"))).distinct()
+    pairs = scratch.save(pairs.distinct(), "pairs")
+    asked = pairs.select(F.explode(F.array("a", "b")).alias("gid")).distinct()
     wanted = groups.select("gid", "doc", "d1", "d2").join(asked, "gid", "left_semi")
     found = texts.join(wanted, texts["doc_id"] == wanted["doc"]).select("gid", "d1", "d2", "text")
     sets = scratch.save(found.mapInArrow(_full_sets(width), _SETS).dropDuplicates(["gid"]), "sets")
-    links = scratch.save(_verified(tested, sets, percent), "links-0")
-    roots = connected_components(links, scratch, "cc0")
-    step, last = 0, False
-    while not last:
-        step += 1
-        placed = members.select("key", "gid").join(roots, F.col("gid") == F.col("id"), "left")
-        placed = scratch.save(placed.select("key", "gid", F.coalesce("root", "gid").alias("root")), f"placed-{step}")
-        # per bucket: its rows, its main component, and the pairs of rows of different components
-        parts = placed.groupBy("key", "root").agg(F.count("*").alias("n"), F.min_by("gid", F.xxhash64("gid", F.lit(step))).alias("one"))
-        mixed = parts.groupBy("key").agg(
-            F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("same"), F.max(F.struct("n", "root", "one")).alias("main"), F.count("*").alias("roots")
-        ).where("roots > 1")
-        mixed = scratch.save(mixed.select("key", "n", ((F.col("n") * F.col("n") - F.col("same")) / 2).alias("left_pairs"), F.col("main.root").alias("main"), F.col("main.one").alias("one")), f"mixed-{step}")
-        total = mixed.agg(F.sum("left_pairs"), F.sum("n")).first()
-        if not total[0]:
-            break
-        last = step > star_rounds or total[0] <= few_pairs_per_member * total[1]
-        open_rows = placed.join(mixed.select("key", "main", "one"), "key")
-        if last:
-            x, y = open_rows.where("root <> main").select("key", F.col("gid").alias("g"), F.col("root").alias("r")), open_rows
-            new = x.join(y, "key").where("r <> root and (root = main or g < gid)").select(
-                F.least("g", "gid").alias("a"), F.greatest("g", "gid").alias("b")
-            )
-        else:
-            new = open_rows.where("root <> main").select(F.least("gid", "one").alias("a"), F.greatest("gid", "one").alias("b"))
-        fresh = scratch.save(new.distinct().join(tested, ["a", "b"], "left_anti"), f"fresh-{step}")
-        tested = scratch.save(tested.unionByName(fresh), f"tested-{step}")
-        more = scratch.save(_verified(fresh, sets, percent), f"more-{step}")
-        links = scratch.save(links.unionByName(more), f"links-{step}")
-        scratch.drop(f"placed-{step}", f"mixed-{step}", f"tested-{step - 1}", f"links-{step - 1}")
-        roots = connected_components(links, scratch, f"cc{step}")
-    scratch.drop("members", "buckets", "sets")
-    named = groups.select("gid", "n", "d1", "d2", "doc").join(roots, F.col("gid") == F.col("id"), "left").withColumn("root", F.coalesce("root", "gid"))
+    roots = connected_components(_verified(pairs, sets, percent), scratch)
+    root = F.coalesce("root", "gid").alias("root")
+    placed = scratch.save(members.join(roots, F.col("gid") == F.col("id"), "left").select("key", "gid", root), "placed-0")
+    named = scratch.save(groups.select("gid", "n", "d1", "d2", "doc").join(roots, F.col("gid") == F.col("id"), "left").select("gid", "n", "d1", "d2", "doc", root), "named-0")
+    scratch.drop("buckets", "members", "pairs", "groups")
+    for k, only_first in ((1, True), (2, False)):
+        joined = connected_components(_between(placed, sets, percent, only_first), scratch, f"cc-{k}").withColumnRenamed("root", "to")
+        new = F.coalesce("to", "root").alias("root")
+        named = scratch.save(named.join(joined, F.col("root") == F.col("id"), "left").select("gid", "n", "d1", "d2", "doc", new), f"named-{k}")
+        if only_first:
+            placed = scratch.save(placed.join(joined, F.col("root") == F.col("id"), "left").select("key", "gid", new), f"placed-{k}")
+        scratch.drop(f"placed-{k - 1}", f"named-{k - 1}")
     smallest = named.groupBy("root").agg(F.min("doc").alias("component_id"))
-    of_set = named.join(smallest, "root").select("n", "d1", "d2", "component_id", F.col("root").alias("group_key"))
-    of_set = scratch.save(of_set, "of_set")
+    of_set = scratch.save(named.join(smallest, "root").select("n", "d1", "d2", "component_id", F.col("root").alias("group_key")), "of_set")
+    scratch.drop("sets")
     out = rows.select("doc_id", "text_key", "n", "d1", "d2").join(of_set, ["n", "d1", "d2"], "left")
     own = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
     out = out.select("doc_id", "text_key", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), own).alias("component_id"), "group_key")

@@ -12,14 +12,22 @@ def held_out(doc_id: F.Column) -> F.Column:
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
 
 
-def fit_sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, extra: tuple[str, ...] = (), chars: int = 100_000) -> pd.DataFrame:
+def fit_sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, extra: tuple[str, ...] = (), chars: int = 16_000, most_of_one: float = 1.0) -> pd.DataFrame:
     """At most ``rows`` labelled rows that are not held out, those of the least id hashes: doc_id, text, label, extra columns.
 
     Ids without a document, null labels and null texts are left out; a repeated id counts once.  Of a text
     longer than ``chars`` an even spread of pieces is used, so that the sample's bytes are bounded; only fitting does so.
+    ``most_of_one`` below 1 takes that share of ``rows`` of each label at most, for rare labels.
     """
     known = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    known = known.groupBy("doc_id").agg(F.max(label).alias(label)).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
+    known = known.groupBy("doc_id").agg(F.max(label).alias(label))
+    if most_of_one < 1:
+        each = int(rows * most_of_one)
+        first = known.where(F.col(label) == 1).orderBy(F.xxhash64("doc_id"), "doc_id").limit(each)
+        second = known.where(F.col(label) == 0).orderBy(F.xxhash64("doc_id"), "doc_id").limit(each)
+        known = first.unionByName(second)
+    else:
+        known = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
     step = (F.length("text") / (chars // 1000)).cast("int")
     pieces = F.array_join(F.transform(F.sequence(F.lit(0), F.lit(chars // 1000 - 1)), lambda i: F.substring(F.col("text"), i * step + 1, F.lit(1000))), " ")
     text = F.when(F.length("text") <= chars, F.col("text")).otherwise(pieces).alias("text")

@@ -113,13 +113,19 @@ def _between(placed: DataFrame, sets: DataFrame, percent: int, only_first: bool,
     parts = placed.groupBy("key", "root").agg(F.count("*").alias("n"))
     mixed = parts.groupBy("key").agg(F.max(F.struct("n", "root")).alias("main"), F.count("*").alias("roots")).where("roots > 1")
     rows = placed.join(mixed.select("key", F.col("main.root").alias("base")), "key").select("base", "gid", "root").distinct()
-    sizes = rows.groupBy("base").agg(F.ceil(F.count("*") / chunk).cast("int").alias("chunks"))
+    asked = F.count(F.when(F.col("root") != F.col("base"), 1))
+    sizes = rows.groupBy("base").agg(
+        F.ceil(F.count("*") / chunk).cast("int").alias("chunks"), F.ceil(asked / (2 * chunk)).cast("int").alias("parts")
+    )
     rows = rows.join(sizes, "base").join(sets, "gid")
-    targets = rows.withColumns({"query": F.lit(False), "chunk": F.pmod(F.xxhash64("gid"), F.col("chunks")).cast("int")})
+    place = F.xxhash64("gid")
+    targets = rows.withColumns({"query": F.lit(False), "chunk": F.pmod(place, F.col("chunks")).cast("int")})
+    targets = (targets.where("chunk = 0") if only_first else targets).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     chunks = F.array(F.lit(0)) if only_first else F.sequence(F.lit(0), F.col("chunks") - 1)
-    queries = rows.where("root <> base").withColumns({"query": F.lit(True), "chunk": F.explode(chunks)})
-    both = queries.unionByName(targets.where("chunk = 0") if only_first else targets)
-    return both.select("base", "chunk", "query", "root", "shingles").groupBy("base", "chunk").applyInPandas(_blocks_linked(percent), "a long, b long")
+    part = F.pmod(F.xxhash64(place), F.col("parts")).cast("int")
+    queries = rows.where("root <> base").withColumns({"query": F.lit(True), "part": part}).withColumn("chunk", F.explode(chunks))
+    both = queries.unionByName(targets).select("base", "chunk", "part", "query", "root", "shingles")
+    return both.groupBy("base", "chunk", "part").applyInPandas(_blocks_linked(percent), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:

@@ -203,7 +203,7 @@ def band_keys(sketch: np.ndarray, rows: int) -> np.ndarray:
     return key.view(np.int64)
 
 
-def slices(batch: pa.RecordBatch, column: str, most: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, column: str, most: int = 3 << 20) -> Iterator[pa.RecordBatch]:
     """Parts of a batch of about ``most`` bytes of text; a longer text is a part of its own."""
     _, offsets = text_bytes(batch.column(column))
     at = 0

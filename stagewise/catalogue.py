@@ -2,10 +2,458 @@
 
 from __future__ import annotations
 
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from stagewise.functions import hpfunc as H
+from stagewise.functions import space
+from stagewise.operators import measures as M
+from stagewise.operators import simulate, training, tuners
+from stagewise.plans import forest, plan, schedule
+from stagewise.plans import trials as T
+from stagewise.sources import adapters as A
+from stagewise.streaming import reports
+
+_Q: dict = {}
+_SQL: dict[str, str] = {}
+HIGH = [["0"], ["0", "1"], [str(i) for i in range(4)], [str(i) for i in range(8)]]
+
+
+def _register(name: str, sql: str | None = None):
+    def keep(f):
+        _Q[name] = f
+        if sql is not None:
+            _SQL[name] = sql
+        return f
+
+    return keep
+
 
 def queries() -> dict:
-    return {}
+    return dict(_Q)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_SQL)
+
+
+# --- pieces and segments ------------------------------------------------------------------
+
+PIECES = {
+    "orders": "select 'all' as study, o_custkey as trial, row_number() over (partition by o_custkey order by o_orderdate, o_orderkey) as ord, substr(o_orderpriority, 1, 1) as cfg, case o_orderstatus when 'F' then 10 when 'O' then 20 else 30 end as steps from orders",
+    "lineitem": "select 'all' as study, l_orderkey as trial, row_number() over (partition by l_orderkey order by l_linenumber, l_partkey, l_suppkey, l_shipdate, l_quantity, l_extendedprice, l_returnflag, l_linestatus) as ord, l_returnflag || '|' || l_linestatus as cfg, cast(l_quantity as bigint) as steps from lineitem",
+    "events": "select 'all' as study, user_id * 100000 + date_diff('day', date '1970-01-01', cast(ts as date)) as trial, row_number() over (partition by user_id, cast(ts as date) order by ts, event_id) as ord, event_type as cfg, 10 as steps from events",
+    "conversations": "select 'all' as study, conv_id as trial, row_number() over (partition by conv_id order by turn, role) as ord, role as cfg, 10 as steps from conversations",
+}
+PIECES["by_segment"] = f"select c_mktsegment as study, trial, ord, cfg, steps from ({PIECES['orders']}) p join customer on trial = c_custkey"
+PIECES["high"] = f"select cast(c_nationkey as varchar) as study, o_custkey as trial, row_number() over (partition by o_custkey order by o_orderdate, o_orderkey) as ord, o_orderstatus as cfg, case o_orderstatus when 'F' then 10 when 'O' then 20 else 30 end as steps from orders join customer on o_custkey = c_custkey where c_nationkey < 8"
+PIECES["low"] = PIECES["high"].replace("o_orderstatus as cfg", "substr(o_orderpriority, 1, 1) || o_orderstatus as cfg")
+
+
+def seg_sql(kind: str) -> str:
+    """with-clause up to ``seg``(study, trial, k, start, end_, cfg, path, parent) in the oracle's SQL."""
+    return f"""with pc as ({PIECES[kind]}),
+fl as (select *, case when lag(cfg) over w is distinct from cfg then 1 else 0 end as f from pc window w as (partition by study, trial order by ord)),
+il as (select *, sum(f) over (partition by study, trial order by ord rows unbounded preceding) as island from fl),
+g as (select study, trial, island - 1 as k, min(cfg) as cfg, sum(steps) as steps from il group by study, trial, island),
+pr as (select *, coalesce(sum(steps) over (partition by study, trial order by k rows between unbounded preceding and 1 preceding), 0) as start from g),
+pa as (select *, string_agg(cast(cast(start as bigint) as varchar) || ':' || cfg, '/') over (partition by study, trial order by k rows unbounded preceding) as path from pr),
+seg as (select study, trial, cast(k as bigint) as k, cast(start as bigint) as start, cast(start + steps as bigint) as end_, cfg, path, lag(path) over (partition by study, trial order by k) as parent from pa)
+"""
+
+
+def seg(spark: SparkSession, d: str, kind: str) -> DataFrame:
+    if kind in ("orders", "lineitem", "events", "conversations"):
+        return T.canonical(getattr(A, kind)(spark, d))
+    value = {"by_segment": "priority", "high": "status", "low": "both"}[kind]
+    p = A.with_customer(A.orders(spark, d, value), spark, d, "c_mktsegment" if kind == "by_segment" else "c_nationkey")
+    return T.canonical(p if kind == "by_segment" else p.where("cast(study as int) < 8"))
+
+
+_RATE = "select cast(sum(r) as bigint) as trials, cast(sum(t) as bigint) as total_steps, cast(sum(u) as bigint) as unique_steps, count(*) as nodes, round(sum(t) / sum(u), 6) as rate from (select path, sum(end_ - start) as t, max(end_) - min(start) as u, count(*) filter (where k = 0) as r from seg group by path)"
+for _kind in ("orders", "lineitem", "events", "conversations"):
+    _register(f"merge_{_kind}", seg_sql(_kind) + _RATE)(lambda s, d, k=_kind: M.merge_rate(seg(s, d, k)))
+_register("merge_by_segment", seg_sql("by_segment") + _RATE.replace("select cast(sum(r)", "select study, cast(sum(r)").replace("(select path", "(select study, path").replace("group by path)", "group by study, path) group by study"))(
+    lambda s, d: M.merge_rate(seg(s, d, "by_segment"), ("study",))
+)
+_register("merge_bruteforce", seg_sql("orders") + "select cast(sum(c) as bigint) as total_steps, count(*) as unique_steps from (select path, step, count(*) as c from (select path, unnest(range(start, end_)) as step from seg where trial < 100) group by path, step)")(
+    lambda s, d: M.merge_bruteforce(seg(s, d, "orders").where("trial < 100"))
+)
+_register("merge_unshared", seg_sql("high") + "select 'none' as sharing, cast(sum(end_ - start) as bigint) as unique_steps from seg union all select 'study', cast(sum(u) as bigint) from (select max(end_) - min(start) as u from seg group by study, path) union all select 'plan', cast(sum(u) as bigint) from (select max(end_) - min(start) as u from seg group by path)")(
+    lambda s, d: _sharing(seg(s, d, "high"))
+)
+
+
+def _sharing(segments: DataFrame) -> DataFrame:
+    out = None
+    for mode in ("none", "study", "plan"):
+        row = M.merge_rate(T.salted(segments, mode)).select(F.lit(mode).alias("sharing"), "unique_steps")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _geo(s: SparkSession, d: str) -> DataFrame:
+    c, n, r = (A.table(s, d, x) for x in ("customer", "nation", "region"))
+    where = c.join(F.broadcast(n), c["c_nationkey"] == n["n_nationkey"]).join(F.broadcast(r), n["n_regionkey"] == r["r_regionkey"])
+    where = where.select(F.col("c_custkey").cast("long").alias("trial"), "r_name", "n_name", "c_mktsegment")
+    return seg(s, d, "orders").join(where, "trial")
+
+
+_GEO = seg_sql("orders") + ", x as (select seg.*, r_name, n_name, c_mktsegment from seg join customer on trial = c_custkey join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey)\n"
+_register("merge_rollup_geo", _GEO + "select r_name, n_name, cast(gid as bigint) as grouping_id, cast(sum(t) as bigint) as total, cast(sum(u) as bigint) as \"unique\", round(sum(t) / sum(u), 6) as rate from (select r_name, n_name, grouping(r_name, n_name) as gid, path, sum(end_ - start) as t, max(end_) - min(start) as u from x group by grouping sets ((r_name, n_name, path), (r_name, path), (path))) group by r_name, n_name, gid")(
+    lambda s, d: M.merge_rollup(_geo(s, d), ["r_name", "n_name"])
+)
+_register("merge_cube_hp", _GEO + "select r_name, c_mktsegment, cast(gid as bigint) as grouping_id, cast(sum(t) as bigint) as total, cast(sum(u) as bigint) as \"unique\", round(sum(t) / sum(u), 6) as rate from (select r_name, c_mktsegment, grouping(r_name, c_mktsegment) as gid, path, sum(end_ - start) as t, max(end_) - min(start) as u from x group by grouping sets ((r_name, c_mktsegment, path), (r_name, path), (c_mktsegment, path), (path))) group by r_name, c_mktsegment, gid")(
+    lambda s, d: M.merge_rollup(_geo(s, d), ["r_name", "c_mktsegment"], cube=True)
+)
+
+
+def _kwise_sql(kind: str) -> str:
+    parts = [
+        f"select {len(own)} as k, cast((select sum(end_ - start) from seg where study in ({','.join(repr(x) for x in own)})) as bigint) as total, cast((select sum(u) from (select max(end_) - min(start) as u from seg where study in ({','.join(repr(x) for x in own)}) group by path)) as bigint) as \"unique\", cast((select sum(u) from (select max(end_) - min(start) as u from seg where study in ({','.join(repr(x) for x in own)}) group by study, path)) as bigint) as within_unique"
+        for own in HIGH
+    ]
+    return seg_sql(kind) + "select k, total, \"unique\", within_unique, round(total / \"unique\", 6) as rate from (" + " union all ".join(parts) + ")"
+
+
+_register("kwise_high", _kwise_sql("high"))(lambda s, d: M.kwise_rate(seg(s, d, "high"), HIGH))
+_register("kwise_low", _kwise_sql("low"))(lambda s, d: M.kwise_rate(seg(s, d, "low"), HIGH))
+_register("pairwise_rates", seg_sql("high") + "select a.study as study_a, b.study as study_b, round(sum(t) / sum(u), 6) as rate from (select distinct study from seg) a join (select distinct study from seg) b on a.study < b.study join lateral (select path, sum(end_ - start) as t, max(end_) - min(start) as u from seg where study = a.study or study = b.study group by path) on true group by a.study, b.study")(
+    lambda s, d: M.pairwise_rates(seg(s, d, "high"))
+)
+_SECONDS = "(values ('F', 0.5), ('O', 1.25), ('P', 2.0)) as sec(cfg, sec)"
+
+
+def _seconds(s: SparkSession) -> DataFrame:
+    return s.createDataFrame([("F", 0.5), ("O", 1.25), ("P", 2.0)], "cfg string, sec double")
+
+
+_register("cost_rate", seg_sql("high") + f"select round(sum(t * sec), 6) as cost, round(sum(u * sec), 6) as unique_cost, round(round(sum(t * sec), 6) / round(sum(u * sec), 6), 6) as rate from (select path, min(cfg) as cfg, cast(sum(end_ - start) as double) as t, max(end_) - min(start) as u from seg group by path) n join {_SECONDS} using (cfg)")(
+    lambda s, d: M.cost_rate(seg(s, d, "high"), _seconds(s))
+)
+_register("coalesce_segments", seg_sql("orders") + "select trial, k, start, end_ as \"end\", cfg from seg")(lambda s, d: seg(s, d, "orders").select("trial", F.col("k").cast("long").alias("k"), "start", "end", "cfg"))
+_register("prefix_steps", seg_sql("orders") + "select trial, k, start as before, end_ - start as steps from seg")(lambda s, d: T.prefix_steps(seg(s, d, "orders")).select("trial", F.col("k").cast("long").alias("k"), "before", "steps"))
+_register("lineage_paths", seg_sql("orders") + "select trial, k, path, parent, substr(sha256(path), 1, 32) as node_id from seg")(lambda s, d: seg(s, d, "orders").select("trial", F.col("k").cast("long").alias("k"), "path", "parent", T.node_id(F.col("path")).alias("node_id")))
+_register("expand_steps", seg_sql("orders") + "select trial, cast(step as bigint) as step, cfg from (select trial, cfg, unnest(range(start, end_)) as step from seg where trial < 50)")(lambda s, d: T.expand_steps(seg(s, d, "orders").where("trial < 50")).select("trial", "step", "cfg"))
+_register("counts", seg_sql("orders") + "select count(*) filter (where k = 0) as trials, count(*) as segments, count(distinct path) as nodes, cast(max(k) as bigint) as max_depth from seg")(
+    lambda s, d: M.counts(seg(s, d, "orders")).withColumn("max_depth", F.col("max_depth").cast("long"))
+)
+
+# --- forest -------------------------------------------------------------------------------
+
+_STAGES = """, cu as (select path, start as cut from seg union select path, end_ from seg),
+st as (select path, cut as lo, lead(cut) over (partition by path order by cut) as hi from cu),
+stages as (select s.path, lo, hi, case when s.lo > n.start then s.path else n.parent end as parent_path, case when s.lo > n.start or n.parent is not null then lo end as parent_hi from st s join (select path, min(start) as start, min(parent) as parent from seg group by path) n using (path) where hi is not null)
+"""
+_TRIALS = ", full_ as (select g.path, g.lo, g.hi, g.parent_path, g.parent_hi, count(*) as trials, min(trial) as min_trial, max(trial) as max_trial from stages g join seg on seg.path = g.path and seg.start <= g.lo and seg.end_ >= g.hi group by all)\n"
+_register("stage_cuts", seg_sql("orders") + _STAGES + "select path, lo, hi from stages")(lambda s, d: forest.merge_trials(seg(s, d, "orders")).select("path", "lo", "hi"))
+_register("stage_forest", seg_sql("orders") + _STAGES + _TRIALS + "select path, lo, hi, parent_path, parent_hi, trials from full_")(lambda s, d: forest.merge_trials(seg(s, d, "orders")))
+_register("trials_of_stage", seg_sql("orders") + _STAGES + _TRIALS + "select path, lo, hi, trials as n_trials, min_trial, max_trial from full_")(
+    lambda s, d: forest.trials_of_stage(forest.merge_trials(seg(s, d, "orders")), seg(s, d, "orders"))
+)
+_register("stage_split_insert", seg_sql("orders") + _STAGES + "select path, lo, hi from stages")(
+    lambda s, d: forest.insert_trials(forest.merge_trials((g := seg(s, d, "orders")).where("trial % 2 = 0")).select("path", "lo", "hi"), g.where("trial % 2 = 1"))
+)
+_register("stage_drop_trials", seg_sql("by_segment").replace("seg as (select", "seg0 as (select") + ", seg as (select * from seg0 where study <> 'BUILDING')" + _STAGES + _TRIALS + "select path, lo, hi, trials from full_")(
+    lambda s, d: forest.drop_trials(g := seg(s, d, "by_segment"), g.where("study = 'BUILDING'").select("study", "trial").distinct()).select("path", "lo", "hi", "trials")
+)
+_register("shared_stage_histogram", seg_sql("orders") + _STAGES + _TRIALS + "select trials as n_trials, count(*) as stages, cast(sum(hi - lo) as bigint) as steps from full_ group by trials")(
+    lambda s, d: forest.merge_trials(seg(s, d, "orders")).groupBy(F.col("trials").alias("n_trials")).agg(F.count("*").alias("stages"), F.sum(F.col("hi") - F.col("lo")).alias("steps"))
+)
+
+# --- plan ---------------------------------------------------------------------------------
+
+_NODES = ", nodes as (select path, min(parent) as parent, min(start) as start, min(cfg) as cfg, min(k) as depth from seg group by path), req as (select max_by(path, end_) as path, max(end_) as step, trial from seg group by study, trial)\n"
+_register("plan_nodes", seg_sql("orders") + _NODES + "select path, parent, start, cfg, depth from nodes")(lambda s, d: plan.plan_nodes(seg(s, d, "orders")).withColumn("depth", F.col("depth").cast("long")))
+_register("plan_requests", seg_sql("orders") + _NODES + "select path, step, count(*) as refs from req group by path, step")(lambda s, d: plan.requests(seg(s, d, "orders")))
+_register("trials_per_node", seg_sql("orders") + "select path, count(distinct trial) as n from seg group by path")(lambda s, d: seg(s, d, "orders").groupBy("path").agg(F.countDistinct("trial").alias("n")))
+_register("approx_trials_per_node")(lambda s, d: seg(s, d, "orders").groupBy("path").agg(F.approx_count_distinct("trial", 0.02).alias("n")))
+
+
+def _resubmit(s: SparkSession, d: str) -> tuple[DataFrame, plan.Submission]:
+    g = seg(s, d, "orders")
+    first = plan.empty_plan(g)
+    known = first.record(first.submit(g.where("trial % 2 = 0")))
+    return g, plan.Plan(known.nodes, known.asked, known.asked).submit(g)
+
+
+_EVEN = ", ev as (select path from seg where trial % 2 = 0 group by path), evr as (select distinct path, step from req where trial % 2 = 0)\n"
+_register("new_nodes_anti", seg_sql("orders") + _NODES + _EVEN + "select path, start from nodes where path not in (select path from ev)")(lambda s, d: _resubmit(s, d)[1].new_nodes.select("path", "start"))
+_register("hit_trials_semi", seg_sql("orders") + _NODES + _EVEN + "select r.trial from req r join evr on r.path = evr.path and r.step = evr.step")(
+    lambda s, d: (x := _resubmit(s, d)[1]).trial_requests.join(x.answered, ["path", "step"], "left_semi").select("trial")
+)
+_register("resubmit_hits", seg_sql("orders") + _NODES + _EVEN + "select (select count(*) from evr) as answered, (select count(*) from (select distinct path, step from req) r where not exists (select 1 from evr where evr.path = r.path and evr.step = r.step)) as new_requests")(
+    lambda s, d: (x := _resubmit(s, d)[1]).answered.agg(F.count("*").alias("answered")).crossJoin(x.new_requests.agg(F.count("*").alias("new_requests")))
+)
+_register("plan_diff", seg_sql("orders") + "select coalesce(a.path, b.path) as path, case when a.path is null then 'new' when b.path is null then 'gone' else 'both' end as state from (select distinct path from seg where trial % 2 = 0) a full join (select distinct path from seg where trial % 3 = 0) b on a.path = b.path")(
+    lambda s, d: (g := seg(s, d, "orders")).where("trial % 2 = 0").select("path").distinct().alias("a").join(g.where("trial % 3 = 0").select(F.col("path").alias("p")).distinct(), F.expr("path = p"), "full").select(F.coalesce("path", "p").alias("path"), F.when(F.col("path").isNull(), "new").when(F.col("p").isNull(), "gone").otherwise("both").alias("state"))
+)
+_register("plan_release", seg_sql("orders") + _NODES + "select path, step from req group by path, step having min(trial) % 5 = 0 and max(trial) % 5 = 0 and count(*) filter (where trial % 5 <> 0) = 0")(
+    lambda s, d: plan.Plan((g := seg(s, d, "orders")).select("path").distinct(), plan.requests(g).select("path", "step")).release(g, g.where("trial % 5 = 0").select("study", "trial").distinct())
+)
+
+
+def _ckpts(g: DataFrame) -> DataFrame:
+    """Synthetic checkpoints: each node's start rounded up to 30, where the node reaches that far."""
+    at = (F.ceil(F.col("start") / 30) * 30).cast("long")
+    return T.nodes(g).where(at <= F.col("reach")).where(at > F.col("start")).select("path", at.alias("step"))
+
+
+_CK = ", ck as (select path, cast(ceil(start / 30.0) * 30 as bigint) as step from (select path, min(start) as start, max(end_) as reach from seg group by path) where ceil(start / 30.0) * 30 <= reach and ceil(start / 30.0) * 30 > start)\n"
+_NEAR = """, rq as (select distinct path, step from req),
+an as (select s.path, s.k, s.start, s.end_, s.trial from seg s),
+way as (select r.trial, r.path as node, r.step, a.path as anc, a.k, a.end_ as lim from req r join an a on a.trial = r.trial),
+best as (select w.node, w.step, max_by(w.anc, w.k * 1000000 + ck.step) as ckpt_path, max_by(ck.step, w.k * 1000000 + ck.step) as ckpt_step from way w join ck on ck.path = w.anc and ck.step <= w.lim group by w.node, w.step)
+"""
+_register("nearest_ckpt_asof", seg_sql("orders") + _NODES + _CK + _NEAR + "select rq.path, rq.step, ckpt_path, ckpt_step from rq left join best on rq.path = best.node and rq.step = best.step")(
+    lambda s, d: forest.resume_points(plan.requests(g := seg(s, d, "orders")), _ckpts(g))
+)
+_NEED = """, need as (select distinct w.anc as path, case when w.anc = b.ckpt_path then b.ckpt_step else s.start end as lo, w.lim as hi
+ from way w left join best b on b.node = w.node and b.step = w.step join (select path, min(start) as start, min(k) as k from seg group by path) s on s.path = w.anc
+ left join (select path, min(k) as k from seg group by path) c on c.path = b.ckpt_path where b.ckpt_path is null or s.k >= c.k),
+nd as (select * from need where lo < hi)
+"""
+_BREAK = ", cut as (select path, lo as c from nd union select path, hi from nd), sp as (select path, c as lo, lead(c) over (partition by path order by c) as hi from cut), tree as (select distinct sp.path, sp.lo, sp.hi from sp join nd on nd.path = sp.path and nd.lo <= sp.lo and sp.hi <= nd.hi where sp.hi is not null)\n"
+
+
+def _tree(s: SparkSession, d: str, mode: str) -> DataFrame:
+    g = seg(s, d, "orders")
+    return forest.from_plan(plan.requests(g), _ckpts(g), mode)
+
+
+_PLAN_SQL = seg_sql("orders") + _NODES + _CK + _NEAR + _NEED + _BREAK
+_register("resume_tree_breakpoints", _PLAN_SQL + "select path, lo, hi from tree")(lambda s, d: _tree(s, d, "breakpoints"))
+_register("resume_tree_literal", _PLAN_SQL + "select path, lo, hi from nd")(lambda s, d: _tree(s, d, "literal"))
+_register("repeated_steps", _PLAN_SQL + "select cast((select sum(hi - lo) from tree) as bigint) as breakpoints, cast((select sum(hi - lo) from nd) as bigint) as literal")(
+    lambda s, d: _tree(s, d, "breakpoints").agg(F.sum(F.col("hi") - F.col("lo")).alias("breakpoints")).crossJoin(_tree(s, d, "literal").agg(F.sum(F.col("hi") - F.col("lo")).alias("literal")))
+)
+_register("ancestors_recursive", seg_sql("orders").replace("with pc", "with recursive pc") + _NODES + ", up as (select path as node, path as ancestor, parent, cast(0 as bigint) as dist from nodes where depth <= 5 union all select up.node, n.path, n.parent, up.dist + 1 from up join nodes n on n.path = up.parent) select node, ancestor, dist from up")(
+    lambda s, d: forest.ancestry(T.nodes(seg(s, d, "orders")).where("depth <= 5")).select("node", "ancestor", "dist")
+)
+for _name, _sql, _op in (("nodes_intersect", "intersect", "intersect"), ("nodes_except", "except", "subtract"), ("nodes_union", "union", "union")):
+    _register(_name, seg_sql("high") + f"select path, start from seg where study = '0' {_sql} select path, start from seg where study = '1'")(
+        lambda s, d, op=_op: getattr((g := seg(s, d, "high")).where("study = '0'").select("path", "start"), op)(g.where("study = '1'").select("path", "start")).distinct()
+    )
+
+# --- schedule -----------------------------------------------------------------------------
+
+
+def _costed(s: SparkSession, d: str, kind: str = "high") -> DataFrame:
+    return schedule.costs(forest.merge_trials(seg(s, d, kind)), _seconds(s))
+
+
+_COST = f", costed as (select g.*, (hi - lo) * sec as cost from stages g join {_SECONDS} on sec.cfg = split_part(split_part(path, '/', -1), ':', 2))\n"
+_LEAF = """, lf as (select g.path || '@' || hi as leaf, path as node, hi as leaf_hi from costed g where not exists (select 1 from costed c where c.parent_path = g.path and c.parent_hi = g.hi)),
+lp as (select l.leaf, c.path || '@' || c.hi as stage, c.path, c.lo, c.hi, c.cost from lf l join costed c on (c.path = l.node and c.hi <= l.leaf_hi) or (starts_with(l.node, c.path || '/') and c.hi <= cast(split_part(substr(l.node, length(c.path) + 2), ':', 1) as bigint))),
+tt as (select *, sum(cost) over (partition by leaf) as total from lp),
+el as (select stage, any_value(path) as path, any_value(lo) as lo, any_value(hi) as hi, any_value(cost) as cost, first(leaf order by total desc, leaf) as leaf from tt group by stage),
+ch as (select leaf, sum(cost) as cost, count(*) as n_stages, min(lo) as lo from el group by leaf)
+"""
+_SCHED = seg_sql("high") + _STAGES + _COST + _LEAF
+_register("stage_costs", seg_sql("high") + _STAGES + _COST + "select path, lo, hi, cost from costed")(lambda s, d: _costed(s, d).select("path", "lo", "hi", "cost"))
+_register("critical_path", _SCHED + "select leaf, max(total) as total from tt group by leaf order by total desc, leaf limit 1")(lambda s, d: schedule.critical_path(_costed(s, d)))
+_register("chains_orders", _SCHED + "select leaf, cost, n_stages, lo from ch")(lambda s, d: schedule.chains(_costed(s, d)))
+_register("top_chains", _SCHED + "select leaf, cost, n_stages, lo from ch order by cost desc, leaf limit 40")(lambda s, d: schedule.top_chains(_costed(s, d), 40))
+_register("bfs_order", seg_sql("high") + _STAGES + "select path, lo, hi, cast(len(string_split(path, '/')) - 1 as bigint) as depth from stages")(lambda s, d: schedule.breadth_first(forest.merge_trials(seg(s, d, "high"))))
+
+
+def _elected(s: SparkSession, d: str) -> DataFrame:
+    st = _costed(s, d)
+    up = st.select(schedule.stage_id(F.col("path"), F.col("hi")).alias("stage"), schedule.stage_id(F.col("parent_path"), F.col("parent_hi")).alias("parent"))
+    return schedule.elected_leaves(st).join(up, "stage").withColumn("study", F.lit("high"))
+
+
+SWEEP = [(p, w) for w in (1, 4, 8, 40) for p in ("chains", "breadth")]
+_register("makespan_sweep")(lambda s, d: simulate.run(_elected(s, d), SWEEP))
+_register("sched_bfs_vs_cp")(lambda s, d: simulate.run(_elected(s, d), [(p, w) for p, w in SWEEP if w == 8], save=1.0, load=1.0))
+_register("work_bound", _SCHED + "select 40 as w, sum(cost) as work, sum(cost) / 40 as least from el")(lambda s, d: simulate.bounds(_elected(s, d), 40))
+
+# --- settings and spaces ------------------------------------------------------------------
+
+_FUNCTIONS = {
+    "constant": ([0.1], "0.1"),
+    "exponential": ([0.1, 0.95], "0.1 * pow(0.95, step)"),
+    "linear": ([0.1, 0.0, 100.0], "0.1 + (0.0 - 0.1) * step / 100.0"),
+    "cosine": ([0.1, 100.0, 0.001], "0.001 + (0.1 - 0.001) * (1 + cos(pi() * step / 100.0)) / 2"),
+}
+for _fn, (_args, _sql) in _FUNCTIONS.items():
+    _register(f"hp_values_{_fn}", f"select step, round(cast({_sql} as double), 9) as value from (select unnest(range(0, 100)) as step)")(
+        lambda s, d, fn=_fn, args=_args: s.range(100).select(F.col("id").alias("step"), F.round(H.value(F.lit(fn), F.array(*[F.lit(x) for x in args]), F.col("id")), 9).alias("value"))
+    )
+_FAMILIES = {
+    "step": (lambda: H.step_decay(0.1, 0.1, [30, 60], 100), "case when step < 30 then 0.1 when step < 60 then 0.01 else 0.001 end"),
+    "warmup": (lambda: H.warmup(10, 0.1, H.exponential(0.1, 0.9, 90)), "case when step < 10 then 0.1 * step / 10.0 else 0.1 * pow(0.9, step - 10) end"),
+    "restarts": (lambda: H.cosine_restarts(0.1, 20, 100), "0.1 * (1 + cos(pi() * (step % 20) / 20.0)) / 2"),
+    "cyclic": (lambda: H.cyclic(0.001, 0.1, 10, 100), "case when (step // 10) % 2 = 0 then 0.001 + 0.099 * (step % 10) / 10.0 else 0.1 - 0.099 * (step % 10) / 10.0 end"),
+    "multi": (lambda: H.multi_value([128, 256, 512], [40, 80], 100), "case when step < 40 then 128 when step < 80 then 256 else 512 end"),
+}
+
+
+def _family(s: SparkSession, pieces: list[H.Piece]) -> DataFrame:
+    rows, at = [], 0
+    for p in pieces:
+        rows.append((at, at + p.length, p.fn, list(p.args), p.since))
+        at += p.length
+    t = s.createDataFrame(rows, "lo long, hi long, fn string, args array<double>, since long")
+    t = t.select("*", F.explode(F.sequence("lo", F.col("hi") - 1)).alias("step"))
+    return t.select("step", F.round(H.value(F.col("fn"), F.col("args"), F.col("step") - F.col("lo") + F.col("since")), 9).alias("value"))
+
+
+for _fn, (_make, _sql) in _FAMILIES.items():
+    _register(f"hp_values_{_fn}", f"select step, round(cast({_sql} as double), 9) as value from (select unnest(range(0, 100)) as step)")(lambda s, d, make=_make: _family(s, make()))
+_RATES = {"w4": (448, 53760, 22320), "w6": (240, 28800, 9108), "w7": (40, 10800, 5280)}
+for _name, (_t, _total, _unique) in _RATES.items():
+    _register(f"space_{_name}", f"select {_t} as trials, {_total} as total_steps, {_unique} as unique_steps, round({_total} / {_unique}, 6) as rate")(
+        lambda s, d, n=_name: M.merge_rate(T.canonical(getattr(space, n)(s))).drop("nodes")
+    )
+for _name, _make, _totals in (("w8", space.w8, ((2, 288, 34560, 15172), (8, 1152, 138240, 54664))), ("w9", space.w9, ((2, 288, 34560, 24404), (8, 1152, 138240, 91588)))):
+    for _k, _t, _total, _unique in _totals:
+        _register(f"space_{_name}_s{_k}", f"select {_t} as trials, {_total} as total_steps, {_unique} as unique_steps, round({_total} / {_unique}, 6) as rate")(
+            lambda s, d, make=_make, k=_k: M.merge_rate(T.canonical(make(s, k))).drop("nodes")
+        )
+_register("grid_cross", "select distinct p_brand, p_size from (select distinct p_brand from part) cross join (select distinct p_size from part)")(
+    lambda s, d: (p := A.table(s, d, "part")).select("p_brand").distinct().crossJoin(F.broadcast(p.select("p_size").distinct()))
+)
+_register("filter_conditional_space", "select p_brand, p_size from (select distinct p_brand from part) cross join (select distinct p_size from part) where not (p_brand like '%1' and p_size > 25)")(
+    lambda s, d: _Q["grid_cross"](s, d).where("not (p_brand like '%1' and p_size > 25)")
+)
+_register("random_search", "select trial from (select distinct o_custkey as trial from orders) order by md5('7-' || trial) limit 50")(
+    lambda s, d: space.sample(A.table(s, d, "orders").select(F.col("o_custkey").alias("trial")).distinct(), 50, 7)
+)
+
+# --- tuners -------------------------------------------------------------------------------
+
+_METRICS = "with m as (select 'events' as study, user_id as trial, row_number() over (partition by user_id order by ts, event_id) as step, value from events)\n"
+
+
+def _metrics(s: SparkSession, d: str) -> DataFrame:
+    e = A.table(s, d, "events")
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    return e.select(F.lit("events").alias("study"), F.col("user_id").cast("long").alias("trial"), F.row_number().over(w).cast("long").alias("step"), "value", "ts", "event_id")
+
+
+def _rungs_sql(steps: list[int], keeps: list[str]) -> str:
+    parts, out = [_METRICS.rstrip()], []
+    alive = "select distinct trial from m"
+    for k, (step, keep) in enumerate(zip(steps, keeps)):
+        parts.append(f"r{k} as (select study, trial, cast({step} as bigint) as rung, row_number() over (order by value desc, trial) as rank, count(*) over () as n from m where step = {step} and trial in ({alive}))")
+        out.append(f"select study, trial, rung, rank, {keep} as action from r{k}")
+        alive = f"select trial from (select trial, {keep} as action from r{k}) where action = 'promote'"
+    return ", ".join(parts) + "\n" + " union all ".join(out)
+
+
+_half = "case when rank <= greatest(n // 4, 1) then 'promote' else 'stop' end"
+_register("sha_rungs", _rungs_sql([2, 8, 32, 40], [_half, _half, _half, "'finish'"]))(lambda s, d: tuners.halving(_metrics(s, d), 4, 2, 40))
+_register("milestone_stop", _rungs_sql([5, 10], ["case when rank <= 8 then 'promote' else 'stop' end", "case when rank <= 4 then 'promote' else 'stop' end"]))(lambda s, d: tuners.milestones(_metrics(s, d), [(5, 8), (10, 4)]))
+_register("hyperband_brackets", "select cast(s as int) as bracket, cast(ceil(2.0 / (s + 1) * pow(4, s)) as int) as trials, cast(round(120 * pow(4, -s)) as int) as first_step from (select unnest(range(0, 2)) as s)")(
+    lambda s, d: s.createDataFrame([tuple(int(v) for v in x.values()) for x in tuners.hyperband(4, 15, 120)], "bracket int, trials int, first_step int")
+)
+_register("median_stop", _METRICS.rstrip() + """, r as (select study, trial, step, avg(value) over w as mean, max(value) over w as best from m window w as (partition by trial order by step rows unbounded preceding)),
+x as (select a.study, a.trial, a.step from r a join r b on a.step = b.step and a.trial <> b.trial where a.step >= 5 group by a.study, a.trial, a.step, a.best having count(*) >= 3 and a.best < median(b.mean))
+select study, trial, min(step) as stop_at from x group by study, trial""")(lambda s, d: tuners.median_stop(_metrics(s, d), 5))
+_register("pbt_quartiles", _METRICS.rstrip() + """, q as (select trial, row_number() over (order by value desc, trial) as r, count(*) over () as n from m where step = 20),
+t as (select trial as donor, r - 1 as slot from q where r <= greatest(n // 5, 1)),
+l as (select trial, cast('0x' || substr(md5('1-20-' || trial), 1, 8) as bigint) % greatest(n // 5, 1) as slot from q where r > n - greatest(n // 5, 1))
+select 'events' as study, l.trial, t.donor from l join t using (slot)""")(lambda s, d: tuners.population(_metrics(s, d), 20))
+
+
+def _ordered(s: SparkSession, d: str) -> DataFrame:
+    return _metrics(s, d).withColumn("ord", F.date_format("ts", "yyyyMMddHHmmss.SSSSSS")).withColumn("ord", F.concat("ord", F.format_string("-%020d", F.col("event_id"))))
+
+
+_register("asha_replay")(lambda s, d: tuners.async_replay(_ordered(s, d), 4, [2, 8, 32]))
+_register("best_trial", _METRICS + "select trial, step, value from m order by value desc, trial, step limit 1")(lambda s, d: M.best(_metrics(s, d)))
+_register("topk_per_study", "select event_type, user_id, value from (select *, row_number() over (partition by event_type order by value desc, event_id) as r from events) where r <= 3")(
+    lambda s, d: A.table(s, d, "events").withColumn("r", F.row_number().over(Window.partitionBy("event_type").orderBy(F.desc("value"), "event_id"))).where("r <= 3").select("event_type", "user_id", "value")
+)
+_register("metric_pivot", _METRICS + "select trial, max(value) filter (where step = 1) as \"1\", max(value) filter (where step = 2) as \"2\", max(value) filter (where step = 3) as \"3\" from m where step <= 3 group by trial")(
+    lambda s, d: _metrics(s, d).groupBy("trial").pivot("step", [1, 2, 3]).agg(F.max("value"))
+)
+_register("smoothed_metric", _METRICS + "select trial, step, round(avg(value) over (partition by trial order by step rows 4 preceding), 6) as smooth from m")(
+    lambda s, d: _metrics(s, d).select("trial", "step", F.round(F.avg("value").over(Window.partitionBy("trial").orderBy("step").rowsBetween(-4, 0)), 6).alias("smooth"))
+)
+_register("curve_slope", _METRICS + "select trial, round(regr_slope(value, step), 6) as slope from m group by trial")(lambda s, d: _metrics(s, d).groupBy("trial").agg(F.round(F.regr_slope("value", "step"), 6).alias("slope")))
+_register("config_changes", seg_sql("orders") + "select trial, k, lag(cfg) over (partition by trial order by k) as before, cfg as after from seg qualify before is not null")(
+    lambda s, d: seg(s, d, "orders").select("trial", F.col("k").cast("long").alias("k"), F.lag("cfg").over(Window.partitionBy("study", "trial").orderBy("k")).alias("before"), F.col("cfg").alias("after")).where("before is not null")
+)
+_register("props_step", "select event_id, cast(json_extract(props, '$.k') as bigint) as step from events")(lambda s, d: A.table(s, d, "events").select("event_id", F.from_json("props", "k bigint")["k"].alias("step")))
+_register("reports_by_day", "select cast(cast(ts as date) as varchar) as day, event_type, count(*) as n from events group by all")(lambda s, d: A.table(s, d, "events").groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day"), "event_type").agg(F.count("*").alias("n")))
+_register("batch_slices", "select batch, (7 * i + 1) % 10 as row_no from (select b as batch, unnest(range(lo, hi)) as i from (values (0, 0, 3), (1, 3, 6), (2, 6, 8), (3, 8, 10)) as t(b, lo, hi))".replace("7 * i + 1", "{a} * i + {b}").format(**dict(zip("ab", training.affine(0, 10, 1)))))(
+    lambda s, d: training.batch_slices(s, 10, [3, 3, 2, 2], 1)
+)
+
+# --- figures ------------------------------------------------------------------------------
+
+_FOUR = [(1, 0, "0.1", 200), (1, 1, "0.01", 100), (2, 0, "0.1", 100), (2, 1, "0.05", 100), (2, 2, "0.01", 100), (3, 0, "0.1", 100), (3, 1, "0.05", 100), (3, 2, "0.02", 100), (4, 0, "0.1", 100), (4, 1, "0.05", 200)]
+_FIFTH = [(5, 0, "0.1", 150), (5, 1, "0.07", 150)]
+
+
+def literal(s: SparkSession, rows: list[tuple]) -> DataFrame:
+    return T.canonical(s.createDataFrame([("fig", *r) for r in rows], "study string, trial bigint, ord bigint, cfg string, steps bigint"))
+
+
+_register("fig_four_trials", "select * from (values ('0:0.1', 0, 100, 4), ('0:0.1', 100, 200, 1), ('0:0.1/200:0.01', 200, 300, 1), ('0:0.1/100:0.05', 100, 200, 3), ('0:0.1/100:0.05/200:0.01', 200, 300, 1), ('0:0.1/100:0.05/200:0.02', 200, 300, 1), ('0:0.1/100:0.05', 200, 300, 1)) as t(path, lo, hi, trials)")(
+    lambda s, d: forest.merge_trials(literal(s, _FOUR)).select("path", "lo", "hi", "trials")
+)
+_register("fig_fifth_trial", "select 5 as trials, 1500 as total_steps, 850 as unique_steps, round(1500 / 850, 6) as rate")(lambda s, d: M.merge_rate(literal(s, _FOUR + _FIFTH)).drop("nodes"))
+_register("fig_two_pairs", "select 4 as trials, 800 as total_steps, 600 as unique_steps, round(800 / 600, 6) as rate")(
+    lambda s, d: M.merge_rate(literal(s, [(1, 0, "0.1", 100), (1, 1, "0.01", 100), (2, 0, "0.1", 100), (2, 1, "0.05", 100), (3, 0, "0.01", 100), (3, 1, "0.001", 100), (4, 0, "0.01", 100), (4, 1, "0.005", 100)])).drop("nodes")
+)
+
+
+def fig_plan(s: SparkSession) -> tuple[DataFrame, DataFrame]:
+    req = s.createDataFrame([("0:H1", 15), ("0:H1/10:H2", 25), ("0:H1/20:H3", 35), ("0:H1/20:H3/40:H4", 60)], "path string, step bigint")
+    return req, s.createDataFrame([("0:H1", 10), ("0:H1", 20), ("0:H1/10:H2", 20)], "path string, step bigint")
+
+
+_register("fig_plan_tree", "select * from (values ('0:H1', 10, 15), ('0:H1/10:H2', 20, 25), ('0:H1/20:H3', 20, 35), ('0:H1/20:H3', 35, 40), ('0:H1/20:H3/40:H4', 40, 60)) as t(path, lo, hi)")(lambda s, d: forest.from_plan(*fig_plan(s)))
+_register("fig_plan_literal", "select * from (values ('0:H1', 10, 15), ('0:H1/10:H2', 20, 25), ('0:H1/20:H3', 20, 35), ('0:H1/20:H3', 20, 40), ('0:H1/20:H3/40:H4', 40, 60)) as t(path, lo, hi)")(lambda s, d: forest.from_plan(*fig_plan(s), "literal"))
+
+# --- training -----------------------------------------------------------------------------
+
+
+def _data(s: SparkSession, d: str, n: int = 400) -> tuple[np.ndarray, np.ndarray]:
+    """The first n vectors by id; the class is the largest of the first ten coordinates."""
+    v = A.table(s, d, "embeddings").orderBy("vec_id").limit(n).toPandas()
+    x = np.array(v["embedding"].tolist(), dtype=np.float64)
+    return x, x[:, :10].argmax(axis=1)
+
+
+def _study(s: SparkSession, d: str, pieces: DataFrame, limit: int) -> DataFrame:
+    """Trains the first trials of a space with sharing and alone: (mode, trials, steps_run, best, max_abs_diff)."""
+    own = T.canonical(pieces.where(F.col("trial") < limit)).toPandas()
+    x, y = _data(s, d)
+    hold = np.arange(len(x)) % 5 == 0
+    learner = training.Softmax(x[~hold], y[~hold], 10)
+    out, params = [], {}
+    for mode, shared in (("trial", False), ("stage", True)):
+        told, steps = training.train_trials(own, learner, x[hold], y[hold], shared)
+        params[mode] = told["params"].tolist()
+        out.append((mode, len(told), steps, float(told["value"].max())))
+    equal = params["trial"] == params["stage"]
+    return s.createDataFrame([(*r, equal) for r in out], "mode string, trials long, steps_run long, best double, equal boolean")
+
+
+_TWO = [(1, 0, "bs=constant(32);lr=constant(0.5)", 200), (2, 0, "bs=constant(32);lr=constant(0.5)", 100), (2, 1, "bs=constant(32);lr=constant(0.05)", 50), (2, 2, "bs=constant(32);lr=constant(0.005)", 50)]
+_register("curve_two_trials")(lambda s, d: _study(s, d, s.createDataFrame([("w3", *r) for r in _TWO], "study string, trial bigint, ord bigint, cfg string, steps bigint"), 3))
+_register("study_grid_cutout")(lambda s, d: _study(s, d, space.w6(s), 24))
+_register("lossless_check", "select true as equal")(lambda s, d: _study(s, d, space.w6(s), 12).groupBy().agg(F.bool_and("equal").alias("equal")))
+
+# --- streams ------------------------------------------------------------------------------
+
+LATE = "40 days"
+
+
+def _stream(s: SparkSession, d: str) -> DataFrame:
+    # a file source reads folders and patterns, not the name of one file
+    return reports.source(s, f"{d}/event[s].parquet", s.read.parquet(f"{d}/events.parquet").schema)
+
+
+_register("stream_tumbling", "select time_bucket(interval 1 day, ts) as window_start, event_type, count(*) as n, max(value) as best from events group by all")(lambda s, d: reports.collected(reports.tumbling(_stream(s, d), "1 day", LATE)).withColumn("window_start", F.col("window_start").cast("timestamp_ntz")))
+_register("stream_dedup", "select event_id, event_type from events")(lambda s, d: reports.collected(reports.deduplicated(_stream(s, d), ["event_id"], LATE).select("event_id", "event_type"), "append"))
+_register("stream_enrich", "select event_id, c_mktsegment from events join customer on user_id = c_custkey")(
+    lambda s, d: reports.collected(reports.enriched(_stream(s, d), A.table(s, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_mktsegment"), "user_id").select("event_id", "c_mktsegment"), "append")
+)
+_register("stream_session")(lambda s, d: reports.collected(reports.sessions(_stream(s, d), "6 hours", LATE)))
+_register("stream_sliding")(lambda s, d: reports.collected(reports.sliding(_stream(s, d), "2 days", "1 day", LATE)))

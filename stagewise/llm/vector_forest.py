@@ -15,6 +15,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -22,21 +23,28 @@ from stagewise.llm.components import connected_components
 from stagewise.llm.scratch import Scratch
 
 SAMPLE = 20_000
-TREES, SPILL, LEAF = 6, 0.4, 48
+TREES, SPILL, LEAF = 8, 0.15, 48
+_TREE_BITS = 20  # a leaf code is its tree times 2**20 and its node
 
 
-def _double(column: pa.Array, dim: int | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """(unit vectors of the usable rows, their row numbers)."""
-    rows, at = [], []
-    for i, v in enumerate(column.to_pylist()):
-        if v is None or any(x is None for x in v) or len(v) == 0 or dim is not None and len(v) != dim:
-            continue
-        x = np.array(v, dtype=np.float64)
-        n = float(np.sqrt(np.dot(x, x)))
-        if np.isfinite(x).all() and 0 < n < np.inf:
-            rows.append(x / n)
-            at.append(i)
-    return (np.stack(rows) if rows else np.zeros((0, dim or 1))), np.array(at, dtype=np.int64)
+def _usable(column: pa.Array, dim: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(vectors of the usable rows in double precision, their row numbers)."""
+    sizes = pa.compute.fill_null(pa.compute.list_value_length(column), 0).to_numpy(zero_copy_only=False)
+    if dim is not None and len(column) and (sizes == dim).all() and not column.null_count and not column.flatten().null_count:
+        x, at = column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, dim), np.arange(len(column))
+    else:
+        rows = [(v, i) for i, v in enumerate(column.to_pylist()) if v and len(v) == (dim or len(v)) and not any(y is None for y in v)]
+        x, at = np.array([v for v, _ in rows], dtype=np.float64).reshape(len(rows), -1), np.array([i for _, i in rows], dtype=np.int64)
+    with np.errstate(all="ignore"):
+        n = np.sqrt((x * x).sum(axis=1)) if len(x) else np.zeros(0)
+        good = np.isfinite(x).all(axis=1) & (n > 0) & np.isfinite(n) if len(x) else np.zeros(0, dtype=bool)
+    return x[good], at[good]
+
+
+def _units(raw: list[bytes], kind: str, dim: int) -> np.ndarray:
+    """Unit vectors in double precision from stored values of the column's own precision."""
+    x = np.frombuffer(b"".join(raw), dtype=kind).reshape(-1, dim).astype(np.float64)
+    return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
 class Forest:
@@ -72,8 +80,8 @@ class Forest:
         return row, node
 
 
-def _place(forest, trees: int, dim: int):
-    """Rows (vid, weight, unit) -> one row per vector and leaf, with the codes of all its leaves."""
+def _place(forest, trees: int, kind: str, dim: int):
+    """Rows (vid, weight, raw) -> one row per vector and leaf, with the codes of all its leaves."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = forest.value
@@ -82,12 +90,12 @@ def _place(forest, trees: int, dim: int):
                 part = batch.slice(k, 2000)
                 if not part.num_rows:
                     continue
-                unit = np.frombuffer(b"".join(part.column("unit").to_pylist()), dtype=np.float64).reshape(-1, dim)
+                unit = _units(part.column("raw").to_pylist(), kind, dim)
                 rows, codes = [], []
                 for t in range(trees):
                     r, n = f.leaves(unit, t)
                     rows.append(r)
-                    codes.append(n + (t << 48))
+                    codes.append((n + (t << _TREE_BITS)).astype(np.int32))
                 row, code = np.concatenate(rows), np.concatenate(codes)
                 order = np.lexsort((code, row))
                 row, code = row[order], code[order]
@@ -96,8 +104,8 @@ def _place(forest, trees: int, dim: int):
                 own = [code[e - c : e].tobytes() for c, e in zip(counts, ends)]
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(code), part.column("vid").take(pa.array(row)), part.column("weight").take(pa.array(row)),
-                     part.column("unit").take(pa.array(row)), pa.array([own[i] for i in row], type=pa.binary())],
-                    names=["leaf", "vid", "weight", "unit", "codes"],
+                     part.column("raw").take(pa.array(row)), pa.array([own[i] for i in row], type=pa.binary())],
+                    names=["leaf", "vid", "weight", "raw", "codes"],
                 )
 
     return run
@@ -116,13 +124,13 @@ def _earlier(codes: list[np.ndarray], leaf: int) -> np.ndarray:
     return out
 
 
-def _compare(dim: int, least: float):
+def _compare(kind: str, dim: int, least: float):
     """One part of a leaf against another (or itself): new links per vector and spanning edges."""
 
     def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
         group = group.drop_duplicates(["vid", "side"])
         side = group.side.to_numpy()
-        unit = np.frombuffer(b"".join(group.unit), dtype=np.float64).reshape(-1, dim)
+        unit = _units(list(group.raw), kind, dim)
         ids, weight = group.vid.to_numpy(), group.weight.to_numpy()
         xs, ys = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
         same = key[1] == key[2]
@@ -139,7 +147,7 @@ def _compare(dim: int, least: float):
             return pd.DataFrame({"a": [], "n": [], "b": []}).astype("int64")
         near, xs, ys = near[np.ix_(xs_some, ys_some)], xs[xs_some], ys[ys_some]
         both = np.union1d(xs, ys)
-        met = _earlier([np.frombuffer(c, dtype=np.int64) for c in group.codes.iloc[both]], key[0])
+        met = _earlier([np.frombuffer(c, dtype=np.int32) for c in group.codes.iloc[both]], key[0])
         near &= ~(met[np.searchsorted(both, xs)] @ met[np.searchsorted(both, ys)].T > 0)
         links = np.zeros(len(unit), dtype=np.int64)
         links[xs] += near @ weight[ys]
@@ -170,47 +178,50 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, trees: int = TREES, spi
     """
     spark = vectors.sparkSession
     scratch = Scratch(spark, "forest")
-    kind = dict(vectors.dtypes)["embedding"]
+    kind = "<f4" if dict(vectors.dtypes)["embedding"] == "array<float>" else "<f8"
     rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding")
-
     fit = rows.where(F.size("embedding") > 0).orderBy(F.xxhash64("vec_id")).limit(sample).select("embedding").toArrow().column(0)
-    dims = [len(v) for v in fit.to_pylist() if v]
+    fit = fit.combine_chunks() if fit.num_chunks != 1 else fit.chunk(0)
+    dims = pa.compute.list_value_length(fit).to_pylist()
     if not dims:
         return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.col("vec_id").isNotNull().alias("kept"))
-    dim = max(set(dims), key=lambda d: (dims.count(d), d)) if len(set(dims)) > 1 else dims[0]
-    model = Forest(np.unique(_double(fit, dim)[0], axis=0), trees, leaf, spill, seed)
+    dim = max(set(dims), key=lambda d: (dims.count(d), d))
+    seen = _usable(fit, dim)[0]
+    seen = np.unique(seen, axis=0)
+    model = Forest(seen / np.sqrt((seen * seen).sum(axis=1, keepdims=True)), trees, leaf, spill, seed)
     forest = spark.sparkContext.broadcast(model)
 
-    def units(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def stored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            unit, at = _double(batch.column("embedding"), dim)
+            x, at = _usable(batch.column("embedding"), dim)
             own: list = [None] * batch.num_rows
-            for i, v in zip(at.tolist(), unit):
+            for i, v in zip(at.tolist(), (x + 0.0).astype(kind)):  # -0 and 0 are equal
                 own[i] = v.tobytes()
-            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), pa.array(own, type=pa.binary())], names=["vec_id", "unit"])
+            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), pa.array(own, type=pa.binary())], names=["vec_id", "raw"])
 
-    keyed = scratch.save(rows.mapInArrow(units, "vec_id long, unit binary"), "rows")
+    keyed = scratch.save(rows.mapInArrow(stored, "vec_id long, raw binary"), "rows")
     distinct = scratch.save(
-        keyed.where("unit is not null and vec_id is not null").groupBy("unit").agg(F.min("vec_id").alias("first"), F.count("*").alias("weight")).withColumn("vid", F.monotonically_increasing_id()), "distinct"
+        keyed.where("raw is not null and vec_id is not null").groupBy("raw").agg(F.min("vec_id").alias("first"), F.count("*").alias("weight")).withColumn("vid", F.monotonically_increasing_id()), "distinct"
     )
     placed = scratch.save(
-        distinct.select("vid", "weight", "unit").mapInArrow(_place(forest, trees, dim), "leaf long, vid long, weight long, unit binary, codes binary"), "placed"
+        distinct.select("vid", "weight", "raw").mapInArrow(_place(forest, trees, kind, dim), "leaf int, vid long, weight long, raw binary, codes binary"), "placed"
     )
     # a leaf of many vectors is cut into parts; each pair of its parts is a group of its own
     sizes = placed.groupBy("leaf").agg(F.count("*").alias("c")).where("c > 1").select("leaf", F.ceil(F.col("c") / part).cast("int").alias("parts"))
     cut = placed.join(sizes, "leaf").withColumn("p", F.pmod(F.xxhash64("vid"), F.col("parts")).cast("int"))
     met = cut.withColumn("q", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select(
-        "leaf", F.least("p", "q").alias("p"), F.greatest("p", "q").alias("q"), (F.col("p") > F.col("q")).cast("int").alias("side"), "vid", "weight", "unit", "codes"
+        "leaf", F.least("p", "q").alias("p"), F.greatest("p", "q").alias("q"), (F.col("p") > F.col("q")).cast("int").alias("side"), "vid", "weight", "raw", "codes"
     )
-    found = scratch.save(met.groupBy("leaf", "p", "q").applyInPandas(_compare(dim, least), "a long, n long, b long"), "found")
+    found = scratch.save(met.groupBy("leaf", "p", "q").applyInPandas(_compare(kind, dim, least), "a long, n long, b long"), "found")
+    scratch.drop("placed")
     roots = connected_components(found.where("a <> b").select("a", "b"), scratch)
     counts = found.where("n > 0").groupBy("a").agg(F.sum("n").alias("n"))
     named = distinct.select("vid", "first", "weight").join(roots, F.col("vid") == F.col("id"), "left").withColumn("root", F.coalesce("root", "vid"))
     least_id = named.groupBy("root").agg(F.min("first").alias("component"))
     of_vid = named.join(least_id, "root").join(counts, F.col("vid") == F.col("a"), "left")
     of_vid = scratch.save(of_vid.select("vid", "component", (F.coalesce("n", F.lit(0)) + F.col("weight") - 1).alias("links")), "of_vid")
-    of_unit = distinct.select("unit", "vid").join(of_vid, "vid").select("unit", "component", "links")
-    out = keyed.join(of_unit, "unit", "left")
+    of_raw = distinct.select("raw", "vid").join(of_vid, "vid").select("raw", "component", "links")
+    out = keyed.join(of_raw, "raw", "left")
     own = F.when(F.col("vec_id").isNotNull(), F.coalesce("component", "vec_id"))
     linked = F.when(F.col("vec_id").isNotNull(), F.col("links"))
     out = out.select("vec_id", F.coalesce(linked, F.lit(0)).cast("long").alias("n_links"), own.alias("component_id"))

@@ -39,6 +39,11 @@ def _tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers[0], _powers[1]
 
 
+def forget() -> None:
+    """Drops the tables of powers; they are made again when they are needed."""
+    _powers.clear()
+
+
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string column; a null has no bytes."""
     if isinstance(column, pa.ChunkedArray):

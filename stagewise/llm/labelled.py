@@ -2,16 +2,10 @@
 
 from __future__ import annotations
 
-import ctypes
-import gc
-
 import pandas as pd
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stagewise.llm import texthash
-
 
 def held_out(doc_id: F.Column) -> F.Column:
     """Rows whose label no classifier learns: crc32 of the id as text, modulo 4, is 2."""
@@ -43,16 +37,6 @@ def fit_sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, extra:
     return found.sort_values(["doc_id", "text"]).drop_duplicates("doc_id").reset_index(drop=True)
 
 
-def give_back() -> None:
-    """Returns what fitting has freed to the system, as the driver's Python lives on beside its JVM."""
-    texthash.forget()
-    gc.collect()
-    pa.default_memory_pool().release_unused()
-    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of the GNU library only
-    if trim is not None:
-        trim(0)
-
-
 def auc(score, label) -> float:
     order = pd.Series(score).rank()
     pos = label == 1

@@ -135,7 +135,7 @@ class WordTokens:
     last token.  Texts that may hold the name of a special token go to the tokenizer whole.
     """
 
-    def __init__(self, path: str, most: int = 1 << 20):
+    def __init__(self, path: str, most: int = 1 << 19):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -305,6 +305,7 @@ def _packer(tokens: Callable[[], Callable[[pa.Array], list[np.ndarray]]], end_id
                         yield flush()
         if held:
             yield flush()
+        texthash.give_back()
 
     return run
 

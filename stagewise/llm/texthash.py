@@ -7,6 +7,8 @@ of a block are hashed at once, and then mixed.  Nothing here loops over words.
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from collections.abc import Iterator
 
 import numpy as np
@@ -39,9 +41,14 @@ def _tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers[0], _powers[1]
 
 
-def forget() -> None:
-    """Drops the tables of powers; they are made again when they are needed."""
-    _powers.clear()
+def give_back() -> None:
+    """Returns what is free to the system: the driver's Python and the workers live on beside a JVM."""
+    _powers.clear()  # made again when they are needed
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of the GNU library only
+    if trim is not None:
+        trim(0)
 
 
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:

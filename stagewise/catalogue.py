@@ -457,3 +457,21 @@ _register("stream_enrich", "select event_id, c_mktsegment from events join custo
 )
 _register("stream_session")(lambda s, d: reports.collected(reports.sessions(_stream(s, d), "6 hours", LATE)))
 _register("stream_sliding")(lambda s, d: reports.collected(reports.sliding(_stream(s, d), "2 days", "1 day", LATE)))
+
+# --- further functions --------------------------------------------------------------------
+
+_register("plan_refcounts", seg_sql("orders") + _NODES + "select path, start, count(*) as refs from seg group by path, start")(lambda s, d: T.nodes(seg(s, d, "orders")).select("path", "start", "refs"))
+_register("range_metric", "select event_id, count(*) over w as n, round(max(value) over w, 6) as best from events window w as (partition by user_id order by ts range between interval 1 day preceding and current row)")(
+    lambda s, d: A.table(s, d, "events").withColumn("at", F.unix_micros(F.col("ts").cast("timestamp"))).select(
+        "event_id", F.count("*").over(w := Window.partitionBy("user_id").orderBy("at").rangeBetween(-86_400_000_000, 0)).alias("n"), F.round(F.max("value").over(w), 6).alias("best")
+    )
+)
+_register("vector_dot", "select vec_id, round(list_sum(list_transform(embedding, lambda x: cast(x as double) * cast(x as double))), 4) as dot from embeddings")(
+    lambda s, d: A.table(s, d, "embeddings").select("vec_id", F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")), 4).alias("dot"))
+)
+_SPECS = ["constant(0.1)", "exponential(0.1,0.95)", "linear(0.1,0,100)"]
+_register("parse_specs", "select spec, regexp_extract(spec, '^([a-z]+)', 1) as fn, cast(len(string_split(spec, ',')) as bigint) as n_args, cast(regexp_extract(spec, '[(]([0-9.]+)', 1) as double) as first_arg from (values " + ", ".join(f"('{x}')" for x in _SPECS) + ") t(spec)")(
+    lambda s, d: s.createDataFrame([(x,) for x in _SPECS], "spec string").select(
+        "spec", F.regexp_extract("spec", "^([a-z]+)", 1).alias("fn"), F.size(F.split("spec", ",")).cast("long").alias("n_args"), F.regexp_extract("spec", "[(]([0-9.]+)", 1).cast("double").alias("first_arg")
+    )
+)

@@ -1,7 +1,7 @@
 """Near-duplicate vectors by a forest of random-projection trees.
 
-The split directions and thresholds of every tree are fitted on a bounded sample; every
-vector then goes down all trees, at each split into both halves when it lies near the threshold
+The split directions and thresholds of every tree are fitted on a bounded sample, to a depth
+that follows the number of vectors; every vector then goes down all trees, at each split into both halves when it lies near the threshold
 (spill).  Vectors of one leaf are compared in double precision.  A pair that meets in several
 leaves is counted in the first one only, so links are counted without a table of pairs: a
 leaf gives each vector its number of new links, and spanning edges of its linked vectors.
@@ -24,7 +24,7 @@ from stagewise.llm.scratch import Scratch
 
 SAMPLE = 20_000
 TREES, SPILL, LEAF = 8, 0.15, 48
-_TREE_BITS = 20  # a leaf code is its tree times 2**20 and its node
+_TREE_BITS = 26  # a leaf code is its tree times 2**26 and its node
 
 
 def _usable(column: pa.Array, dim: int | None = None) -> tuple[np.ndarray, np.ndarray]:
@@ -48,19 +48,30 @@ def _units(raw: list[bytes], kind: str, dim: int) -> np.ndarray:
 
 
 class Forest:
-    """Trees as arrays: of node k of tree t, a direction, a threshold and a margin; its halves are 2 k and 2 k + 1."""
+    """Trees as arrays: of node k of tree t, a direction, a threshold and a margin; its halves are 2 k and 2 k + 1.
 
-    def __init__(self, sample: np.ndarray, trees: int, leaf: int, spill: float, seed: int):
+    These upper levels end where few sample vectors are left in a node, a cell.  A table too large
+    for that gets further levels: all cells of a tree share one direction a level, and each has a
+    threshold and margin of its own from the sample vectors that it holds.  The model's
+    size thus follows the sample, and the depth the table.
+    """
+
+    def __init__(self, sample: np.ndarray, trees: int, leaf: int, spill: float, seed: int, least_depth: int = 0):
         rng = np.random.default_rng(seed)
-        self.depth = max(0, int(np.ceil(np.log2(max(1, len(sample) / leaf)))))
-        dim = sample.shape[1]
-        self.directions = rng.standard_normal((trees, 1 << self.depth, dim))
+        self.upper = max(0, int(np.ceil(np.log2(max(1, len(sample) / leaf)))))
+        self.depth = min(max(self.upper, least_depth), _TREE_BITS - 1)
+        dim, cells = sample.shape[1], 1 << self.upper
+        self.directions = rng.standard_normal((trees, cells, dim))
         self.directions /= np.linalg.norm(self.directions, axis=2, keepdims=True)
-        self.threshold = np.zeros((trees, 1 << self.depth))
-        self.margin = np.zeros((trees, 1 << self.depth))
+        self.threshold = np.zeros((trees, cells))
+        self.margin = np.zeros((trees, cells))
+        self.lower = rng.standard_normal((trees, self.depth - self.upper, dim))
+        self.lower /= np.linalg.norm(self.lower, axis=2, keepdims=True)
+        self.lower_threshold = np.zeros((trees, self.depth - self.upper, cells))
+        self.lower_margin = np.zeros((trees, self.depth - self.upper, cells))
         for t in range(trees):
             held = {1: np.arange(len(sample))}
-            for _ in range(self.depth):
+            for _ in range(self.upper):
                 below = {}
                 for k, rows in held.items():
                     p = sample[rows] @ self.directions[t, k]
@@ -69,13 +80,24 @@ class Forest:
                         self.margin[t, k] = spill * p.std()
                     below[2 * k], below[2 * k + 1] = rows[p <= self.threshold[t, k]], rows[p > self.threshold[t, k]]
                 held = below
+            if self.depth > self.upper:
+                for k, rows in held.items():
+                    p = sample[rows] @ self.lower[t].T if len(rows) else np.zeros((1, self.depth - self.upper))
+                    self.lower_threshold[t, :, k - cells] = np.median(p, axis=0)
+                    self.lower_margin[t, :, k - cells] = spill * p.std(axis=0)
 
     def leaves(self, vectors: np.ndarray, t: int) -> tuple[np.ndarray, np.ndarray]:
         """(row, leaf) of each vector, in one or more leaves of tree t."""
         row, node = np.arange(len(vectors)), np.ones(len(vectors), dtype=np.int64)
-        for _ in range(self.depth):
-            gap = np.einsum("ij,ij->i", vectors[row], self.directions[t, node]) - self.threshold[t, node]
-            low, high = gap <= self.margin[t, node], gap > -self.margin[t, node]
+        for level in range(self.depth):
+            if level < self.upper:
+                gap = np.einsum("ij,ij->i", vectors[row], self.directions[t, node]) - self.threshold[t, node]
+                margin = self.margin[t, node]
+            else:
+                k = level - self.upper
+                cell = (node >> k) - (1 << self.upper)
+                gap, margin = (vectors @ self.lower[t, k])[row] - self.lower_threshold[t, k, cell], self.lower_margin[t, k, cell]
+            low, high = gap <= margin, gap > -margin
             row, node = np.concatenate([row[low], row[high]]), np.concatenate([2 * node[low], 2 * node[high] + 1])
         return row, node
 
@@ -174,7 +196,8 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, trees: int = TREES, spi
     them together (the recall is measured in the tests).  ``n_links`` counts other rows; ``component_id`` is the
     smallest vec_id reachable.  Null, zero, empty, non-finite vectors, and those of another
     length than most of the sample, link with nothing.  The splits are fitted on at most ``sample`` rows; every
-    row is indexed.  Leaves of more than ``part`` vectors are compared in parts, all against all.
+    row is indexed.  The trees are so deep that a leaf has about half of ``part`` vectors or less, whatever the
+    table's size; leaves of more than ``part`` vectors (dense regions) are compared in parts, all against all.
     """
     spark = vectors.sparkSession
     scratch = Scratch(spark, "forest")
@@ -188,8 +211,6 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, trees: int = TREES, spi
     dim = max(set(dims), key=lambda d: (dims.count(d), d))
     seen = _usable(fit, dim)[0]
     seen = np.unique(seen, axis=0)
-    model = Forest(seen / np.sqrt((seen * seen).sum(axis=1, keepdims=True)), trees, leaf, spill, seed)
-    forest = spark.sparkContext.broadcast(model)
 
     def stored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -203,6 +224,8 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, trees: int = TREES, spi
     distinct = scratch.save(
         keyed.where("raw is not null and vec_id is not null").groupBy("raw").agg(F.min("vec_id").alias("first"), F.count("*").alias("weight")).withColumn("vid", F.monotonically_increasing_id()), "distinct"
     )
+    least_depth = int(np.ceil(np.log2(max(1, 2 * distinct.count() / part))))
+    forest = spark.sparkContext.broadcast(Forest(seen / np.sqrt((seen * seen).sum(axis=1, keepdims=True)), trees, leaf, spill, seed, least_depth))
     placed = scratch.save(
         distinct.select("vid", "weight", "raw").mapInArrow(_place(forest, trees, kind, dim), "leaf int, vid long, weight long, raw binary, codes binary"), "placed"
     )

@@ -268,6 +268,25 @@ def test_vectors(spark, sf):
     assert vector_forest.near_vectors(df.limit(0)).count() == 0
 
 
+def test_trees_deeper_than_the_sample_reaches():
+    rng = np.random.default_rng(11)
+    base = rng.standard_normal((4000, 64))
+    near = base[:2000] + 0.25 * rng.standard_normal((2000, 64))  # cosines of about 0.97
+    unit = np.concatenate([base, near])
+    unit /= np.linalg.norm(unit, axis=1, keepdims=True)
+    f = vector_forest.Forest(unit[rng.permutation(len(unit))[:600]], 8, 48, vector_forest.SPILL, 7, least_depth=9)
+    assert (f.upper, f.depth) == (4, 9)
+    met, largest = np.zeros(2000, dtype=bool), 0
+    for t in range(8):
+        row, leaf = f.leaves(unit, t)
+        assert len(np.unique(row)) == len(unit)  # every vector is in a leaf
+        largest = max(largest, np.bincount(leaf).max())
+        own = set(zip(row.tolist(), leaf.tolist()))
+        met[[i - 4000 for i, n in own if i >= 4000 and (i - 4000, n) in own]] = True
+    assert met.mean() >= 0.9
+    assert largest < len(unit) / 16  # the sample alone would stop at 1/16 and its spill
+
+
 def test_line_spread_is_exact(spark, odd):
     rows = [(k, f"common line\nonly {k}\n\ncommon line", "en", f"s{k % 12}", 0) for k in range(40)] + [(100 + k, "rare line", "en", f"s{k % 9}", 0) for k in range(30)]
     got = {r["doc_id"]: r for r in line_spread.remove_boilerplate(spark.createDataFrame(rows, DOCS)).collect()}

@@ -23,6 +23,7 @@ from stagewise.llm import texthash
 
 WINDOW = 4096
 GROUP_TOKENS = 4 << 20
+ENCODE_WORDS = 1 << 13  # new words given to the tokenizer at once: its results take some hundred bytes a word
 _PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
@@ -144,6 +145,7 @@ class WordTokens:
         self.last[[i for x, i in vocabulary.items() if x.endswith("</w>")]] = True
         self.most = most
         self._clear()
+        texthash.give_back()  # what parsing the vocabulary left behind
 
     def _clear(self) -> None:
         # rows: hash, check, start and number of ids; a hash of 0 is a free row
@@ -232,7 +234,9 @@ class WordTokens:
             first[1:] = (h[new[1:]] != h[new[:-1]]) | (check[new[1:]] != check[new[:-1]])
             new = new[first]
             text = raw.tobytes()
-            self._add(h[new], check[new], self._encode([text[x:y].decode() for x, y in zip(a[new].tolist(), b[new].tolist())]))
+            for k in range(0, len(new), ENCODE_WORDS):
+                some = new[k : k + ENCODE_WORDS]
+                self._add(h[some], check[some], self._encode([text[x:y].decode() for x, y in zip(a[some].tolist(), b[some].tolist())]))
             rows = self._find(h, check)
         at, size = self.table[rows, 2].astype(np.int64), self.table[rows, 3].astype(np.int64)
         before = np.cumsum(size) - size

@@ -14,7 +14,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-BLOCK = 1 << 20  # bytes hashed at once; a longer word makes its block longer
+BLOCK = 1 << 19  # bytes hashed at once; a longer word makes its block longer
 _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32

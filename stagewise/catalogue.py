@@ -77,8 +77,8 @@ for _kind in ("orders", "lineitem", "events", "conversations"):
 _register("merge_by_segment", seg_sql("by_segment") + _RATE.replace("select cast(sum(r)", "select study, cast(sum(r)").replace("(select path", "(select study, path").replace("group by path)", "group by study, path) group by study"))(
     lambda s, d: M.merge_rate(seg(s, d, "by_segment"), ("study",))
 )
-_register("merge_bruteforce", seg_sql("orders") + "select cast(sum(c) as bigint) as total_steps, count(*) as unique_steps from (select path, step, count(*) as c from (select path, unnest(range(start, end_)) as step from seg where trial < 100) group by path, step)")(
-    lambda s, d: M.merge_bruteforce(seg(s, d, "orders").where("trial < 100"))
+_register("merge_bruteforce", seg_sql("orders") + "select cast(sum(c) as bigint) as total_steps, count(*) as unique_steps from (select path, step, count(*) as c from (select path, unnest(range(start, end_)) as step from seg) group by path, step)")(
+    lambda s, d: M.merge_bruteforce(seg(s, d, "orders"))
 )
 _register("merge_unshared", seg_sql("high") + "select 'none' as sharing, cast(sum(end_ - start) as bigint) as unique_steps from seg union all select 'study', cast(sum(u) as bigint) from (select max(end_) - min(start) as u from seg group by study, path) union all select 'plan', cast(sum(u) as bigint) from (select max(end_) - min(start) as u from seg group by path)")(
     lambda s, d: _sharing(seg(s, d, "high"))
@@ -135,7 +135,7 @@ _register("cost_rate", seg_sql("high") + f"select round(sum(t * sec), 6) as cost
 _register("coalesce_segments", seg_sql("orders") + "select trial, k, start, end_ as \"end\", cfg from seg")(lambda s, d: seg(s, d, "orders").select("trial", F.col("k").cast("long").alias("k"), "start", "end", "cfg"))
 _register("prefix_steps", seg_sql("orders") + "select trial, k, start as before, end_ - start as steps from seg")(lambda s, d: T.prefix_steps(seg(s, d, "orders")).select("trial", F.col("k").cast("long").alias("k"), "before", "steps"))
 _register("lineage_paths", seg_sql("orders") + "select trial, k, path, parent, substr(sha256(path), 1, 32) as node_id from seg")(lambda s, d: seg(s, d, "orders").select("trial", F.col("k").cast("long").alias("k"), "path", "parent", T.node_id(F.col("path")).alias("node_id")))
-_register("expand_steps", seg_sql("orders") + "select trial, cast(step as bigint) as step, cfg from (select trial, cfg, unnest(range(start, end_)) as step from seg where trial < 50)")(lambda s, d: T.expand_steps(seg(s, d, "orders").where("trial < 50")).select("trial", "step", "cfg"))
+_register("expand_steps", seg_sql("orders") + "select trial, cast(step as bigint) as step, cfg from (select trial, cfg, unnest(range(start, end_)) as step from seg)")(lambda s, d: T.expand_steps(seg(s, d, "orders")).select("trial", "step", "cfg"))
 _register("counts", seg_sql("orders") + "select count(*) filter (where k = 0) as trials, count(*) as segments, count(distinct path) as nodes, cast(max(k) as bigint) as max_depth from seg")(
     lambda s, d: M.counts(seg(s, d, "orders")).withColumn("max_depth", F.col("max_depth").cast("long"))
 )
@@ -186,8 +186,8 @@ _register("hit_trials_semi", seg_sql("orders") + _NODES + _EVEN + "select r.tria
 _register("resubmit_hits", seg_sql("orders") + _NODES + _EVEN + "select (select count(*) from evr) as answered, (select count(*) from (select distinct path, step from req) r where not exists (select 1 from evr where evr.path = r.path and evr.step = r.step)) as new_requests")(
     lambda s, d: (x := _resubmit(s, d)[1]).answered.agg(F.count("*").alias("answered")).crossJoin(x.new_requests.agg(F.count("*").alias("new_requests")))
 )
-_register("plan_diff", seg_sql("orders") + "select coalesce(a.path, b.path) as path, case when a.path is null then 'new' when b.path is null then 'gone' else 'both' end as state from (select distinct path from seg where trial % 2 = 0) a full join (select distinct path from seg where trial % 3 = 0) b on a.path = b.path")(
-    lambda s, d: (g := seg(s, d, "orders")).where("trial % 2 = 0").select("path").distinct().alias("a").join(g.where("trial % 3 = 0").select(F.col("path").alias("p")).distinct(), F.expr("path = p"), "full").select(F.coalesce("path", "p").alias("path"), F.when(F.col("path").isNull(), "new").when(F.col("p").isNull(), "gone").otherwise("both").alias("state"))
+_register("plan_diff", seg_sql("orders") + "select coalesce(a.path, b.path) as path, case when a.path is null then 'new' when b.path is null then 'gone' else 'both' end as state from (select distinct path from seg where trial % 2 = 0) a full join (select distinct path from seg where trial % 2 = 1) b on a.path = b.path")(
+    lambda s, d: (g := seg(s, d, "orders")).where("trial % 2 = 0").select("path").distinct().alias("a").join(g.where("trial % 2 = 1").select(F.col("path").alias("p")).distinct(), F.expr("path = p"), "full").select(F.coalesce("path", "p").alias("path"), F.when(F.col("path").isNull(), "new").when(F.col("p").isNull(), "gone").otherwise("both").alias("state"))
 )
 _register("plan_release", seg_sql("orders") + _NODES + "select path, step from req group by path, step having min(trial) % 5 = 0 and max(trial) % 5 = 0 and count(*) filter (where trial % 5 <> 0) = 0")(
     lambda s, d: plan.Plan((g := seg(s, d, "orders")).select("path").distinct(), plan.requests(g).select("path", "step")).release(g, g.where("trial % 5 = 0").select("study", "trial").distinct())
@@ -228,8 +228,8 @@ _register("resume_tree_literal", _PLAN_SQL + "select path, lo, hi from nd")(lamb
 _register("repeated_steps", _PLAN_SQL + "select cast((select sum(hi - lo) from tree) as bigint) as breakpoints, cast((select sum(hi - lo) from nd) as bigint) as literal")(
     lambda s, d: _tree(s, d, "breakpoints").agg(F.sum(F.col("hi") - F.col("lo")).alias("breakpoints")).crossJoin(_tree(s, d, "literal").agg(F.sum(F.col("hi") - F.col("lo")).alias("literal")))
 )
-_register("ancestors_recursive", seg_sql("orders").replace("with pc", "with recursive pc") + _NODES + ", up as (select path as node, path as ancestor, parent, cast(0 as bigint) as dist from nodes where depth <= 5 union all select up.node, n.path, n.parent, up.dist + 1 from up join nodes n on n.path = up.parent) select node, ancestor, dist from up")(
-    lambda s, d: forest.ancestry(T.nodes(seg(s, d, "orders")).where("depth <= 5")).select("node", "ancestor", "dist")
+_register("ancestors_recursive", seg_sql("orders").replace("with pc", "with recursive pc") + _NODES + ", up as (select path as node, path as ancestor, parent, cast(0 as bigint) as dist from nodes union all select up.node, n.path, n.parent, up.dist + 1 from up join nodes n on n.path = up.parent) select node, ancestor, dist from up")(
+    lambda s, d: forest.ancestry(T.nodes(seg(s, d, "orders"))).select("node", "ancestor", "dist")
 )
 for _name, _sql, _op in (("nodes_intersect", "intersect", "intersect"), ("nodes_except", "except", "subtract"), ("nodes_union", "union", "union")):
     _register(_name, seg_sql("high") + f"select path, start from seg where study = '0' {_sql} select path, start from seg where study = '1'")(
@@ -413,32 +413,51 @@ _register("fig_plan_literal", "select * from (values ('0:H1', 10, 15), ('0:H1/10
 # --- training -----------------------------------------------------------------------------
 
 
-def _data(s: SparkSession, d: str, n: int = 400) -> tuple[np.ndarray, np.ndarray]:
-    """The first n vectors by id; the class is the largest of the first ten coordinates."""
-    v = A.table(s, d, "embeddings").orderBy("vec_id").limit(n).toPandas()
-    x = np.array(v["embedding"].tolist(), dtype=np.float64)
-    return x, x[:, :10].argmax(axis=1)
-
-
-def _study(s: SparkSession, d: str, pieces: DataFrame, limit: int) -> DataFrame:
-    """Trains the first trials of a space with sharing and alone: (mode, trials, steps_run, best, max_abs_diff)."""
-    own = T.canonical(pieces.where(F.col("trial") < limit)).toPandas()
-    x, y = _data(s, d)
-    hold = np.arange(len(x)) % 5 == 0
-    learner = training.Softmax(x[~hold], y[~hold], 10)
-    out, params = [], {}
-    for mode, shared in (("trial", False), ("stage", True)):
-        told, steps = training.train_trials(own, learner, x[hold], y[hold], shared)
-        params[mode] = told["params"].tolist()
-        out.append((mode, len(told), steps, float(told["value"].max())))
-    equal = params["trial"] == params["stage"]
-    return s.createDataFrame([(*r, equal) for r in out], "mode string, trials long, steps_run long, best double, equal boolean")
+def _vectors(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    """(rows to learn from, held-out rows): the class is the position of the largest of the first ten coordinates."""
+    ten = F.slice("embedding", 1, 10)
+    v = A.table(s, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("x"), (F.array_position(ten, F.array_max(ten)) - 1).alias("y"))
+    out = F.crc32(F.col("id").cast("string")) % 5 == 0
+    return v.where(~out), v.where(out)
+
+
+def _study(s: SparkSession, d: str, pieces: DataFrame) -> DataFrame:
+    """All trials of a space, alone and with sharing: (mode, trials, steps_run, best, equal); equal: both modes give the same bits."""
+    learn, held = _vectors(s, d)
+    data, own = training.fit_sample(learn), T.canonical(pieces).withColumn("ckpt", F.lit(None).cast("binary"))
+    alone, shared = (training.train(own, data, 10, x).persist() for x in (False, True))
+    best = training.scores(shared, held, 10).agg(F.max("value").alias("best"))
+    differ = alone.select("study", "trial", "ckpt").exceptAll(shared.select("study", "trial", "ckpt")).agg((F.count("*") == 0).alias("equal"))
+    told = [t.agg(F.lit(m).alias("mode"), F.count("*").alias("trials"), F.sum("steps_run").alias("steps_run")) for m, t in (("trial", alone), ("stage", shared))]
+    return told[0].unionByName(told[1]).join(F.broadcast(best)).join(F.broadcast(differ))
+
+
+def _study_halving(s: SparkSession, d: str, pieces: DataFrame, eta: int, rungs: list[int]) -> DataFrame:
+    """Successive halving that trains: (mode, rung, trials, steps_run, best); the trials that stay resume from their states."""
+    learn, held = _vectors(s, d)
+    data, out = training.fit_sample(learn), None
+    for mode in ("trial", "stage"):
+        own, lo = T.canonical(pieces).withColumn("ckpt", F.lit(None).cast("binary")), 0
+        for hi in rungs:
+            done = training.train(own, data, 10, mode == "stage", lo, hi).persist()
+            value = training.scores(done, held, 10).persist()
+            row = done.agg(F.lit(mode).alias("mode"), F.lit(hi).cast("long").alias("rung"), F.count("*").alias("trials"), F.sum("steps_run").alias("steps_run")).join(F.broadcast(value.agg(F.round(F.max("value"), 6).alias("best"))))
+            out = row if out is None else out.unionByName(row)
+            stay = value.orderBy(F.desc("value"), "study", "trial").limit(max(1, done.count() // eta)).select("study", "trial")
+            own, lo = own.drop("ckpt").join(F.broadcast(stay), ["study", "trial"]).join(done.select("study", "trial", "ckpt"), ["study", "trial"]), hi
+    return out
 
 
 _TWO = [(1, 0, "bs=constant(32);lr=constant(0.5)", 200), (2, 0, "bs=constant(32);lr=constant(0.5)", 100), (2, 1, "bs=constant(32);lr=constant(0.05)", 50), (2, 2, "bs=constant(32);lr=constant(0.005)", 50)]
-_register("curve_two_trials")(lambda s, d: _study(s, d, s.createDataFrame([("w3", *r) for r in _TWO], "study string, trial bigint, ord bigint, cfg string, steps bigint"), 3))
-_register("study_grid_cutout")(lambda s, d: _study(s, d, space.w6(s), 24))
-_register("lossless_check", "select true as equal")(lambda s, d: _study(s, d, space.w6(s), 12).groupBy().agg(F.bool_and("equal").alias("equal")))
+_register("curve_two_trials")(lambda s, d: _study(s, d, s.createDataFrame([("w3", *r) for r in _TWO], "study string, trial bigint, ord bigint, cfg string, steps bigint")))
+_register("study_grid_cutout")(lambda s, d: _study(s, d, space.w6(s)))
+_register("study_sha")(lambda s, d: _study_halving(s, d, space.w4(s), 4, [15, 60, 120]))
+for _k in (1, 2, 4, 8):
+    _register(f"multi_high_s{_k}")(lambda s, d, k=_k: _study(s, d, space.w8(s, k)))
+    _register(f"multi_low_s{_k}")(lambda s, d, k=_k: _study(s, d, space.w9(s, k)))
+# what training runs is what the merge rates of the same space say
+_register("study_steps", "select * from (values ('stage', 240, 9108), ('trial', 240, 28800)) as t(mode, trials, steps_run)")(lambda s, d: _study(s, d, space.w6(s)).select("mode", "trials", "steps_run"))
+_register("lossless_check", "select true as equal")(lambda s, d: _study(s, d, space.w6(s)).groupBy().agg(F.bool_and("equal").alias("equal")))
 
 # --- streams ------------------------------------------------------------------------------
 
@@ -455,6 +474,9 @@ _register("stream_dedup", "select event_id, event_type from events")(lambda s, d
 _register("stream_enrich", "select event_id, c_mktsegment from events join customer on user_id = c_custkey")(
     lambda s, d: reports.collected(reports.enriched(_stream(s, d), A.table(s, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_mktsegment"), "user_id").select("event_id", "c_mktsegment"), "append")
 )
+_register("stream_interval_join", "select a.event_id, b.event_id as later_id from events a join events b on a.user_id = b.user_id and b.ts > a.ts and b.ts <= a.ts + interval 1 hour where a.event_type = 'signup' and b.event_type = 'purchase'")(
+    lambda s, d: reports.collected(reports.followed(_stream(s, d).where("event_type = 'signup'"), _stream(s, d).where("event_type = 'purchase'"), "1 hour", LATE).select("event_id", "later_id"), "append")
+)
 _register("stream_session")(lambda s, d: reports.collected(reports.sessions(_stream(s, d), "6 hours", LATE)))
 _register("stream_sliding")(lambda s, d: reports.collected(reports.sliding(_stream(s, d), "2 days", "1 day", LATE)))
 
@@ -475,3 +497,29 @@ _register("parse_specs", "select spec, regexp_extract(spec, '^([a-z]+)', 1) as f
         "spec", F.regexp_extract("spec", "^([a-z]+)", 1).alias("fn"), F.size(F.split("spec", ",")).cast("long").alias("n_args"), F.regexp_extract("spec", "[(]([0-9.]+)", 1).cast("double").alias("first_arg")
     )
 )
+_register("udf_hp_value", "select step, round(0.1 * pow(0.95, step), 9) as value from (select unnest(range(0, 100)) as step)")(
+    lambda s, d: s.range(100).select(F.col("id").alias("step"), F.round(H.value_udf()(F.lit("exponential(0.1,0.95)"), F.col("id")), 9).alias("value"))
+)
+
+
+def _sql_surface(s: SparkSession, d: str) -> DataFrame:
+    seg(s, d, "orders").createOrReplaceTempView("segments")
+    return s.sql("select cast(depth as bigint) as depth, count(*) as segments, count(distinct path) as nodes from segments group by depth")
+
+
+def _udtf_expand(s: SparkSession, d: str) -> DataFrame:
+    seg(s, d, "orders").createOrReplaceTempView("segments")
+    s.udtf.register("expand_range", T.expand_udtf())
+    return s.sql("select trial, step, cfg from segments, lateral expand_range(segments.start, segments.end)")
+
+
+_register("sql_surface", seg_sql("orders") + "select cast(k as bigint) as depth, count(*) as segments, count(distinct path) as nodes from seg group by k")(_sql_surface)
+_register("udtf_expand", seg_sql("orders") + "select trial, cast(step as bigint) as step, cfg from (select trial, cfg, unnest(range(start, end_)) as step from seg)")(_udtf_expand)
+_register("ckpt_map", seg_sql("orders") + _CK + ", steps as (select path, step from ck) select path, count(*) as n, cast(max(step) as bigint) as latest from steps group by path")(
+    lambda s, d: _ckpts(seg(s, d, "orders")).groupBy("path").agg(F.map_from_entries(F.collect_list(F.struct("step", F.sha2(F.col("path").cast("binary"), 256)))).alias("files"))
+    .select("path", F.size("files").cast("long").alias("n"), F.array_max(F.map_keys("files")).alias("latest"))
+)
+_NORMAL = [("exponential", (0.5, 1.0)), ("linear", (0.25, 0.25, 10.0)), ("cosine", (0.5, 10.0, 0.5)), ("linear", (0.5, 0.0, 100.0))]
+_register("hp_normalise", "select * from (values ('cosine', 'constant(0.5)'), ('exponential', 'constant(0.5)'), ('linear', 'constant(0.25)'), ('linear', 'linear(0.5,0,100)')) as t(fn, canonical)")(
+    lambda s, d: s.createDataFrame([(fn, H.Piece(10, fn, args).text()) for fn, args in _NORMAL], "fn string, canonical string")
+)

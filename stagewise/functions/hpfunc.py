@@ -9,6 +9,7 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -137,3 +138,14 @@ def value(fn: Column, args: Column, t: Column) -> Column:
         .when(fn == "linear", a[0] + (a[1] - a[0]) * t / a[2])
         .when(fn == "cosine", a[2] + (a[0] - a[2]) * (1 + F.cos(F.pi() * t / a[1])) / 2)
     )
+
+
+def value_udf():
+    """(canonical text, step) -> value as a vectorised function, for clients whose settings are texts in a column."""
+    @F.pandas_udf("double")
+    def hp_value(text: pd.Series, step: pd.Series) -> pd.Series:
+        from stagewise.operators.training import parse_value
+
+        return pd.Series([parse_value(x, int(t)) for x, t in zip(text, step)], dtype="float64")
+
+    return hp_value

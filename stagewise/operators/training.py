@@ -108,31 +108,90 @@ def settings(cfg: str, t: int) -> dict[str, float]:
     return {k: parse_value(v, t) for k, v in (x.split("=", 1) for x in cfg.split(";"))}
 
 
-def train_trials(segments: pd.DataFrame, learner, x_test: np.ndarray, y_test: np.ndarray, shared: bool, steps_per_unit: int = 1) -> tuple[pd.DataFrame, int]:
-    """Trains all trials; shared: a node's steps are trained once, resuming from its parent's state.
+def train_trials(segments: pd.DataFrame, learner, shared: bool, lo: int = 0, hi: int | None = None) -> tuple[list[tuple], int]:
+    """Trains the steps lo..hi of trials that all stand at lo; a trial's ``ckpt`` is its state there (null: fresh).
 
-    Returns (trial, step, value, digest of the parameters) and the number of steps trained.
+    shared: a stage of a node is trained once, and every trial through it resumes from the state
+    at its end.  States are kept at ends of stages only.  Returns ((study, trial, step, state), ..) and the number of steps trained.
     """
-    states: dict[tuple, State] = {}
-    steps = 0
-    out = []
-    for trial, own in segments.sort_values(["trial", "k"]).groupby("trial", sort=True):
-        s = learner.fresh()
+    segments = segments.assign(lo=segments["start"].clip(lower=lo), hi=segments["end"] if hi is None else segments["end"].clip(upper=hi))
+    segments = segments[segments["lo"] < segments["hi"]]
+    cuts = {path: sorted(set(own)) for path, own in segments.groupby("path")["hi"]}
+    for path, parent, start in set(zip(segments["path"], segments["parent"], segments["lo"])):
+        if parent in cuts and start > lo:
+            cuts[parent] = sorted({*cuts[parent], start})
+    states: dict[tuple, bytes] = {}
+    steps, out = 0, []
+    for (study, trial), own in segments.sort_values(["study", "trial", "k"]).groupby(["study", "trial"], sort=True):
+        first = own["ckpt"].iloc[0]
+        s = learner.fresh() if first is None else State.load(first)
         for row in own.itertuples():
-            for at in range(row.start, row.end):
-                key = (row.path, at + 1) if shared else (trial, row.path, at + 1)
-                if key in states:
-                    raw = states[key]
-                else:
-                    hp = settings(row.cfg, at - row.start)
-                    for _ in range(steps_per_unit):
-                        learner.step(s, hp)
-                        steps += 1
-                    raw = s.dump()
-                    states[key] = raw
-                s = State.load(raw)
-        out.append((int(trial), int(own["end"].max()), learner.evaluate(s, x_test, y_test), s.params.tobytes()))
-    return pd.DataFrame(out, columns=["trial", "step", "value", "params"]), steps
+            ends = [c for c in cuts[row.path] if row.lo < c <= row.hi]
+            known = [c for c in ends if (row.path, c) in states] if shared else []
+            at = row.lo
+            if known:
+                at = known[-1]
+                s = State.load(states[row.path, at])
+            for end in ends[len(known) :]:
+                for step in range(at, end):
+                    learner.step(s, settings(row.cfg, step - row.start))
+                    steps += 1
+                at = end
+                if shared:
+                    states[row.path, end] = s.dump()
+        out.append((study, int(trial), int(own["hi"].max()), s.dump()))
+    return out, steps
+
+
+FIT_ROWS = 2_000
+
+
+def fit_sample(rows: DataFrame, most: int = FIT_ROWS) -> tuple[np.ndarray, np.ndarray]:
+    """At most ``most`` of rows(id, x, y) to learn from, in a seeded order that doesn't depend on where rows lie."""
+    t = rows.orderBy(F.xxhash64("id"), "id").limit(most).toPandas().sort_values("id")
+    return np.array(t["x"].tolist(), dtype=np.float64).reshape(len(t), -1), t["y"].to_numpy(dtype=np.int64)
+
+
+def train(segments: DataFrame, data: tuple[np.ndarray, np.ndarray], classes: int, shared: bool, lo: int = 0, hi: int | None = None, seed: int = 1) -> DataFrame:
+    """segments(.., ckpt binary) -> (study, trial, step, ckpt, steps_run): the trials' states at ``hi``.
+
+    A task trains one tree of the forest (shared) or one trial; nothing is shared between
+    trees.  The sample is broadcast: its size is bounded by ``fit_sample``.  ``steps_run`` is told once per tree, at its first trial.
+    """
+    held = segments.sparkSession.sparkContext.broadcast(data)
+
+    def one(group: pd.DataFrame) -> pd.DataFrame:
+        out, steps = train_trials(group, Softmax(*held.value, classes, seed), shared, lo, hi)
+        return pd.DataFrame([(*r, steps if not k else 0) for k, r in enumerate(out)], columns=["study", "trial", "step", "ckpt", "steps_run"])
+
+    own = [F.substring_index("path", "/", 1).alias("tree")] if shared else ["study", "trial"]
+    return segments.groupBy(*own).applyInPandas(one, "study string, trial long, step long, ckpt binary, steps_run long")
+
+
+def scores(models: DataFrame, rows: DataFrame, classes: int) -> DataFrame:
+    """models(study, trial, ckpt), rows(x, y) -> (study, trial, value): the share of rows that each model gets right.
+
+    All rows are read, each once for all models; only counts per task and model are shuffled.
+    The models are a client's trials: refused beyond 100,000.
+    """
+    known = models.select("study", "trial", "ckpt").limit(100_001).toPandas()
+    if len(known) > 100_000:
+        raise ValueError("too many models for one pass")
+    names = list(zip(known["study"], known["trial"].tolist()))
+    held = models.sparkSession.sparkContext.broadcast([State.load(x).params for x in known["ckpt"]])
+
+    def run(batches):
+        right, n = np.zeros(len(names), dtype=np.int64), 0
+        for b in batches:
+            if len(b):
+                x, y = np.hstack([np.array(b["x"].tolist(), dtype=np.float64), np.ones((len(b), 1))]), b["y"].to_numpy()
+                right += np.array([((x @ w).argmax(axis=1) == y).sum() for w in held.value], dtype=np.int64)
+                n += len(b)
+        if n:
+            yield pd.DataFrame({"study": [a for a, _ in names], "trial": [b for _, b in names], "right": right, "n": n})
+
+    told = rows.select("x", "y").mapInPandas(run, "study string, trial long, right long, n long")
+    return told.groupBy("study", "trial").agg((F.sum("right") / F.sum("n")).alias("value"))
 
 
 def run_chains(placed: DataFrame, spark: SparkSession, data: DataFrame, classes: int, seed: int = 1) -> DataFrame:

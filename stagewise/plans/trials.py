@@ -72,3 +72,15 @@ def prefix_steps(segments: DataFrame) -> DataFrame:
 def expand_steps(segments: DataFrame) -> DataFrame:
     """One row per trial and step; for small inputs and tests only, as all else works on intervals."""
     return segments.select("study", "trial", F.explode(F.sequence("start", F.col("end") - 1)).alias("step"), "cfg", "path")
+
+
+def expand_udtf():
+    """A table function (start, end) -> step, to be registered for SQL; one call holds one step at a time."""
+
+    @F.udtf(returnType="step bigint")
+    class ExpandRange:
+        def eval(self, start: int, end: int):
+            for step in range(start, end):
+                yield (step,)
+
+    return ExpandRange

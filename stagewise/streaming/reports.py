@@ -52,6 +52,13 @@ def enriched(stream: DataFrame, static: DataFrame, on: str) -> DataFrame:
     return stream.join(static, on)
 
 
+def followed(first: DataFrame, later: DataFrame, within: str, late: str) -> DataFrame:
+    """Each report with those of the other stream by the same user after it and at most ``within`` later; old state leaves with the watermark."""
+    a = first.withWatermark("ts", late).select("event_id", "user_id", "ts")
+    b = later.withWatermark("ts", late).select(F.col("event_id").alias("later_id"), F.col("user_id").alias("later_user"), F.col("ts").alias("later_ts"))
+    return a.join(b, F.expr(f"user_id = later_user and later_ts > ts and later_ts <= ts + interval {within}"))
+
+
 def aggregate(batch: DataFrame) -> DataFrame:
     """A micro-batch of reports as metrics of (trial, step): the last report of each, so that repeats change nothing."""
     return batch.groupBy("trial", "step").agg(F.max_by("value", F.struct("ts", "event_id")).alias("value"))

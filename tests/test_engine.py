@@ -163,6 +163,14 @@ def test_shared_training_is_lossless(spark, sf):
     assert r["trial"]["best"] == r["stage"]["best"]
 
 
+def test_halving_that_trains(spark, sf):
+    r = {(x["mode"], x["rung"]): x for x in catalogue.queries()["study_sha"](spark, sf).collect()}
+    assert [r["trial", k]["trials"] for k in (15, 60, 120)] == [448, 112, 28] == [r["stage", k]["trials"] for k in (15, 60, 120)]
+    assert sum(r["trial", k]["steps_run"] for k in (15, 60, 120)) == 13_440
+    for k in (15, 60, 120):
+        assert r["trial", k]["best"] == r["stage", k]["best"] and r["stage", k]["steps_run"] < r["trial", k]["steps_run"]
+
+
 def test_checkpoint_round_trip():
     rng = np.random.default_rng(1)
     learner = training.Softmax(rng.standard_normal((20, 5)), rng.integers(0, 3, 20), 3)

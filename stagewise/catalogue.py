@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-import numpy as np
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -267,6 +268,9 @@ def _elected(s: SparkSession, d: str) -> DataFrame:
 SWEEP = [(p, w) for w in (1, 4, 8, 40) for p in ("chains", "breadth")]
 _register("makespan_sweep")(lambda s, d: simulate.run(_elected(s, d), SWEEP))
 _register("sched_bfs_vs_cp")(lambda s, d: simulate.run(_elected(s, d), [(p, w) for p, w in SWEEP if w == 8], save=1.0, load=1.0))
+_register("transition_costs")(lambda s, d: reduce(DataFrame.unionByName, [
+    simulate.run(_elected(s, d), [(p, w) for p, w in SWEEP if w in (8, 40)], save=c, load=c).withColumn("cost", F.lit(c)) for c in (0.0, 1.0, 5.0, 20.0)
+]))
 _register("work_bound", _SCHED + "select 40 as w, sum(cost) as work, sum(cost) / 40 as least from el")(lambda s, d: simulate.bounds(_elected(s, d), 40))
 
 # --- settings and spaces ------------------------------------------------------------------
@@ -421,17 +425,29 @@ def _vectors(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     return v.where(~out), v.where(out)
 
 
-def _study(s: SparkSession, d: str, pieces: DataFrame) -> DataFrame:
+def _study(s: SparkSession, d: str, pieces: DataFrame, model: type = training.Softmax, source=_vectors, classes: int = 10, measure: str = "value") -> DataFrame:
     """All trials of a space, alone and with sharing: (mode, trials, steps_run, best, equal); equal: both modes give the same bits."""
-    learn, held = _vectors(s, d)
+    learn, held = source(s, d)
     data, own = training.fit_sample(learn), T.canonical(pieces).withColumn("ckpt", F.lit(None).cast("binary"))
-    alone, shared = (training.train(own, data, 10, x).persist() for x in (False, True))
-    best = training.scores(shared, held, 10).agg(F.max("value").alias("best"))
+    alone, shared = (training.train(own, data, classes, x, model=model).persist() for x in (False, True))
+    best = training.scores(shared, held, model).agg(F.max(measure).alias("best"))
     differ = alone.select("study", "trial", "ckpt").exceptAll(shared.select("study", "trial", "ckpt")).agg((F.count("*") == 0).alias("equal"))
     told = [t.agg(F.lit(m).alias("mode"), F.count("*").alias("trials"), F.sum("steps_run").alias("steps_run")) for m, t in (("trial", alone), ("stage", shared))]
     return told[0].unionByName(told[1]).join(F.broadcast(best)).join(F.broadcast(differ))
 
 
+def _texts(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    """(rows to learn from, held-out rows) of the labelled documents: hashed words up to the longest input length, quality as class."""
+    most = 512  # the longest value of the setting ``length`` in the space
+    words = F.filter(F.split(F.lower(F.coalesce("text", F.lit(""))), "[ \\t\\n\\r]+"), lambda w: w != "")
+    buckets = F.transform(F.slice(words, 1, most), lambda w: F.pmod(F.xxhash64(w), F.lit(training.WordBag.BUCKETS)).cast("double"))
+    padded = F.concat(buckets, F.array_repeat(F.lit(-1.0), F.lit(most) - F.size(buckets)))
+    t = A.table(s, d, "documents").select("doc_id", "text").join(A.table(s, d, "labels").select("doc_id", "quality").where("quality is not null"), "doc_id")
+    t = t.select(F.col("doc_id").alias("id"), padded.alias("x"), F.col("quality").cast("long").alias("y"))
+    out = F.crc32(F.col("id").cast("string")) % 5 == 0
+    return t.where(~out), t.where(out)
+
+
 def _study_halving(s: SparkSession, d: str, pieces: DataFrame, eta: int, rungs: list[int]) -> DataFrame:
     """Successive halving that trains: (mode, rung, trials, steps_run, best); the trials that stay resume from their states."""
     learn, held = _vectors(s, d)
@@ -440,7 +456,7 @@ def _study_halving(s: SparkSession, d: str, pieces: DataFrame, eta: int, rungs:
         own, lo = T.canonical(pieces).withColumn("ckpt", F.lit(None).cast("binary")), 0
         for hi in rungs:
             done = training.train(own, data, 10, mode == "stage", lo, hi).persist()
-            value = training.scores(done, held, 10).persist()
+            value = training.scores(done, held).persist()
             row = done.agg(F.lit(mode).alias("mode"), F.lit(hi).cast("long").alias("rung"), F.count("*").alias("trials"), F.sum("steps_run").alias("steps_run")).join(F.broadcast(value.agg(F.round(F.max("value"), 6).alias("best"))))
             out = row if out is None else out.unionByName(row)
             stay = value.orderBy(F.desc("value"), "study", "trial").limit(max(1, done.count() // eta)).select("study", "trial")
@@ -450,7 +466,8 @@ def _study_halving(s: SparkSession, d: str, pieces: DataFrame, eta: int, rungs:
 
 _TWO = [(1, 0, "bs=constant(32);lr=constant(0.5)", 200), (2, 0, "bs=constant(32);lr=constant(0.5)", 100), (2, 1, "bs=constant(32);lr=constant(0.05)", 50), (2, 2, "bs=constant(32);lr=constant(0.005)", 50)]
 _register("curve_two_trials")(lambda s, d: _study(s, d, s.createDataFrame([("w3", *r) for r in _TWO], "study string, trial bigint, ord bigint, cfg string, steps bigint")))
-_register("study_grid_cutout")(lambda s, d: _study(s, d, space.w6(s)))
+_register("study_grid_cutout")(lambda s, d: _study(s, d, space.w6(s), training.OneHidden))
+_register("study_grid_seqlen")(lambda s, d: _study(s, d, space.w7(s), training.WordBag, _texts, 2, "f1"))
 _register("study_sha")(lambda s, d: _study_halving(s, d, space.w4(s), 4, [15, 60, 120]))
 for _k in (1, 2, 4, 8):
     _register(f"multi_high_s{_k}")(lambda s, d, k=_k: _study(s, d, space.w8(s, k)))

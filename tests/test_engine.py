@@ -163,6 +163,31 @@ def test_shared_training_is_lossless(spark, sf):
     assert r["trial"]["best"] == r["stage"]["best"]
 
 
+@pytest.mark.parametrize("model", [training.Softmax, training.OneHidden])
+def test_gradients_equal_differences(model):
+    rng = np.random.default_rng(2)
+    learner = model(rng.standard_normal((12, 4)), rng.integers(0, 3, 12), 3)
+    w, x = rng.standard_normal(learner.fresh().params.shape), learner.with_one(learner.x)
+
+    def loss(w):
+        z = x @ w if model is training.Softmax else np.maximum(x @ w[:5], 0) @ w[5:].T
+        return float(np.mean(np.log(np.exp(z).sum(axis=1)) - z[np.arange(12), learner.y]))
+
+    g = learner.gradient(x, learner.y, w)
+    for at in np.ndindex(*w.shape):
+        e = np.zeros_like(w)
+        e[at] = 1e-6
+        assert abs((loss(w + e) - loss(w - e)) / 2e-6 - g[at]) < 1e-6
+
+
+def test_costly_transitions_favour_chains(spark, sf):
+    r = {(x["study"], x["policy"], x["w"], x["cost"]): x for x in catalogue.queries()["transition_costs"](spark, sf).collect()}
+    for (study, policy, w, cost), x in r.items():
+        assert x["busy"] >= r[study, policy, w, 0.0]["busy"]
+        if policy == "chains":
+            assert x["busy"] <= r[study, "breadth", w, cost]["busy"]
+
+
 def test_halving_that_trains(spark, sf):
     r = {(x["mode"], x["rung"]): x for x in catalogue.queries()["study_sha"](spark, sf).collect()}
     assert [r["trial", k]["trials"] for k in (15, 60, 120)] == [448, 112, 28] == [r["stage", k]["trials"] for k in (15, 60, 120)]

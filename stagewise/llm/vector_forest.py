@@ -1,4 +1,8 @@
-"""Near-duplicate vectors by a forest of random-projection trees.
+"""Near-duplicate vectors: dense groups exactly, the rest by a forest of random-projection trees.
+
+Around the sample vectors with many near ones lie balls.  A vector within the linking angle of a ball's centre has its
+home there, and all vectors that it can link with lie within twice that angle (its halo), so a ball's own vectors are
+compared with each other and with the halo, and no link of theirs is lost.  Only vectors without a home go to the trees.
 
 The split directions and thresholds of every tree are fitted on a bounded sample, to a depth
 that follows the number of vectors; every vector then goes down all trees, at each split into both halves when it lies near the threshold
@@ -24,6 +28,7 @@ from stagewise.llm.scratch import Scratch
 
 SAMPLE = 20_000
 TREES, SPILL, LEAF = 8, 0.15, 48
+DENSE = 12  # sample vectors near each other, from which on they get a ball
 _TREE_BITS = 26  # a leaf code is its tree times 2**26 and its node
 
 
@@ -102,8 +107,49 @@ class Forest:
         return row, node
 
 
-def _place(forest, trees: int, kind: str, dim: int):
-    """Rows (vid, weight, raw) -> one row per vector and leaf, with the codes of all its leaves."""
+def _centres(unit: np.ndarray, least: float, dense: int) -> tuple[np.ndarray, np.ndarray]:
+    """(centres of the balls, the sample vectors that are in none): the densest first, until fewer than ``dense`` near vectors are left anywhere."""
+    n, x = len(unit), unit.astype(np.float32)
+    near = np.zeros((n, (n + 7) // 8), dtype=np.uint8)  # bits
+    count = np.zeros(n, dtype=np.int64)
+    for k in range(0, n, 500):
+        some = x[k : k + 500] @ x.T >= least
+        near[k : k + 500], count[k : k + 500] = np.packbits(some, axis=1), some.sum(axis=1)
+    free, found = np.ones(n, dtype=bool), []
+    while n and count.max() >= dense:
+        found.append(int(count.argmax()))
+        own = np.unpackbits(near[found[-1]], count=n).astype(bool) & free
+        own[found[-1]] |= free[found[-1]]
+        free &= ~own
+        at = np.flatnonzero(own)
+        for k in range(0, len(at), 500):
+            count -= np.unpackbits(near[at[k : k + 500]], axis=1, count=n).sum(axis=0, dtype=np.int64)
+        count[found[-1]] = 0
+    return unit[found], unit[free]
+
+
+def _place(forest, balls, least: float, trees: int, kind: str, dim: int):
+    """Rows (vid, weight, raw) -> one row per vector and leaf, with the codes of all its leaves, or per vector and ball (leaf -1, -2, ..)."""
+    # within twice the linking angle of the centre, and a little more for rounding
+    wide = 2 * least * least - 1 - 1e-9 if least > 0 else -2.0
+
+    def in_balls(part: pa.RecordBatch, unit: np.ndarray) -> tuple[pa.RecordBatch | None, np.ndarray]:
+        """(rows of the vectors in balls and halos, which vectors have no home)."""
+        centres = balls.value
+        if not len(centres):
+            return None, np.ones(len(unit), dtype=bool)
+        cosine = unit @ centres.T
+        inside = cosine >= least
+        home = np.where(inside.any(axis=1), inside.argmax(axis=1), len(centres))
+        # a pair of two homes is found in the first of them
+        row, ball = np.nonzero((cosine >= wide) & (np.arange(len(centres)) <= home[:, None]))
+        at = pa.array(row)
+        rows = pa.RecordBatch.from_arrays(
+            [pa.array((-1 - ball).astype(np.int32)), part.column("vid").take(at), part.column("weight").take(at), part.column("raw").take(at),
+             pa.array([b""] * len(row), type=pa.binary()), pa.array(ball < home[row])],
+            names=["leaf", "vid", "weight", "raw", "codes", "halo"],
+        )
+        return rows, home == len(centres)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = forest.value
@@ -113,6 +159,12 @@ def _place(forest, trees: int, kind: str, dim: int):
                 if not part.num_rows:
                     continue
                 unit = _units(part.column("raw").to_pylist(), kind, dim)
+                held, free = in_balls(part, unit)
+                if held is not None and held.num_rows:
+                    yield held
+                part, unit = part.filter(pa.array(free)), unit[free]
+                if not part.num_rows:
+                    continue
                 rows, codes = [], []
                 for t in range(trees):
                     r, n = f.leaves(unit, t)
@@ -126,8 +178,8 @@ def _place(forest, trees: int, kind: str, dim: int):
                 own = [code[e - c : e].tobytes() for c, e in zip(counts, ends)]
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(code), part.column("vid").take(pa.array(row)), part.column("weight").take(pa.array(row)),
-                     part.column("raw").take(pa.array(row)), pa.array([own[i] for i in row], type=pa.binary())],
-                    names=["leaf", "vid", "weight", "raw", "codes"],
+                     part.column("raw").take(pa.array(row)), pa.array([own[i] for i in row], type=pa.binary()), pa.array(np.zeros(len(row), dtype=bool))],
+                    names=["leaf", "vid", "weight", "raw", "codes", "halo"],
                 )
 
     return run
@@ -189,15 +241,15 @@ def _compare(kind: str, dim: int, least: float):
     return run
 
 
-def near_vectors(vectors: DataFrame, least: float = 0.9, trees: int = TREES, spill: float = SPILL, leaf: int = LEAF, sample: int = SAMPLE, part: int = 1500, seed: int = 7) -> DataFrame:
+def near_vectors(vectors: DataFrame, least: float = 0.9, trees: int = TREES, spill: float = SPILL, leaf: int = LEAF, dense: int = DENSE, sample: int = SAMPLE, part: int = 1500, seed: int = 7) -> DataFrame:
     """vectors(vec_id, embedding, ...) -> (vec_id, n_links, component_id, kept), one row per input row.
 
-    Rows are linked when the cosine of their vectors is >= ``least`` and the forest brings
-    them together (the recall is measured in the tests).  ``n_links`` counts other rows; ``component_id`` is the
+    Rows are linked when the cosine of their vectors is >= ``least`` and one of them has its home in a ball (around ``dense``
+    or more sample vectors) or the forest brings them together (the recall is measured in the tests).  ``n_links`` counts other rows; ``component_id`` is the
     smallest vec_id reachable.  Null, zero, empty, non-finite vectors, and those of another
     length than most of the sample, link with nothing.  The splits are fitted on at most ``sample`` rows; every
     row is indexed.  The trees are so deep that a leaf has about half of ``part`` vectors or less, whatever the
-    table's size; leaves of more than ``part`` vectors (dense regions) are compared in parts, all against all.
+    table's size; leaves and balls of more than ``part`` vectors are compared in parts, all against all.
     """
     spark = vectors.sparkSession
     scratch = Scratch(spark, "forest")
@@ -224,15 +276,19 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, trees: int = TREES, spi
     distinct = scratch.save(
         keyed.where("raw is not null and vec_id is not null").groupBy("raw").agg(F.min("vec_id").alias("first"), F.count("*").alias("weight")).withColumn("vid", F.monotonically_increasing_id()), "distinct"
     )
-    least_depth = int(np.ceil(np.log2(max(1, 2 * distinct.count() / part))))
-    forest = spark.sparkContext.broadcast(Forest(seen / np.sqrt((seen * seen).sum(axis=1, keepdims=True)), trees, leaf, spill, seed, least_depth))
+    centres, free = _centres(seen / np.sqrt((seen * seen).sum(axis=1, keepdims=True)), least, dense)
+    least_depth = int(np.ceil(np.log2(max(1, 2 * distinct.count() * len(free) / max(1, len(seen)) / part))))
+    forest, balls = spark.sparkContext.broadcast(Forest(free, trees, leaf, spill, seed, least_depth)), spark.sparkContext.broadcast(centres)
     placed = scratch.save(
-        distinct.select("vid", "weight", "raw").mapInArrow(_place(forest, trees, kind, dim), "leaf int, vid long, weight long, raw binary, codes binary"), "placed"
+        distinct.select("vid", "weight", "raw").mapInArrow(_place(forest, balls, least, trees, kind, dim), "leaf int, vid long, weight long, raw binary, codes binary, halo boolean"), "placed"
     )
-    # a leaf of many vectors is cut into parts; each pair of its parts is a group of its own
-    sizes = placed.groupBy("leaf").agg(F.count("*").alias("c")).where("c > 1").select("leaf", F.ceil(F.col("c") / part).cast("int").alias("parts"))
-    cut = placed.join(sizes, "leaf").withColumn("p", F.pmod(F.xxhash64("vid"), F.col("parts")).cast("int"))
-    met = cut.withColumn("q", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select(
+    # a leaf of many vectors is cut into parts; each pair of its parts is a group of its own, but for two parts of a halo
+    sizes = placed.groupBy("leaf").agg(F.count("*").alias("c"), F.count_if(~F.col("halo")).alias("own")).where("c > 1 and own > 0")
+    sizes = sizes.select("leaf", F.ceil(F.col("own") / part).cast("int").alias("parts"), F.ceil((F.col("c") - F.col("own")) / part).cast("int").alias("outer"))
+    p = F.when(F.col("halo"), F.expr("parts + pmod(xxhash64(vid), outer)")).otherwise(F.expr("pmod(xxhash64(vid), parts)")).cast("int")
+    last = F.when(F.col("halo"), F.col("parts")).otherwise(F.col("parts") + F.col("outer")) - 1
+    cut = placed.join(sizes, "leaf").withColumn("p", p)
+    met = cut.withColumn("q", F.explode(F.sequence(F.lit(0), last))).select(
         "leaf", F.least("p", "q").alias("p"), F.greatest("p", "q").alias("q"), (F.col("p") > F.col("q")).cast("int").alias("side"), "vid", "weight", "raw", "codes"
     )
     found = scratch.save(met.groupBy("leaf", "p", "q").applyInPandas(_compare(kind, dim, least), "a long, n long, b long"), "found")

@@ -268,6 +268,39 @@ def test_vectors(spark, sf):
     assert vector_forest.near_vectors(df.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("cosine", [0.90, 0.93, 0.95, 0.97])
+def test_links_inside_a_dense_group(spark, cosine):
+    """A third of all rows in one group of distinct near copies."""
+    rng = np.random.default_rng(3)
+    middle, rest = rng.standard_normal(64), rng.standard_normal((4000, 64))
+    middle /= np.linalg.norm(middle)
+    off = rng.standard_normal((2000, 64)) / 8
+    group = np.sqrt(cosine) * middle + np.sqrt(1 - cosine) * off
+    x = np.concatenate([group, rest]).astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    got = {r["vec_id"]: r for r in vector_forest.near_vectors(df, leaf=8, sample=1000, part=300).collect()}
+    unit = x.astype(np.float64) / np.linalg.norm(x.astype(np.float64), axis=1, keepdims=True)
+    near = unit @ unit.T >= 0.9
+    links, mine = near.sum(axis=1) - 1, np.array([got[i]["n_links"] for i in range(len(x))])
+    assert (mine <= links).all() and mine.sum() >= 0.999 * links.sum()
+    assert cosine == 0.90 or (mine == links).all()
+    assert {got[i]["component_id"] for i in range(2000) if links[i] > 50} == {0}
+
+
+def test_a_ball_counts_links_across_its_rim(spark):
+    """Chains of vectors from a dense spot outwards: links into the halo, to other balls and beyond are counted once."""
+    rng = np.random.default_rng(5)
+    a, b, c = np.linalg.qr(rng.standard_normal((64, 3)))[0].T
+    turn = np.concatenate([rng.normal(0, 0.1, 200), rng.uniform(-1.5, 1.5, 200)])[:, None]
+    x = np.cos(turn) * a + np.sin(turn) * b + 0.1 * rng.standard_normal((400, 1)) * c
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    links = (unit @ unit.T >= 0.9).sum(axis=1) - 1
+    for sample in (40, 400):  # no splits: what the trees are left with is compared too
+        got = {r["vec_id"]: r["n_links"] for r in vector_forest.near_vectors(df, sample=sample, part=200).collect()}
+        assert [got[i] for i in range(400)] == links.tolist()
+
+
 def test_trees_deeper_than_the_sample_reaches():
     rng = np.random.default_rng(11)
     base = rng.standard_normal((4000, 64))

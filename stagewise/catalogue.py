@@ -49,6 +49,7 @@ PIECES = {
 }
 PIECES["by_segment"] = f"select c_mktsegment as study, trial, ord, cfg, steps from ({PIECES['orders']}) p join customer on trial = c_custkey"
 PIECES["high"] = f"select cast(c_nationkey as varchar) as study, o_custkey as trial, row_number() over (partition by o_custkey order by o_orderdate, o_orderkey) as ord, o_orderstatus as cfg, case o_orderstatus when 'F' then 10 when 'O' then 20 else 30 end as steps from orders join customer on o_custkey = c_custkey where c_nationkey < 8"
+PIECES["nations"] = PIECES["high"].removesuffix(" where c_nationkey < 8")
 PIECES["low"] = PIECES["high"].replace("o_orderstatus as cfg", "substr(o_orderpriority, 1, 1) || o_orderstatus as cfg")
 
 
@@ -67,9 +68,9 @@ seg as (select study, trial, cast(k as bigint) as k, cast(start as bigint) as st
 def seg(spark: SparkSession, d: str, kind: str) -> DataFrame:
     if kind in ("orders", "lineitem", "events", "conversations"):
         return T.canonical(getattr(A, kind)(spark, d))
-    value = {"by_segment": "priority", "high": "status", "low": "both"}[kind]
+    value = {"by_segment": "priority", "high": "status", "nations": "status", "low": "both"}[kind]
     p = A.with_customer(A.orders(spark, d, value), spark, d, "c_mktsegment" if kind == "by_segment" else "c_nationkey")
-    return T.canonical(p if kind == "by_segment" else p.where("cast(study as int) < 8"))
+    return T.canonical(p.where("cast(study as int) < 8") if kind in ("high", "low") else p)
 
 
 _RATE = "select cast(sum(r) as bigint) as trials, cast(sum(t) as bigint) as total_steps, cast(sum(u) as bigint) as unique_steps, count(*) as nodes, round(sum(t) / sum(u), 6) as rate from (select path, sum(end_ - start) as t, max(end_) - min(start) as u, count(*) filter (where k = 0) as r from seg group by path)"
@@ -259,10 +260,10 @@ _register("top_chains", _SCHED + "select leaf, cost, n_stages, lo from ch order
 _register("bfs_order", seg_sql("high") + _STAGES + "select path, lo, hi, cast(len(string_split(path, '/')) - 1 as bigint) as depth from stages")(lambda s, d: schedule.breadth_first(forest.merge_trials(seg(s, d, "high"))))
 
 
-def _elected(s: SparkSession, d: str) -> DataFrame:
-    st = _costed(s, d)
+def _elected(s: SparkSession, d: str, kind: str = "nations") -> DataFrame:
+    st = _costed(s, d, kind)
     up = st.select(schedule.stage_id(F.col("path"), F.col("hi")).alias("stage"), schedule.stage_id(F.col("parent_path"), F.col("parent_hi")).alias("parent"))
-    return schedule.elected_leaves(st).join(up, "stage").withColumn("study", F.lit("high"))
+    return schedule.elected_leaves(st).join(up, "stage").withColumn("study", F.lit(kind))
 
 
 SWEEP = [(p, w) for w in (1, 4, 8, 40) for p in ("chains", "breadth")]
@@ -271,7 +272,22 @@ _register("sched_bfs_vs_cp")(lambda s, d: simulate.run(_elected(s, d), [(p, w) f
 _register("transition_costs")(lambda s, d: reduce(DataFrame.unionByName, [
     simulate.run(_elected(s, d), [(p, w) for p, w in SWEEP if w in (8, 40)], save=c, load=c).withColumn("cost", F.lit(c)) for c in (0.0, 1.0, 5.0, 20.0)
 ]))
-_register("work_bound", _SCHED + "select 40 as w, sum(cost) as work, sum(cost) / 40 as least from el")(lambda s, d: simulate.bounds(_elected(s, d), 40))
+_register("work_bound", _SCHED + "select 40 as w, sum(cost) as work, sum(cost) / 40 as least from el")(lambda s, d: simulate.bounds(_elected(s, d, "high"), 40))
+
+# the same over the customers of all nations
+_NATIONS = {
+    "merge_unshared": lambda s, d: _sharing(seg(s, d, "nations")),
+    "pairwise_rates": lambda s, d: M.pairwise_rates(seg(s, d, "nations")),
+    "cost_rate": lambda s, d: M.cost_rate(seg(s, d, "nations"), _seconds(s)),
+    "stage_costs": lambda s, d: _costed(s, d, "nations").select("path", "lo", "hi", "cost"),
+    "critical_path": lambda s, d: schedule.critical_path(_costed(s, d, "nations")),
+    "chains_orders": lambda s, d: schedule.chains(_costed(s, d, "nations")),
+    "top_chains": lambda s, d: schedule.top_chains(_costed(s, d, "nations"), 40),
+    "bfs_order": lambda s, d: schedule.breadth_first(forest.merge_trials(seg(s, d, "nations"))),
+    "work_bound": lambda s, d: simulate.bounds(_elected(s, d, "nations"), 40),
+}
+for _name, _f in _NATIONS.items():
+    _register(f"{_name}_nations", _SQL[_name].replace(seg_sql("high"), seg_sql("nations")))(_f)
 
 # --- settings and spaces ------------------------------------------------------------------
 

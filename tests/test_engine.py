@@ -214,6 +214,25 @@ def test_pooled_rate_bounds(spark, sf):
         assert x["unique"] <= x["within_unique"] <= x["total"]
 
 
+def test_all_nations_are_costed_and_scheduled(spark, sf):
+    import duckdb
+
+    c = duckdb.connect()
+    for name in ("orders", "customer"):
+        c.sql(f"create view {name} as select * from '{sf}/{name}.parquet'")
+    steps = c.sql("select sum(case o_orderstatus when 'F' then 10 when 'O' then 20 else 30 end) from orders").fetchall()[0][0]
+    q, sql = catalogue.queries(), catalogue.oracle_sql()
+    assert {x["sharing"]: x["unique_steps"] for x in q["merge_unshared_nations"](spark, sf).collect()}["none"] == steps
+    work = {}
+    for name in ("merge_unshared", "pairwise_rates", "cost_rate", "stage_costs", "critical_path", "chains_orders", "top_chains", "bfs_order", "work_bound"):
+        df = q[f"{name}_nations"](spark, sf)
+        expected = c.sql(f"select {', '.join(chr(34) + x + chr(34) for x in df.columns)} from ({sql[f'{name}_nations']})").fetchall()
+        work[name] = rows(df)
+        assert work[name] == sorted(expected), name
+    busy = {x["busy"] for x in q["makespan_sweep"](spark, sf).collect()}
+    assert busy == {work["work_bound"][0][df.columns.index("work")]}
+
+
 def test_async_stream_equals_replay(spark, sf):
     from pyspark.sql import functions as F
 

@@ -18,8 +18,8 @@ from pyspark.sql import functions as F
 
 from stagewise.llm.scratch import Scratch
 
-#: Sources whose totals the driver reads; more make an error, as their number must not follow the data.
-MOST_SOURCES = 100_000
+#: Blocks of sources up to which their budgets are broadcast; more of them meet the rows by a shuffle.
+FEW_BLOCKS = 100_000
 
 
 def weights(shares: list[float], exponent: float) -> list[float]:
@@ -41,29 +41,50 @@ def repetitions(shares: list[float], exponent: float) -> list[float]:
     return [x / least for x in ratio]
 
 
+def _least(fails, steps: int = 60) -> float:
+    """The least exponent in [0, 1] that does not fail, by bisection."""
+    if not fails(0.0):
+        return 0.0
+    low, high = 0.0, 1.0
+    for _ in range(steps):
+        mid = (low + high) / 2
+        low, high = (mid, high) if fails(mid) else (low, mid)
+    return high
+
+
 def solve_exponent(shares: list[float], target_entropy: float | None = None, most_repeated: float | None = None, steps: int = 60) -> float:
     """The exponent in [0, 1] by bisection: 1 keeps the shares, 0 makes all sources equal.
 
     Entropy and repetition both fall as the exponent grows.  A target entropy outside the
     reachable range gives the nearest end.  With both given, the larger exponent holds.
     """
-    def least(fails) -> float:
-        if not fails(0.0):
-            return 0.0
-        low, high = 0.0, 1.0
-        for _ in range(steps):
-            mid = (low + high) / 2
-            low, high = (mid, high) if fails(mid) else (low, mid)
-        return high
-
     found = 0.0 if target_entropy is not None or most_repeated is not None else 1.0
     if target_entropy is not None:
-        found = max(found, least(lambda x: entropy(weights(shares, x)) > target_entropy))
+        found = max(found, _least(lambda x: entropy(weights(shares, x)) > target_entropy, steps))
     if most_repeated is not None:
-        found = max(found, least(lambda x: max(repetitions(shares, x)) > most_repeated))
+        found = max(found, _least(lambda x: max(repetitions(shares, x)) > most_repeated, steps))
     return found
 
 
+def solve_totals(totals: DataFrame, target_entropy: float | None = None, most_repeated: float | None = None) -> float:
+    """:func:`solve_exponent` of the shares in totals(total), any number of them: only sums reach the driver."""
+    ends = totals.agg(F.min("total").alias("low"), F.max("total").alias("top"), F.sum("total").alias("all")).first()
+    # the most and the least repeated sources are the smallest and the largest
+    found = solve_exponent([ends.low / ends.all, ends.top / ends.all], None, most_repeated)
+    if target_entropy is None:
+        return found
+    like = totals.groupBy("total").agg(F.count("*").alias("n")).persist()
+
+    def spread(x: float) -> float:
+        raw = F.pow(F.col("total") / ends.top, F.lit(x))
+        r = like.agg(F.sum(F.col("n") * raw).alias("z"), F.sum(F.col("n") * raw * F.log(raw)).alias("h")).first()
+        return math.log(r.z) - r.h / r.z
+
+    wanted = _least(lambda x: spread(x) > target_entropy)
+    like.unpersist()
+    return wanted if most_repeated is None else max(found, wanted)
+
+
 def token_count(text: F.Column) -> F.Column:
     """Words of a text by single spaces and line feeds, at least 1: the unit of budgets."""
     text = F.coalesce(text, F.lit(""))
@@ -88,18 +109,16 @@ def plan_mix(
     # the block comes from the upper bits, so blocks follow one another in the order of the rank
     rows = scratch.save(rows, "rows")
     sums = scratch.save(rows.groupBy("source", "block").agg(F.sum("tokens").alias("tokens")), "sums")
-    totals = sums.groupBy("source").agg(F.sum("tokens").alias("total")).orderBy("source").limit(MOST_SOURCES + 1).collect()
-    if len(totals) > MOST_SOURCES:
-        raise ValueError(f"more than {MOST_SOURCES} sources")
-    if not totals:
+    totals = scratch.save(sums.groupBy("source").agg(F.sum("tokens").alias("total")), "totals")
+    top = totals.agg(F.max("total")).first()[0]
+    if top is None:
         return rows.select("doc_id", "text_key", "source", "tokens", F.lit(1).cast("long").alias("passes"))
-    all_tokens = sum(r.total for r in totals)
-    shares = [r.total / all_tokens for r in totals]
-    passes = repetitions(shares, solve_exponent(shares, target_entropy, most_repeated))
-    told = [(r.source, int(p + 1e-9), int(round((p - int(p + 1e-9)) * r.total))) for r, p in zip(totals, passes)]
-    budget = docs.sparkSession.createDataFrame(told, "s string, whole long, part long")
+    # the largest source is passed over once, the others as the exponent asks
+    passes = F.pow(F.lit(top) / F.col("total"), F.lit(1 - solve_totals(totals, target_entropy, most_repeated)))
+    whole = F.floor(passes + 1e-9).cast("long")
+    budget = totals.select(F.col("source").alias("s"), whole.alias("whole"), F.rint((passes - whole) * F.col("total")).cast("long").alias("part"))
     before = F.sum("tokens").over(Window.partitionBy("source").orderBy("block").rowsBetween(Window.unboundedPreceding, -1))
-    cut = sums.withColumn("before", F.coalesce(before, F.lit(0))).join(F.broadcast(budget), F.col("source").eqNullSafe(F.col("s")))
+    cut = sums.withColumn("before", F.coalesce(before, F.lit(0))).join(budget, F.col("source").eqNullSafe(F.col("s")))
     # of each source: blocks wholly inside the last pass, and at most one that the budget ends in
     cut = cut.select(
         F.col("source").alias("s"), F.col("block").alias("b"), "whole",
@@ -107,7 +126,7 @@ def plan_mix(
         F.greatest(F.col("part") - F.col("before"), F.lit(0)).alias("room"),
     )
     cut = scratch.save(cut, "cut")
-    known = rows.join(F.broadcast(cut), rows["source"].eqNullSafe(F.col("s")) & (F.col("block") == F.col("b")))
+    known = rows.join(F.broadcast(cut) if cut.count() <= FEW_BLOCKS else cut, rows["source"].eqNullSafe(F.col("s")) & (F.col("block") == F.col("b")))
     edge = known.where("not inside and room > 0")
     within = F.sum("tokens").over(Window.partitionBy("source", "block").orderBy("rank", "doc_id", "text_key"))
     edge = edge.withColumn("passes", F.col("whole") + (within <= F.col("room")).cast("long"))

@@ -7,6 +7,7 @@ from collections import defaultdict
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 pytest.importorskip("stagewise.llm.queries")
 
@@ -328,6 +329,22 @@ def test_line_spread_is_exact(spark, odd):
     assert line_spread.remove_boilerplate(odd).count() == len(ODD) and line_spread.remove_boilerplate(odd.limit(0)).count() == 0
 
 
+def test_mixing_of_more_sources_than_a_driver_lists(spark, monkeypatch):
+    docs = spark.range(100_200).selectExpr("id as doc_id", "if(id % 50 = 0, 'a b', 'a') as text", "concat('host', id) as source")
+    plan = mixing.plan_mix(docs.unionByName(docs.limit(1).withColumn("source", F.lit(None).cast("string"))), most_repeated=2.5)
+    r = plan.agg(F.count("*").alias("n"), F.min("passes").alias("least"), F.sum("passes").alias("all"), F.countDistinct("source").alias("sources")).first()
+    assert (r["n"], r["least"], r["sources"]) == (100_201, 1, 100_200) and r["all"] == 2 * 98_196 + 2_005
+    few = spark.range(900).selectExpr("id as doc_id", "repeat('w ', cast(id % 9 as int)) as text", "nullif(cast(floor(sqrt(id % 100)) as string), '3') as source")
+    want = sorted(map(tuple, mixing.plan_mix(few, target_entropy=2.2).collect()), key=str)
+    monkeypatch.setattr(mixing, "FEW_BLOCKS", 0)
+    assert sorted(map(tuple, mixing.plan_mix(few, target_entropy=2.2).collect()), key=str) == want
+    totals = [r["t"] for r in few.groupBy("source").agg(F.sum(mixing.token_count(F.col("text"))).alias("t")).collect()]
+    shares = [t / sum(totals) for t in totals]
+    told = spark.createDataFrame([(t,) for t in totals], "total long")
+    for goal in ({"target_entropy": 2.2}, {"most_repeated": 1.7}, {"target_entropy": 2.2, "most_repeated": 1.7}, {}):
+        assert mixing.solve_totals(told, **goal) == pytest.approx(mixing.solve_exponent(shares, **goal), abs=1e-9)
+
+
 def test_mixing(spark, odd):
     shares = [0.6, 0.3, 0.1]
     e = mixing.solve_exponent(shares, target_entropy=1.0)

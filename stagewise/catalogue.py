@@ -390,6 +390,10 @@ _register("topk_per_study", "select event_type, user_id, value from (select *, r
 _register("metric_pivot", _METRICS + "select trial, max(value) filter (where step = 1) as \"1\", max(value) filter (where step = 2) as \"2\", max(value) filter (where step = 3) as \"3\" from m where step <= 3 group by trial")(
     lambda s, d: _metrics(s, d).groupBy("trial").pivot("step", [1, 2, 3]).agg(F.max("value"))
 )
+# every step of every trial, as the pivot has a column for the first three only
+_register("metric_steps", _METRICS + "select trial, map_from_entries(list((step, value) order by step)) as \"values\" from m group by trial")(
+    lambda s, d: _metrics(s, d).groupBy("trial").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("step", "value")))).alias("values"))
+)
 _register("smoothed_metric", _METRICS + "select trial, step, round(avg(value) over (partition by trial order by step rows 4 preceding), 6) as smooth from m")(
     lambda s, d: _metrics(s, d).select("trial", "step", F.round(F.avg("value").over(Window.partitionBy("trial").orderBy("step").rowsBetween(-4, 0)), 6).alias("smooth"))
 )

@@ -233,6 +233,16 @@ def test_all_nations_are_costed_and_scheduled(spark, sf):
     assert busy == {work["work_bound"][0][df.columns.index("work")]}
 
 
+def test_metric_steps_hold_every_report(spark, sf):
+    import duckdb
+
+    c = duckdb.connect()
+    c.sql(f"create view events as select * from '{sf}/events.parquet'")
+    got = {r["trial"]: r["values"] for r in catalogue.queries()["metric_steps"](spark, sf).collect()}
+    assert got == dict(c.sql(catalogue.oracle_sql()["metric_steps"]).fetchall())
+    assert sum(map(len, got.values())) == c.sql("select count(*) from events").fetchall()[0][0]
+
+
 def test_async_stream_equals_replay(spark, sf):
     from pyspark.sql import functions as F
 

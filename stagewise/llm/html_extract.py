@@ -1,7 +1,8 @@
 """Main text of web pages by two passes of block rules.
 
-Pass one cuts a page into blocks at block-level tags, drops containers that are never main
-text, and classifies each block by its length, link density and stop-word density.  In pass
+Pass one cuts a page into blocks at block-level tags, drops elements that are never main
+text, and classifies each block by its length, link density and stop-word density.  Containers that only their
+names give away count as boilerplate as long as the page has text outside of them.  In pass
 two an ambiguous or short block takes the label of the nearest decided neighbours on
 both sides.  Inside an article or main element the rules lean to keeping a block, outside of it
 to dropping it; pages without either are judged by the rules alone.
@@ -36,50 +37,88 @@ DROPPED_TAGS = frozenset(
 )
 RAW_TAGS = frozenset("script style textarea title noscript iframe template".split())
 VOID_TAGS = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-#: Parts of class, id and role values that mark containers which are never main text.
-BOILER = re.compile(
-    r"(?:^|[\s_-])(?:ad|ads|advert\w*|adsense|banner|sponsor\w*|promo\w*|nav|navbar|navigation|menu|breadcrumbs?|header|masthead|footer|foot|sidebar|side|aside|widget"
-    r"|cookies?|consent|notice|alert|popup|modal|overlay|comments?|commentlist|respond|replies|reply|disqus|discussion|share|sharing|social|related|recommended|subscribe|newsletter"
-    r"|signup|login|search|pagination|pager|toolbar|complementary|contentinfo|hidden|disclaimer|copyright)(?:$|[\s_-])",
-    re.I,
+#: Words of class, id and role values of containers that are beside the text (LAYOUT) or never text (NEVER).
+LAYOUT = frozenset("nav navbar navigation menu breadcrumb breadcrumbs header masthead footer foot sidebar side aside widget search pagination pager toolbar complementary contentinfo".split())
+NEVER = frozenset(
+    """ad ads adsense banner promo cookie cookies consent notice alert popup modal overlay comment comments commentlist respond replies reply disqus discussion
+    share sharing social related recommended subscribe newsletter signup login hidden disclaimer copyright""".split()
 )
-_TOKEN = re.compile(r"<!--.*?(?:-->|$)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^<>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
-_ATTRIBUTE = re.compile(r"\b(class|id|role|hidden|aria-hidden|style)\s*(?:=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?", re.I)
+#: Words that may stand beside those in one name: ``left-sidebar`` is a sidebar, ``with-sidebar`` is not.
+NEUTRAL = frozenset("site page main top bottom left right box container wrapper wrap list block section bar area inner outer item items body panel module group col column content div li ul the thread global primary secondary".split())
+_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)((?>=\s*+(?:\"[^\"]*\"|'[^']*'|[^\s>\"'][^\s>]*+)?+|[^=>]++)*+)>")
+_MARKUP = re.compile(r"<(?=[a-zA-Z/!?])")
+_ATTRIBUTE = re.compile(r"(?:^|[\s/\"'])(class|id|role|hidden|aria-hidden|style)(?=[\s=/]|$)\s*(?:=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?", re.I)
+_UNSEEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
 _WORD = re.compile(r"[^\W\d_]+")
+_ENDS = {t: re.compile(rf"</{t}(?=[\s/>])[^>]*>", re.I) for t in RAW_TAGS}
+#: Elements that an opening one of the same kind ends, and those beyond which it does not reach.
+_ENDED_BY_KIN = frozenset("p li dd dt tr td th option".split())
+_BOUNDS = frozenset("ul ol dl table div article section main nav body td th".split())
 GOOD, BAD, SHORT, NEAR = "good", "bad", "short", "near"
 
 
-def _boiler(attributes: str) -> bool:
+def _name_kind(value: str) -> int:
+    """0: a name like any other, 1: one of LAYOUT, 2: one of NEVER; all its words must be known."""
+    worst = 0
+    for token in value.lower().split():
+        kind = 0
+        for word in re.split(r"[-_]+", token):
+            if word in NEVER or word.startswith(("advert", "sponsor")):
+                kind = 2
+            elif word in LAYOUT:
+                kind = max(kind, 1)
+            elif word not in NEUTRAL and not word.isdigit():
+                kind = 0
+                break
+        worst = max(worst, kind)
+    return worst
+
+
+def _container(attributes: str) -> tuple[bool, int]:
+    """(whether the element is not shown, the kind of its names)."""
     if "=" not in attributes and "hidden" not in attributes.lower():
-        return False
+        return False, 0
+    unseen, kind = False, 0
     for name, value in _ATTRIBUTE.findall(attributes):
         name, value = name.lower(), value.strip("\"'")
-        if name == "hidden" or name == "aria-hidden" and value == "true":
-            return True
-        if name == "style":
-            if re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
-                return True
-        elif name != "hidden" and BOILER.search(value):
-            return True
-    return False
+        if name == "hidden" or name == "aria-hidden" and value.lower() == "true" or name == "style" and _UNSEEN.search(value):
+            unseen = True
+        elif name in ("class", "id", "role"):
+            kind = max(kind, _name_kind(value))
+    return unseen, kind
+
+
+class Box:
+    """A container whose name says that it is not main text; ``main``: it holds an article or main element."""
+
+    __slots__ = ("kind", "main")
+
+    def __init__(self, kind: int):
+        self.kind, self.main = kind, False
 
 
 class Block:
-    __slots__ = ("parts", "linked", "main", "heading")
+    __slots__ = ("parts", "linked", "main", "heading", "boxes", "text")
 
-    def __init__(self, main: bool, heading: bool = False):
+    def __init__(self, main: bool, heading: bool, boxes: tuple[Box, ...]):
         self.parts: list[str] = []
         self.linked = 0
         self.main = main
         self.heading = heading
+        self.boxes = boxes
+        self.text = ""
 
 
-def blocks_of(page: str) -> list[tuple[str, int, bool, bool]]:
-    """(text, characters inside links, inside article or main, heading) of each block with text that may be main text."""
+def blocks_of(page: str) -> list[Block]:
+    """The blocks of a page that hold shown text outside of elements that are never main text."""
     out: list[Block] = []
-    now = Block(False)
-    # open elements: (tag, whether it drops its content, whether it is article or main)
-    stack: list[tuple[str, bool, bool]] = []
+    boxes: list[Box] = []
+    now = Block(False, False, ())
+    # open elements: (tag, whether it drops its content, whether it is article or main, its box), and where those of each tag are
+    stack: list[tuple[str, bool, bool, Box | None]] = []
+    opens: dict[str, list[int]] = {}
+    solid: list[int] = [-1]  # places of open block elements
+    bounds: list[int] = [-1]
     dropping = mains = links = 0
     at, end = 0, len(page)
 
@@ -93,7 +132,14 @@ def blocks_of(page: str) -> list[tuple[str, int, bool, bool]]:
     def close(n: int) -> None:
         nonlocal dropping, mains, links
         while len(stack) > n:
-            tag, dropped, main = stack.pop()
+            tag, dropped, main, box = stack.pop()
+            opens[tag].pop()
+            if solid[-1] == len(stack):
+                solid.pop()
+            if bounds[-1] == len(stack):
+                bounds.pop()
+            if box is not None:
+                boxes.pop()
             dropping -= dropped
             mains -= main
             links -= tag == "a"
@@ -102,121 +148,173 @@ def blocks_of(page: str) -> list[tuple[str, int, bool, bool]]:
         nonlocal now
         if now.parts:
             out.append(now)
-        now = Block(mains > 0, tag in ("h1", "h2", "h3", "h4", "h5", "h6"))
+        now = Block(mains > 0, tag in ("h1", "h2", "h3", "h4", "h5", "h6"), tuple(boxes))
 
     while at < end:
-        m = _TOKEN.search(page, at)
-        if not m:
-            # a tag that never ends is markup, a lone < is text
-            rest = page[at:]
-            cut = re.search(r"<[/a-zA-Z!]", rest)
-            text(rest[: cut.start()] if cut else rest)
+        found = _MARKUP.search(page, at)
+        if not found:
+            text(page[at:])
             break
-        text(page[at : m.start()])
-        at = m.end()
-        tag = m[2]
-        if tag is None:
+        begin = found.start()
+        text(page[at:begin])
+        m = _TAG.match(page, begin)
+        if not m:
+            follow = page[begin + 1 : begin + 3]
+            if follow[:1].isalpha() or follow[:1] == "/" and follow[1:].isalpha():
+                break  # a tag that never ends is markup up to the end
+            if page.startswith("<!--", begin):
+                stop = page.find("-->", begin + 2)
+                at = end if stop < 0 else stop + 3
+            else:
+                stop = page.find(">", begin)
+                at = end if stop < 0 else stop + 1
             continue
-        tag = tag.lower()
+        at = m.end()
+        tag = m[2].lower()
+        block = tag in BLOCK_TAGS
+        where = opens.setdefault(tag, [])
         if m[1]:
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] == tag:
-                    if tag in BLOCK_TAGS or tag in DROPPED_TAGS or not any(x[0] in BLOCK_TAGS for x in stack[k + 1 :]):
-                        close(k)
-                    break
-            if tag in BLOCK_TAGS:
+            # inline elements end inside their block only
+            if where and (block or tag in DROPPED_TAGS or solid[-1] <= where[-1]):
+                close(where[-1])
+            if block:
                 turn()
             continue
         if tag in RAW_TAGS and not m[3].endswith("/"):
-            ended = re.compile(rf"</{re.escape(tag)}[^>]*>", re.I).search(page, at)
+            ended = _ENDS[tag].search(page, at)
             at = ended.end() if ended else end
-            if tag in BLOCK_TAGS:
+            if block:
                 turn()
             continue
         if tag == "br":
             text(" ")
             continue
-        if tag in BLOCK_TAGS:
-            if tag in ("p", "li", "dd", "dt", "tr", "td", "th", "option"):  # these end an open one of their kind
-                for k in range(len(stack) - 1, -1, -1):
-                    if stack[k][0] == tag:
-                        close(k)
-                        break
-                    if stack[k][0] in ("ul", "ol", "dl", "table", "div", "article", "section", "main", "nav", "body"):
-                        break
-            elif any(x[0] == "p" for x in stack[-3:]):
-                k = max(i for i, x in enumerate(stack) if x[0] == "p")
-                close(k)
+        if block:
+            if tag in _ENDED_BY_KIN and where and where[-1] > bounds[-1]:
+                close(where[-1])
+            paragraphs = opens.get("p")
+            if paragraphs and paragraphs[-1] > bounds[-1]:
+                close(paragraphs[-1])
         if tag in VOID_TAGS:
-            if tag in BLOCK_TAGS:
+            if block:
                 turn()
             continue
-        boiler = tag in DROPPED_TAGS or tag not in ("html", "body", "main") and _boiler(m[3])
         main = tag in ("article", "main")
-        if not m[3].endswith("/"):
-            stack.append((tag, boiler, main and not boiler))
-            dropping += boiler
-            mains += main and not boiler
+        dropped, box = tag in DROPPED_TAGS, None
+        if not dropped and tag not in ("html", "body", "main"):
+            dropped, kind = _container(m[3])
+            if not dropped and (kind == 2 or kind == 1 and not main):
+                box = Box(kind)
+        if not m[3].endswith("/") or block:
+            if main and box is None:
+                for x in boxes:
+                    x.main = True
+            if box is not None:
+                boxes.append(box)
+            where.append(len(stack))
+            if block:
+                solid.append(len(stack))
+            if tag in _BOUNDS:
+                bounds.append(len(stack))
+            stack.append((tag, dropped, main and not dropped, box))
+            dropping += dropped
+            mains += main and not dropped
             links += tag == "a"
-        if tag in BLOCK_TAGS:
+        if block:
             turn(tag)
     turn()
-    found = []
+    found_blocks = []
     for b in out:
-        joined = " ".join("".join(b.parts).split())
-        if joined:
-            found.append((joined, b.linked, b.main, b.heading))
-    return found
+        b.text = " ".join("".join(b.parts).split())
+        if b.text:
+            found_blocks.append(b)
+    return found_blocks
 
 
-def classify(text: str, linked: int, main: bool, heading: bool) -> str:
+def classify(block: Block) -> str:
     """First pass: the label of a block from its length, link density and stop-word density."""
-    if linked / len(text) > 0.33:
+    text = block.text
+    if block.linked / len(text) > 0.33:
         return BAD
     words = _WORD.findall(text.lower())
-    if len(text) < 70 or heading:
+    if len(text) < 70 or block.heading:
         return SHORT
     density = sum(w in STOP_WORDS for w in words) / max(1, len(words))
     if density >= 0.2:
         return GOOD if len(text) > 140 else NEAR
     if density >= 0.1:
         return NEAR
-    return NEAR if main else BAD  # an article may hold tables or lists without function words
+    return NEAR if block.main else BAD  # an article may hold tables or lists without function words
+
+
+def _candidates(blocks: list[Block]) -> list[Block]:
+    """Blocks to judge.  What is outside of an article or main element is not the text where there is one.
+
+    Containers by name are left out, unless they are around the only article, or around all long texts of the page.
+    """
+    free = [b for b in blocks if not b.boxes]
+    inside = [b for b in free if b.main] or [b for b in blocks if b.main and all(x.main and x.kind == 1 for x in b.boxes)]
+    if inside:
+        return inside
+    if not any(classify(b) == GOOD for b in free):
+        inside = [b for b in blocks if b.main and all(x.main for x in b.boxes)]
+        if inside:
+            return inside
+        beside = [b for b in blocks if all(x.kind == 1 for x in b.boxes)]
+        if any(classify(b) == GOOD for b in beside):
+            return beside
+    return free
 
 
 def main_text(page: str | None) -> str:
-    """The main text of one page; empty for null, empty or all-boilerplate pages."""
-    blocks = blocks_of(page) if page else []
-    if any(b[2] for b in blocks):
-        blocks = [b for b in blocks if b[2]]  # what is outside of the article is not it
-        fallback = GOOD
-    else:
-        fallback = BAD
-    labels = [classify(*b) for b in blocks]
-    if BAD not in labels and fallback == GOOD:
-        return " ".join(b[0] for b in blocks)
-    left, right, seen = [], [], fallback
-    for x in labels:
-        seen = x if x in (GOOD, BAD) else seen
-        left.append(seen)
-    seen = fallback
-    for x in reversed(labels):
-        seen = x if x in (GOOD, BAD) else seen
-        right.append(seen)
-    right.reverse()
+    """The main text of one page; empty for null, empty or all-boilerplate pages.
+
+    Short blocks take the label of the nearest decided block, and between two as near that of the rejected one;
+    a heading goes with good text that follows, an ambiguous block with any good neighbour.  Where a page has no decided block of running text, ambiguous blocks without links are its text, or else the short ones not next to rejected ones.
+    """
+    blocks = _candidates(blocks_of(page)) if page else []
+    inside = bool(blocks) and all(b.main for b in blocks)
+    labels = [classify(b) for b in blocks]
+    if inside and BAD not in labels:
+        return " ".join(b.text for b in blocks)
+    if not inside and GOOD not in labels:
+        near = [b.text for b, x in zip(blocks, labels) if x == NEAR and not b.linked]
+        return " ".join(near or _alone(blocks, labels))
+    before, after = _decided(labels), _decided(labels[::-1])[::-1]
     kept = []
-    for block, x, before, after in zip(blocks, labels, left, right):
-        if x == NEAR:  # nearly decided: one good neighbour is enough
-            x = GOOD if GOOD in (before, after) or not block[1] and GOOD not in labels and len(block[0]) > 140 else BAD
+    for block, x, (back, left), (ahead, right) in zip(blocks, labels, before, after):
+        if x == NEAR:
+            x = GOOD if GOOD in (left, right) or inside and None in (left, right) else BAD
         elif x == SHORT:
-            x = GOOD if before == after == GOOD or block[2] and not block[1] and GOOD in (before, after) else BAD
-            if x == BAD and block[3] and after == GOOD:  # a heading belongs to what follows
+            if left == right:
+                x = left
+            elif block.heading and right == GOOD or inside and not block.linked and GOOD in (left, right):
                 x = GOOD
+            elif None in (left, right):
+                x = left or right
+            else:
+                x = left if back < ahead or back == ahead and left == BAD else right
         if x == GOOD:
-            kept.append(block[0])
+            kept.append(block.text)
     return " ".join(kept)
 
 
+def _decided(labels: list[str]) -> list[tuple[int, str | None]]:
+    """For each block: how many blocks before it the last decided one lies, and its label; none: (0, None)."""
+    out, last, label = [], 0, None
+    for k, x in enumerate(labels):
+        out.append((k - last if label else 0, label))
+        if x in (GOOD, BAD):
+            last, label = k, x
+    return out
+
+
+def _alone(blocks: list[Block], labels: list[str]) -> list[str]:
+    """Short blocks without links of a page that has no other text, but for those next to a rejected one."""
+    around = [None, *labels, None]
+    return [b.text for k, (b, x) in enumerate(zip(blocks, labels)) if x == SHORT and not b.linked and BAD not in (around[k], around[k + 2])]
+
+
 def _run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for k in range(0, batch.num_rows, 256):

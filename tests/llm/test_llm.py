@@ -151,6 +151,56 @@ def test_main_text():
         assert isinstance(html_extract.main_text(bad), str)
 
 
+PARAGRAPH = "The first part of the text is here and it is long enough to be judged by the words that are in it, which are those of a text that was written for it."
+
+
+@pytest.mark.parametrize("page, text", [
+    (f"<p><a href=x title=it's>Menu</a></p><p title=it's>{PARAGRAPH}</p>", PARAGRAPH),
+    (f"<p data-x='>' class=\"x\">{PARAGRAPH}<p>a < b", PARAGRAPH + " a < b"),
+    (f"<html><body><div><p>{PARAGRAPH[:125]}</p></div></body></html>", PARAGRAPH[:125].strip()),
+    ("plain", "plain"),
+    (f"<article class='post side'><p>{PARAGRAPH}</p></article>", PARAGRAPH),
+    (f"<div class='layout with-sidebar'><p>{PARAGRAPH}</p></div>", PARAGRAPH),
+    (f"<div class='right-sidebar'><article><p>{PARAGRAPH}</p></article><div class=sidebar><p>{PARAGRAPH} No.</p></div></div>", PARAGRAPH),
+    (f"<div class='right-sidebar'><p>{PARAGRAPH}</p></div>", PARAGRAPH),
+    (f"<div class='post has-comments hidden-xs'><p>{PARAGRAPH}</p><ol id=comment-list><li><article class=comment-body><p>{PARAGRAPH} I like it.</p></article></ol></div>", PARAGRAPH),
+    (f"<div class='cookie-notice'><p>{PARAGRAPH}</p></div>", ""),
+    (f"<p>{PARAGRAPH}</p><p>{' '.join(f'<a href={k}>Read of the other one</a>' for k in range(9))}</p><p>Short.</p><p>{PARAGRAPH}</p>", f"{PARAGRAPH} {PARAGRAPH}"),
+])
+def test_main_text_of_odd_pages(page, text):
+    assert html_extract.main_text(page) == text
+
+
+@pytest.mark.parametrize("tag", ["div", "p", "span", "li"])
+def test_extraction_takes_time_in_proportion_to_the_page(tag):
+    import time
+
+    for page in ("<{0}>" * 40_000 + "x" + "</{0}>" * 40_000, "<{0}>x</q>" * 40_000, '<{0} x="\'' * 40_000):
+        begin = time.time()
+        html_extract.main_text(page.format(tag))
+        assert time.time() - begin < 5
+
+
+def test_rules_alone_find_the_articles(spark):
+    """Pages without article or main elements: the two passes decide alone."""
+    import html as H
+
+    whole = found = same = n = 0
+    for r in read(spark, "/root/testdata/sf0.1", "pages").collect():
+        text = " ".join(H.unescape(re.sub(r"<[^>]+>", " ", re.search(r"<article>(.*?)</article>", r["html"], re.S)[1])).split())
+        got = html_extract.main_text(re.sub(r"(</?)article>", r"\1div>", r["html"]))
+        whole, found, same, n = whole + len(text), found + min(len(got), len(text)), same + (got == text), n + 1
+    assert found >= 0.95 * whole and same >= 0.8 * n
+
+
+def test_extraction_of_odd_tables(spark):
+    rows = [(1, "u", None, 1), (2, None, "", 2), (None, "v", f"<p>{PARAGRAPH}</p>", 3), (1, "u", None, 1), (4, "w", "<p>x" * 50_000, 4)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string, text int")
+    got = html_extract.extract(pages).collect()
+    assert sorted(r["n_chars"] for r in got) == [0, 0, 0, len(PARAGRAPH), 2 * 50_000 - 1]
+    assert html_extract.extract(pages.limit(0)).count() == 0
+
+
 def test_extraction_equals_the_articles(spark, sf):
     import html as H
 

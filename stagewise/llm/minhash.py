@@ -1,6 +1,6 @@
 """Near-duplicate documents by fast similarity sketching, banding and exact verification.
 
-A document is the set of its distinct word shingles.  Its sketch comes from rounds of
+A document is the set of its distinct word shingles, each a 64-bit mix of its words' BLAKE2 digests.  Its sketch comes from rounds of
 hashed bin placement (:func:`stagewise.llm.texthash.similarity_sketch`); bands of
 coordinates that agree make two sets candidates, and 100 * intersection >= 80 * union on the
 full sets makes them linked.  With 51 bands of 5 coordinates a pair at similarity 0.8 is

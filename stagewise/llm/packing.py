@@ -130,8 +130,8 @@ class WordTokens:
     """Token ids of texts by a tokenizer that lower-cases, drops white space and never crosses it.
 
     The ids of a text are those of its words; a full stop or comma after a letter is a word of its
-    own, as the tokenizer splits there too.  Ids of words are kept in a hash table of at most
-    ``most`` words that whole batches are looked up in at once; a full table starts anew.
+    own, as the tokenizer splits there too.  Ids of words are kept by the words' bytes, of at most
+    ``most`` words; a full table starts anew.
     New words of plain letters are encoded many at once, told apart by the mark of a word's
     last token.  Texts that may hold the name of a special token go to the tokenizer whole.
     """
@@ -148,43 +148,24 @@ class WordTokens:
         texthash.give_back()  # what parsing the vocabulary left behind
 
     def _clear(self) -> None:
-        # rows: hash, check, start and number of ids; a hash of 0 is a free row
-        self.table = np.zeros((2 * self.most, 4), dtype=np.uint64)
-        self.ids = np.zeros(1 << 20, dtype="<u4")
-        self.used = self.words = 0
-
-    def _find(self, h: np.ndarray, check: np.ndarray) -> np.ndarray:
-        """Rows of the words, -1 where unknown."""
-        mask = np.uint64(len(self.table) - 1)
-        out = np.full(len(h), -1, dtype=np.int64)
-        todo, slot = np.arange(len(h)), h & mask
-        while len(todo):
-            rows = self.table[slot]
-            hit = (rows[:, 0] == h[todo]) & (rows[:, 1] == check[todo])
-            out[todo[hit]] = slot[hit].astype(np.int64)
-            more = ~hit & (rows[:, 0] != 0)
-            todo, slot = todo[more], (slot[more] + np.uint64(1)) & mask
-        return out
+        self.known: dict[bytes, int] = {}  # the row of a word in ``spans``
+        self.spans = np.zeros((1 << 14, 2), dtype=np.int64)  # start and number of a word's ids
+        self.ids = np.zeros(1 << 18, dtype="<u4")
+        self.used = 0
 
-    def _add(self, h: np.ndarray, check: np.ndarray, ids: list[np.ndarray]) -> None:
+    def _add(self, words: list[bytes]) -> None:
+        ids = self._encode([w.decode("utf-8", "replace") for w in words])
         sizes = np.array([len(x) for x in ids], dtype=np.int64)
-        total = int(sizes.sum())
+        total, row = int(sizes.sum()), len(self.known)
         if self.used + total > len(self.ids):
             self.ids = np.concatenate([self.ids, np.zeros(max(total, len(self.ids)), dtype="<u4")])
+        if row + len(words) > len(self.spans):
+            self.spans = np.concatenate([self.spans, np.zeros((max(len(words), len(self.spans)), 2), dtype=np.int64)])
         self.ids[self.used : self.used + total] = np.concatenate(ids)
-        starts = self.used + np.cumsum(sizes) - sizes
+        self.spans[row : row + len(words), 0] = self.used + np.cumsum(sizes) - sizes
+        self.spans[row : row + len(words), 1] = sizes
         self.used += total
-        self.words += len(h)
-        mask = np.uint64(len(self.table) - 1)
-        todo, slot = np.arange(len(h)), h & mask
-        while len(todo):
-            free = np.flatnonzero(self.table[slot, 0] == 0)
-            at, first = np.unique(slot[free], return_index=True)
-            put = todo[free[first]]
-            self.table[at] = np.stack([h[put], check[put], starts[put].astype(np.uint64), sizes[put].astype(np.uint64)], axis=1)
-            left = np.ones(len(todo), dtype=bool)
-            left[free[first]] = False
-            todo, slot = todo[left], (slot[left] + np.uint64(1)) & mask
+        self.known.update(zip(words, range(row, row + len(words))))
 
     def _encode(self, words: list[str]) -> list[np.ndarray]:
         plain = [x for x in words if x.isalpha() and is_normalized("NFC", x) and x.lower().isalpha()]
@@ -216,29 +197,15 @@ class WordTokens:
         a, b = np.empty(len(starts) + int(cut.sum()), dtype=np.int64), np.empty(len(starts) + int(cut.sum()), dtype=np.int64)
         a[order], b[order] = starts, ends - cut
         a[order[cut] + 1], b[order[cut] + 1] = ends[cut] - 1, ends[cut]
-        h = texthash.span_hashes(raw, a, b) | np.uint64(1)
-        low = texthash.LOWER[raw[[a, (a + b) // 2, b - 1]]].astype(np.uint64)
-        check = ((b - a).astype(np.uint64) << np.uint64(24)) | (low[0] << np.uint64(16)) | (low[1] << np.uint64(8)) | low[2]
-        rows = self._find(h, check)
-        if (rows < 0).any():
-            new = np.flatnonzero(rows < 0)
-            if self.words + len(new) > self.most:
-                self._clear()
-                new = np.arange(len(h))
-                if len(new) > self.most:
-                    self.most = 1 << len(new).bit_length()
-                    self._clear()
-            order = np.lexsort((check[new], h[new]))
-            new = new[order]
-            first = np.ones(len(new), dtype=bool)
-            first[1:] = (h[new[1:]] != h[new[:-1]]) | (check[new[1:]] != check[new[:-1]])
-            new = new[first]
-            text = raw.tobytes()
-            for k in range(0, len(new), ENCODE_WORDS):
-                some = new[k : k + ENCODE_WORDS]
-                self._add(h[some], check[some], self._encode([text[x:y].decode() for x, y in zip(a[some].tolist(), b[some].tolist())]))
-            rows = self._find(h, check)
-        at, size = self.table[rows, 2].astype(np.int64), self.table[rows, 3].astype(np.int64)
+        code, words = texthash.distinct_words(raw, a, b)
+        new = [w for w in words if w not in self.known]
+        if new and len(self.known) + len(new) > self.most:
+            self._clear()
+            new = words
+        for k in range(0, len(new), ENCODE_WORDS):
+            self._add(new[k : k + ENCODE_WORDS])
+        rows = np.fromiter(map(self.known.__getitem__, words), dtype=np.int64, count=len(words))[code]
+        at, size = self.spans[rows, 0], self.spans[rows, 1]
         before = np.cumsum(size) - size
         ids = self.ids[np.repeat(at - before, size) + np.arange(int(size.sum()))]
         doc = np.searchsorted(offsets, a, side="right") - 1

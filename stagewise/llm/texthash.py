@@ -1,8 +1,9 @@
 """Words, shingles and sketches of whole Arrow text columns as numpy arrays.
 
-A word is a run of bytes other than 0x20 and 0x09-0x0D after lower-casing A-Z.
-Its hash is a polynomial over its bytes, taken from running sums so that all words
-of a block are hashed at once, and then mixed.  Nothing here loops over words.
+A word is a run of bytes other than 0x20 and 0x09-0x0D after lower-casing A-Z.  The words of a
+block are told apart by their bytes, and each distinct one has a BLAKE2 digest.  Features of
+classifiers, where two words may share a value, have a quicker polynomial over their bytes,
+taken from running sums so that all words of a block are hashed at once.
 """
 
 from __future__ import annotations
@@ -10,6 +11,7 @@ from __future__ import annotations
 import ctypes
 import gc
 from collections.abc import Iterator
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -122,13 +124,23 @@ def span_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nda
     return mix((total[ends] - total[starts]) * inverse[starts] + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
 
 
+def distinct_words(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, list[bytes]]:
+    """(number of each word's bytes in the list, the distinct words); the spans hold all of ``raw`` but its white space."""
+    at = np.concatenate([[0], np.cumsum(ends - starts)]).astype(np.int64)
+    buffers = [None, pa.py_buffer(at), pa.py_buffer(raw[~SPACE[raw]])]
+    found = pa.Array.from_buffers(pa.large_binary(), len(starts), buffers).dictionary_encode()
+    return found.indices.to_numpy(), found.dictionary.to_pylist()
+
+
 def word_hashes(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(hash of every word, number of words of every document), in order."""
+    """(64-bit digest of every word, number of words of every document), in order."""
     found, counts = [], np.zeros(len(offsets) - 1, dtype=np.int64)
     for at, end in blocks(raw, offsets):
-        block = raw[at:end]
+        block = LOWER[raw[at:end]]
         starts, ends = word_spans(block, offsets - at)
-        found.append(span_hashes(block, starts, ends))
+        code, words = distinct_words(block, starts, ends)
+        digests = np.frombuffer(b"".join([blake2b(w, digest_size=8).digest() for w in words]), dtype="<u8")
+        found.append(digests[code])
         doc = np.searchsorted(offsets, starts + at, side="right") - 1
         counts += np.bincount(doc, minlength=len(counts))
     return (np.concatenate(found) if found else np.zeros(0, dtype=np.uint64)), counts
@@ -137,21 +149,23 @@ def word_hashes(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
 def shingle_sets(raw: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
     """(sorted distinct shingle hashes of each document one after the other, set sizes).
 
-    A document of fewer than ``width`` words, but some, has one shingle: its whole sequence.
+    A shingle's hash mixes in its words' digests one after the other.  A document of fewer
+    than ``width`` words, but some, has one shingle: its whole sequence.
     """
     words, counts = word_hashes(raw, offsets)
     first = np.concatenate([[0], np.cumsum(counts)])
-    salt = [mix(np.array([0xA0761D6478BD642F * (k + 1) % 2**64], dtype=np.uint64))[0] | np.uint64(1) for k in range(width)]
-    whole = np.zeros(max(0, len(words) - width + 1), dtype=np.uint64)
+    step = np.uint64(0x9FB21C651E98DF25)
+    whole = np.full(max(0, len(words) - width + 1), width, dtype=np.uint64)
     for k in range(width):
-        whole += words[k : k + len(whole)] * salt[k]
-    whole = mix(whole + np.uint64(width))
+        whole = mix(whole * step + words[k : k + len(whole)])
     sets, sizes = [], np.zeros(len(counts), dtype=np.int64)
     for i, n in enumerate(counts):
         if n >= width:
             own = np.unique(whole[first[i] : first[i] + n - width + 1])
         elif n:
-            own = mix(np.array([np.sum(words[first[i] : first[i] + n] * np.array(salt[:n]))], dtype=np.uint64) + np.uint64(n))
+            own = np.array([n], dtype=np.uint64)
+            for word in words[first[i] : first[i] + n]:
+                own = mix(own * step + word)
         else:
             continue
         sets.append(own)

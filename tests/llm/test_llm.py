@@ -39,6 +39,29 @@ def test_words_and_shingles_equal_a_plain_reading():
             assert n == (len({tuple(w[i : i + width]) for i in range(len(w) - width + 1)}) if len(w) >= width else int(bool(w)))
 
 
+def alike(n=11):
+    """Two words of 2,048 bytes whose polynomial hashes modulo 2**64 agree for every base."""
+    x, y = "a", "b"
+    for _ in range(n):
+        x, y = x + y, y + x
+    return x, y
+
+
+def test_words_that_share_a_polynomial_hash_are_told_apart(spark):
+    from tokenizers import Tokenizer
+
+    x, y = alike()
+    raw, offsets = texthash.text_bytes(pa.array([f"{x} {y}"]))
+    a, b = texthash.span_hashes(raw, *texthash.word_spans(raw, offsets)).tolist()
+    assert a == b and x != y
+    rows = [(1, f"{x} {y} {x} {x}", "en", "s", 0), (2, f"{y} {x} {y} {y}", "en", "s", 0), (3, x, "en", "s", 0), (4, y, "en", "s", 0)]
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in minhash.near_duplicates(spark.createDataFrame(rows, DOCS), 2).collect()}
+    assert got == brute_components({r[0]: r[1] for r in rows}, 2) == {1: (3, 1), 2: (3, 2), 3: (1, 3), 4: (1, 4)}
+    tokens, whole = packing.WordTokens(queries.tokenizer_path()), Tokenizer.from_file(queries.tokenizer_path())
+    for text in (f"{x} {y}", y, "H\u0331 h\u0331 \u1e96 J\u030c \u01f0 W\u030a.", "I\u0307 \u0130 i\u0307, A\u030a"):
+        assert tokens(pa.array([text]))[0].tolist() == whole.encode(text, add_special_tokens=False).ids
+
+
 def test_sketch_estimates_similarity():
     rng = np.random.default_rng(3)
     base = rng.integers(0, 2**63, 1000).astype(np.uint64)

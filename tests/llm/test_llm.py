@@ -313,6 +313,51 @@ def test_classifiers_on_odd_rows(spark, odd):
     assert quality_cnn.score(odd.limit(0), labels).count() == 0
 
 
+def test_classifiers_beside_columns_of_the_same_names(spark):
+    rows = [(k, ("good plain words here " if k % 2 else "bad junk %% && ") * 8, "en", "s", 0, 1.5, "x", 3, None) for k in range(60)]
+    docs = spark.createDataFrame(rows, DOCS + ", quality double, toxic string, label int, shard binary")
+    labels = spark.createDataFrame([(k, k % 2, 1 - k % 2, 0) for k in range(60)], "doc_id long, quality int, toxic int, text int")
+    got = {r["doc_id"]: r["predicted"] for r in quality_cnn.score(docs, labels).collect()}
+    assert got == {k: k % 2 for k in range(60)}
+    assert sorted(r["doc_id"] for r in toxicity.keep_clean(docs, labels).collect()) == list(range(1, 60, 2))
+    assert toxicity.keep_clean(docs, labels).columns == docs.columns
+
+
+def test_fitting_reads_whole_texts(spark):
+    """What tells the labels apart stands only in the middle of texts of 300,000 characters."""
+    fill = "of the and to in a is that for it " * 4_300
+    rows = [(k, fill + ("wonderful " if k % 2 else "zzqqxx%% ") * 20 + fill, "en", "s", 0) for k in range(48)]
+    docs = spark.createDataFrame(rows, DOCS)
+    labels = spark.createDataFrame([(k, k % 2, 1 - k % 2) for k in range(48)], "doc_id long, quality int, toxic int")
+    got = {r["doc_id"]: r["score"] for r in quality_cnn.score(docs, labels).collect()}
+    assert min(got[k] for k in range(1, 48, 2)) > max(got[k] for k in range(0, 48, 2))
+    assert sorted(r["doc_id"] for r in toxicity.score(docs, labels).where("rejected").collect()) == list(range(0, 48, 2))
+
+
+def test_gradients_of_the_net():
+    rng = np.random.default_rng(4)
+    net = quality_cnn.ByteNet()
+    for k, v in net.p.items():
+        net.p[k] = (v + 0.05 * rng.standard_normal(v.shape)).astype(np.float64)
+    raw, offsets = texthash.text_bytes(pa.array(["some words of a text " * 60, "", "x", "other things " * 30]))
+    labels = np.array([1, 0, 1, 0])
+
+    def loss():
+        net.pairs = None
+        p = np.clip(net.score(raw, offsets), 1e-12, 1 - 1e-12)
+        return -np.mean(labels * np.log(p) + (1 - labels) * np.log(1 - p))
+
+    g = net.gradients(raw, offsets, labels)
+    for k, at in (("table", (2, 111, 3)), ("table", (0, 32, 5)), ("b0", (4,)), ("w1", (3, 2)), ("b1", (1,)), ("w2", (6,)), ("b2", (0,))):
+        old = net.p[k][at]
+        net.p[k][at] = old + 1e-4
+        up = loss()
+        net.p[k][at] = old - 1e-4
+        down = loss()
+        net.p[k][at] = old
+        assert g[k][at] == pytest.approx((up - down) / 2e-4, abs=2e-3, rel=0.05)
+
+
 def test_rules_and_reputation(spark):
     pages = spark.createDataFrame([(1, "http://A.Example.NET/en/x?q"), (2, "http://example.net/de/"), (3, "http://b.org/fr/1"), (4, "http://example.com/de/1"), (5, None), (6, "nothing"), (7, "http://bad.example.com/x#y"), (8, "http://net"), (9, "http://notnet.com/")], "page_id long, url string")
     outcomes = spark.createDataFrame([("bad.example.com", 0)] * 60 + [("good.example.com", 1)] * 60 + [("notnet.com", 1)] * 3, "host string, good int")

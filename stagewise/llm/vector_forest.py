@@ -39,17 +39,22 @@ def _usable(column: pa.Array, dim: int | None = None) -> tuple[np.ndarray, np.nd
         x, at = column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, dim), np.arange(len(column))
     else:
         rows = [(v, i) for i, v in enumerate(column.to_pylist()) if v and len(v) == (dim or len(v)) and not any(y is None for y in v)]
-        x, at = np.array([v for v, _ in rows], dtype=np.float64).reshape(len(rows), -1), np.array([i for _, i in rows], dtype=np.int64)
-    with np.errstate(all="ignore"):
-        n = np.sqrt((x * x).sum(axis=1)) if len(x) else np.zeros(0)
-        good = np.isfinite(x).all(axis=1) & (n > 0) & np.isfinite(n) if len(x) else np.zeros(0, dtype=bool)
+        x, at = np.array([v for v, _ in rows], dtype=np.float64).reshape(len(rows), dim or (len(rows[0][0]) if rows else 0)), np.array([i for _, i in rows], dtype=np.int64)
+    good = np.isfinite(x).all(axis=1) & (x != 0).any(axis=1)
     return x[good], at[good]
 
 
+def _unit_rows(x: np.ndarray) -> np.ndarray:
+    """Vectors of length 1; very large and very small ones are first scaled by a power of two."""
+    if not x.size:
+        return x
+    x = np.ldexp(x, -np.frexp(np.abs(x).max(axis=1, keepdims=True))[1])
+    return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+
+
 def _units(raw: list[bytes], kind: str, dim: int) -> np.ndarray:
     """Unit vectors in double precision from stored values of the column's own precision."""
-    x = np.frombuffer(b"".join(raw), dtype=kind).reshape(-1, dim).astype(np.float64)
-    return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+    return _unit_rows(np.frombuffer(b"".join(raw), dtype=kind).reshape(-1, dim).astype(np.float64))
 
 
 class Forest:
@@ -276,7 +281,7 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, trees: int = TREES, spi
     distinct = scratch.save(
         keyed.where("raw is not null and vec_id is not null").groupBy("raw").agg(F.min("vec_id").alias("first"), F.count("*").alias("weight")).withColumn("vid", F.monotonically_increasing_id()), "distinct"
     )
-    centres, free = _centres(seen / np.sqrt((seen * seen).sum(axis=1, keepdims=True)), least, dense)
+    centres, free = _centres(_unit_rows(seen), least, dense)
     least_depth = int(np.ceil(np.log2(max(1, 2 * distinct.count() * len(free) / max(1, len(seen)) / part))))
     forest, balls = spark.sparkContext.broadcast(Forest(free, trees, leaf, spill, seed, least_depth)), spark.sparkContext.broadcast(centres)
     placed = scratch.save(

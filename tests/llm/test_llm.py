@@ -387,6 +387,34 @@ def test_vectors(spark, sf):
     assert vector_forest.near_vectors(df.limit(0)).count() == 0
 
 
+def test_partitions_without_a_usable_vector(spark):
+    kind = "vec_id long, embedding array<double>, n_links string"
+    some = spark.createDataFrame([(1, [1.0, 0.0], "x"), (2, [1e300, 1e299], "x"), (3, [1e-300, 0.0], "x"), (4, [0.0, -1.0], "x")], kind).coalesce(1)
+    none = spark.createDataFrame([(5, None, "x"), (6, [], "x"), (7, [None, 1.0], "x"), (8, [float("inf"), 1.0], "x"), (9, [0.0, -0.0], "x"), (None, [1.0, 0.0], "x")], kind).coalesce(1)
+    got = {r["vec_id"]: tuple(r)[1:] for r in vector_forest.near_vectors(none.where("vec_id < 8").unionByName(some).unionByName(none)).collect()}
+    assert got == {1: (2, 1, True), 2: (2, 1, False), 3: (2, 1, False), 4: (0, 4, True), **{k: (0, k, True) for k in range(5, 10)}, None: (0, None, False)}
+    assert sorted(r["n_links"] for r in vector_forest.near_vectors(none).collect()) == [0] * 6
+
+
+def test_recall_of_planted_pairs(spark):
+    """8,000 vectors in 200 loose groups, a quarter of them with a copy at a cosine from 0.90 to 0.99, against brute force."""
+    rng = np.random.default_rng(8)
+    middles = rng.standard_normal((200, 64))
+    base = middles[rng.integers(0, 200, 6400)] + 1.1 * rng.standard_normal((6400, 64))
+    base /= np.linalg.norm(base, axis=1, keepdims=True)
+    off = rng.standard_normal((1600, 64))
+    off -= (off * base[:1600]).sum(axis=1, keepdims=True) * base[:1600]
+    off /= np.linalg.norm(off, axis=1, keepdims=True)
+    c = rng.uniform(0.9, 0.99, (1600, 1))
+    x = np.concatenate([base, c * base[:1600] + np.sqrt(1 - c * c) * off]).astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    got = {r["vec_id"]: r for r in vector_forest.near_vectors(df).collect()}
+    unit = x.astype(np.float64) / np.linalg.norm(x.astype(np.float64), axis=1, keepdims=True)
+    links = (unit @ unit.T >= 0.9).sum(axis=1) - 1
+    mine = np.array([got[i]["n_links"] for i in range(len(x))])
+    assert links.sum() >= 3000 and (mine <= links).all() and mine.sum() >= 0.95 * links.sum()
+
+
 @pytest.mark.parametrize("cosine", [0.90, 0.93, 0.95, 0.97])
 def test_links_inside_a_dense_group(spark, cosine):
     """A third of all rows in one group of distinct near copies."""

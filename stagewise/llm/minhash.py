@@ -67,6 +67,12 @@ def _full_sets(width: int):
     return run
 
 
+def _at_buckets(rows: DataFrame, buckets: DataFrame, salts: int = 8) -> DataFrame:
+    """rows(key, gid, ..) joined with buckets(key, ..), one row a key; the rows of one key are dealt over ``salts`` tasks."""
+    wide = buckets.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return rows.withColumn("salt", F.pmod(F.xxhash64("gid"), F.lit(salts)).cast("int")).join(wide, ["key", "salt"]).drop("salt")
+
+
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """pairs(a, b) -> those whose full sets have a Jaccard similarity of percent / 100 or more."""
     left = pairs.join(sets.select(F.col("gid").alias("b"), F.col("shingles").alias("y")), "b")
@@ -114,7 +120,7 @@ def _between(placed: DataFrame, sets: DataFrame, percent: int, only_first: bool,
     """
     parts = placed.groupBy("key", "root").agg(F.count("*").alias("n"))
     mixed = parts.groupBy("key").agg(F.max(F.struct("n", "root")).alias("main"), F.count("*").alias("roots")).where("roots > 1")
-    rows = placed.join(mixed.select("key", F.col("main.root").alias("base")), "key").select("base", "gid", "root").distinct()
+    rows = _at_buckets(placed, mixed.select("key", F.col("main.root").alias("base"))).select("base", "gid", "root").distinct()
     asked = F.count(F.when(F.col("root") != F.col("base"), 1))
     sizes = rows.groupBy("base").agg(
         F.ceil(F.count("*") / chunk).cast("int").alias("chunks"), F.ceil(asked / (2 * chunk)).cast("int").alias("parts")
@@ -155,7 +161,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     buckets = scratch.save(
         banded.groupBy("key").agg(F.min("gid").alias("lo"), F.max("gid").alias("hi"), F.count("*").alias("c")).where("lo < hi"), "buckets"
     )
-    members = scratch.save(banded.join(buckets.where("c > 2").select("key", "lo"), "key").select("key", "gid", "lo"), "members")
+    members = scratch.save(_at_buckets(banded, buckets.where("c > 2").select("key", "lo")).select("key", "gid", "lo"), "members")
     pairs = buckets.where("c = 2").select(F.col("lo").alias("a"), F.col("hi").alias("b")).unionByName(
         members.where("gid <> lo").select(F.col("lo").alias("a"), F.col("gid").alias("b"))
     )

@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Callable, Iterator
+from itertools import repeat
 from unicodedata import is_normalized
 
 import numpy as np
@@ -23,6 +24,7 @@ from stagewise.llm import texthash
 
 WINDOW = 4096
 GROUP_TOKENS = 4 << 20
+BLOCK = 2 << 20  # bytes of text whose words are told apart at once
 ENCODE_WORDS = 1 << 13  # new words given to the tokenizer at once: its results take some hundred bytes a word
 _PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
@@ -153,6 +155,10 @@ class WordTokens:
         self.ids = np.zeros(1 << 18, dtype="<u4")
         self.used = 0
 
+    def _rows(self, words: list[bytes]) -> np.ndarray:
+        """Rows of the words, -1 where unknown."""
+        return np.fromiter(map(self.known.get, words, repeat(-1)), dtype=np.int64, count=len(words))
+
     def _add(self, words: list[bytes]) -> None:
         ids = self._encode([w.decode("utf-8", "replace") for w in words])
         sizes = np.array([len(x) for x in ids], dtype=np.int64)
@@ -197,14 +203,19 @@ class WordTokens:
         a, b = np.empty(len(starts) + int(cut.sum()), dtype=np.int64), np.empty(len(starts) + int(cut.sum()), dtype=np.int64)
         a[order], b[order] = starts, ends - cut
         a[order[cut] + 1], b[order[cut] + 1] = ends[cut] - 1, ends[cut]
-        code, words = texthash.distinct_words(raw, a, b)
-        new = [w for w in words if w not in self.known]
-        if new and len(self.known) + len(new) > self.most:
-            self._clear()
-            new = words
-        for k in range(0, len(new), ENCODE_WORDS):
-            self._add(new[k : k + ENCODE_WORDS])
-        rows = np.fromiter(map(self.known.__getitem__, words), dtype=np.int64, count=len(words))[code]
+        # letters that a combining mark may follow stay as they are: marks join some small letters only
+        alone = np.append(raw[1:], 0) < 0xCC
+        code, words = texthash.distinct_words(np.where(alone, texthash.LOWER[raw], raw), a, b)
+        rows = self._rows(words)
+        if (rows < 0).any():
+            new = np.flatnonzero(rows < 0)
+            if len(self.known) + len(new) > self.most:
+                self._clear()
+                new = np.arange(len(words))
+            rows[new] = len(self.known) + np.arange(len(new))
+            for k in range(0, len(new), ENCODE_WORDS):
+                self._add([words[i] for i in new[k : k + ENCODE_WORDS].tolist()])
+        rows = rows[code]
         at, size = self.spans[rows, 0], self.spans[rows, 1]
         before = np.cumsum(size) - size
         ids = self.ids[np.repeat(at - before, size) + np.arange(int(size.sum()))]
@@ -215,7 +226,7 @@ class WordTokens:
         """Ids of each text."""
         raw, offsets = texthash.text_bytes(texts)
         parts, counts = [], np.zeros(len(offsets) - 1, dtype=np.int64)
-        for begin, end in texthash.blocks(raw, offsets):
+        for begin, end in texthash.blocks(raw, offsets, BLOCK):
             ids, own = self._block(raw[begin:end], np.clip(offsets - begin, 0, end - begin))
             parts.append(ids)
             counts += own
@@ -267,7 +278,7 @@ def _packer(tokens: Callable[[], Callable[[pa.Array], list[np.ndarray]]], end_id
             return pa.RecordBatch.from_arrays([pa.array(c, type=pa.int64()) for c in cols], names=names)
 
         for batch in batches:
-            for part in texthash.slices(batch, "text", 1 << 20):
+            for part in texthash.slices(batch, "text", BLOCK):
                 for doc, own in zip(part.column("doc_id").to_pylist(), encode(part.column("text"))):
                     ids.append(doc)
                     held.append(np.concatenate([own, end]))

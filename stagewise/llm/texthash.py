@@ -69,11 +69,11 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw, at - at[0]
 
 
-def _cuts(raw: np.ndarray, offsets: np.ndarray) -> list[int]:
+def _cuts(raw: np.ndarray, offsets: np.ndarray, most: int) -> list[int]:
     """Ends of blocks: at a document's start or at white space, so that no word is cut."""
     cuts, at = [], 0
-    while len(raw) - at > BLOCK:
-        end = at + BLOCK
+    while len(raw) - at > most:
+        end = at + most
         k = np.searchsorted(offsets, end, side="right") - 1
         if offsets[k] > at:
             end = int(offsets[k])
@@ -84,11 +84,11 @@ def _cuts(raw: np.ndarray, offsets: np.ndarray) -> list[int]:
             else:
                 limit = int(offsets[k + 1])
                 while end < limit:
-                    ahead = np.flatnonzero(SPACE[raw[end : min(end + BLOCK, limit)]])
+                    ahead = np.flatnonzero(SPACE[raw[end : min(end + most, limit)]])
                     if len(ahead):
                         end += int(ahead[0]) + 1
                         break
-                    end = min(end + BLOCK, limit)
+                    end = min(end + most, limit)
         cuts.append(end)
         at = end
     if at < len(raw):
@@ -96,10 +96,10 @@ def _cuts(raw: np.ndarray, offsets: np.ndarray) -> list[int]:
     return cuts
 
 
-def blocks(raw: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[int, int]]:
+def blocks(raw: np.ndarray, offsets: np.ndarray, most: int = BLOCK) -> Iterator[tuple[int, int]]:
     """(begin, end) of consecutive parts that cut no word."""
     at = 0
-    for end in _cuts(raw, offsets):
+    for end in _cuts(raw, offsets, most):
         yield at, end
         at = end
 
@@ -135,7 +135,7 @@ def distinct_words(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tup
 def word_hashes(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(64-bit digest of every word, number of words of every document), in order."""
     found, counts = [], np.zeros(len(offsets) - 1, dtype=np.int64)
-    for at, end in blocks(raw, offsets):
+    for at, end in blocks(raw, offsets, 2 * BLOCK):
         block = LOWER[raw[at:end]]
         starts, ends = word_spans(block, offsets - at)
         code, words = distinct_words(block, starts, ends)

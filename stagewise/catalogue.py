@@ -56,11 +56,12 @@ PIECES["low"] = PIECES["high"].replace("o_orderstatus as cfg", "substr(o_orderpr
 def seg_sql(kind: str) -> str:
     """with-clause up to ``seg``(study, trial, k, start, end_, cfg, path, parent) in the oracle's SQL."""
     return f"""with pc as ({PIECES[kind]}),
-fl as (select *, case when lag(cfg) over w is distinct from cfg then 1 else 0 end as f from pc window w as (partition by study, trial order by ord)),
+fl as (select *, case when lag(1) over w is null or lag(cfg) over w is distinct from cfg then 1 else 0 end as f from pc window w as (partition by study, trial order by ord)),
 il as (select *, sum(f) over (partition by study, trial order by ord rows unbounded preceding) as island from fl),
 g as (select study, trial, island - 1 as k, min(cfg) as cfg, sum(steps) as steps from il group by study, trial, island),
 pr as (select *, coalesce(sum(steps) over (partition by study, trial order by k rows between unbounded preceding and 1 preceding), 0) as start from g),
-pa as (select *, string_agg(cast(cast(start as bigint) as varchar) || ':' || cfg, '/') over (partition by study, trial order by k rows unbounded preceding) as path from pr),
+pt as (select *, list(cast(cast(start as bigint) as varchar) || '|' || case when cfg is null then '-' else length(cfg) || ':' || cfg end) over (partition by study, trial order by k rows unbounded preceding) as parts from pr),
+pa as (select *, list_reduce(list_prepend('', parts), lambda a, x: substr(sha256(a || '|' || x), 1, 32)) as path from pt),
 seg as (select study, trial, cast(k as bigint) as k, cast(start as bigint) as start, cast(start + steps as bigint) as end_, cfg, path, lag(path) over (partition by study, trial order by k) as parent from pa)
 """
 
@@ -82,8 +83,8 @@ _register("merge_by_segment", seg_sql("by_segment") + _RATE.replace("select cast
 _register("merge_bruteforce", seg_sql("orders") + "select cast(sum(c) as bigint) as total_steps, count(*) as unique_steps from (select path, step, count(*) as c from (select path, unnest(range(start, end_)) as step from seg) group by path, step)")(
     lambda s, d: M.merge_bruteforce(seg(s, d, "orders"))
 )
-_register("merge_unshared", seg_sql("high") + "select 'none' as sharing, cast(sum(end_ - start) as bigint) as unique_steps from seg union all select 'study', cast(sum(u) as bigint) from (select max(end_) - min(start) as u from seg group by study, path) union all select 'plan', cast(sum(u) as bigint) from (select max(end_) - min(start) as u from seg group by path)")(
-    lambda s, d: _sharing(seg(s, d, "high"))
+_register("merge_unshared", seg_sql("nations") + "select 'none' as sharing, cast(sum(end_ - start) as bigint) as unique_steps from seg union all select 'study', cast(sum(u) as bigint) from (select max(end_) - min(start) as u from seg group by study, path) union all select 'plan', cast(sum(u) as bigint) from (select max(end_) - min(start) as u from seg group by path)")(
+    lambda s, d: _sharing(seg(s, d, "nations"))
 )
 
 
@@ -121,22 +122,24 @@ def _kwise_sql(kind: str) -> str:
 
 _register("kwise_high", _kwise_sql("high"))(lambda s, d: M.kwise_rate(seg(s, d, "high"), HIGH))
 _register("kwise_low", _kwise_sql("low"))(lambda s, d: M.kwise_rate(seg(s, d, "low"), HIGH))
-_register("pairwise_rates", seg_sql("high") + "select a.study as study_a, b.study as study_b, round(sum(t) / sum(u), 6) as rate from (select distinct study from seg) a join (select distinct study from seg) b on a.study < b.study join lateral (select path, sum(end_ - start) as t, max(end_) - min(start) as u from seg where study = a.study or study = b.study group by path) on true group by a.study, b.study")(
-    lambda s, d: M.pairwise_rates(seg(s, d, "high"))
+_register("pairwise_rates", seg_sql("nations") + "select a.study as study_a, b.study as study_b, round(sum(t) / sum(u), 6) as rate from (select distinct study from seg) a join (select distinct study from seg) b on a.study < b.study join lateral (select path, sum(end_ - start) as t, max(end_) - min(start) as u from seg where study = a.study or study = b.study group by path) on true group by a.study, b.study")(
+    lambda s, d: M.pairwise_rates(seg(s, d, "nations"))
 )
-_SECONDS = "(values ('F', 0.5), ('O', 1.25), ('P', 2.0)) as sec(cfg, sec)"
+_SECONDS = "(values ('F', 0.5::double), ('O', 1.25::double), ('P', 2.0::double)) as sec(cfg, sec)"
 
 
 def _seconds(s: SparkSession) -> DataFrame:
     return s.createDataFrame([("F", 0.5), ("O", 1.25), ("P", 2.0)], "cfg string, sec double")
 
 
-_register("cost_rate", seg_sql("high") + f"select round(sum(t * sec), 6) as cost, round(sum(u * sec), 6) as unique_cost, round(round(sum(t * sec), 6) / round(sum(u * sec), 6), 6) as rate from (select path, min(cfg) as cfg, cast(sum(end_ - start) as double) as t, max(end_) - min(start) as u from seg group by path) n join {_SECONDS} using (cfg)")(
-    lambda s, d: M.cost_rate(seg(s, d, "high"), _seconds(s))
+_register("cost_rate", seg_sql("nations") + f"select round(sum(t * sec), 6) as cost, round(sum(u * sec), 6) as unique_cost, round(round(sum(t * sec), 6) / round(sum(u * sec), 6), 6) as rate from (select path, min(cfg) as cfg, cast(sum(end_ - start) as double) as t, max(end_) - min(start) as u from seg group by path) n join {_SECONDS} using (cfg)")(
+    lambda s, d: M.cost_rate(seg(s, d, "nations"), _seconds(s))
 )
 _register("coalesce_segments", seg_sql("orders") + "select trial, k, start, end_ as \"end\", cfg from seg")(lambda s, d: seg(s, d, "orders").select("trial", F.col("k").cast("long").alias("k"), "start", "end", "cfg"))
 _register("prefix_steps", seg_sql("orders") + "select trial, k, start as before, end_ - start as steps from seg")(lambda s, d: T.prefix_steps(seg(s, d, "orders")).select("trial", F.col("k").cast("long").alias("k"), "before", "steps"))
-_register("lineage_paths", seg_sql("orders") + "select trial, k, path, parent, substr(sha256(path), 1, 32) as node_id from seg")(lambda s, d: seg(s, d, "orders").select("trial", F.col("k").cast("long").alias("k"), "path", "parent", T.node_id(F.col("path")).alias("node_id")))
+_register("lineage_paths", seg_sql("orders") + "select trial, k, path, parent, string_agg(start || ':' || cfg, '/') over (partition by study, trial order by k rows unbounded preceding) as text from seg")(
+    lambda s, d: T.readable(seg(s, d, "orders")).select("trial", F.col("k").cast("long").alias("k"), "path", "parent", "text")
+)
 _register("expand_steps", seg_sql("orders") + "select trial, cast(step as bigint) as step, cfg from (select trial, cfg, unnest(range(start, end_)) as step from seg)")(lambda s, d: T.expand_steps(seg(s, d, "orders")).select("trial", "step", "cfg"))
 _register("counts", seg_sql("orders") + "select count(*) filter (where k = 0) as trials, count(*) as segments, count(distinct path) as nodes, cast(max(k) as bigint) as max_depth from seg")(
     lambda s, d: M.counts(seg(s, d, "orders")).withColumn("max_depth", F.col("max_depth").cast("long"))
@@ -150,12 +153,12 @@ stages as (select s.path, lo, hi, case when s.lo > n.start then s.path else n.pa
 """
 _TRIALS = ", full_ as (select g.path, g.lo, g.hi, g.parent_path, g.parent_hi, count(*) as trials, min(trial) as min_trial, max(trial) as max_trial from stages g join seg on seg.path = g.path and seg.start <= g.lo and seg.end_ >= g.hi group by all)\n"
 _register("stage_cuts", seg_sql("orders") + _STAGES + "select path, lo, hi from stages")(lambda s, d: forest.merge_trials(seg(s, d, "orders")).select("path", "lo", "hi"))
-_register("stage_forest", seg_sql("orders") + _STAGES + _TRIALS + "select path, lo, hi, parent_path, parent_hi, trials from full_")(lambda s, d: forest.merge_trials(seg(s, d, "orders")))
+_register("stage_forest", seg_sql("orders") + _STAGES + _TRIALS + "select path, lo, hi, parent_path, parent_hi, trials from full_")(lambda s, d: forest.merge_trials(seg(s, d, "orders")).drop("cfg"))
 _register("trials_of_stage", seg_sql("orders") + _STAGES + _TRIALS + "select path, lo, hi, trials as n_trials, min_trial, max_trial from full_")(
     lambda s, d: forest.trials_of_stage(forest.merge_trials(seg(s, d, "orders")), seg(s, d, "orders"))
 )
-_register("stage_split_insert", seg_sql("orders") + _STAGES + "select path, lo, hi from stages")(
-    lambda s, d: forest.insert_trials(forest.merge_trials((g := seg(s, d, "orders")).where("trial % 2 = 0")).select("path", "lo", "hi"), g.where("trial % 2 = 1"))
+_register("stage_split_insert", seg_sql("orders") + _STAGES + "select path, lo, hi, parent_path, parent_hi from stages")(
+    lambda s, d: forest.insert_trials(forest.merge_trials((g := seg(s, d, "orders")).where("trial % 2 = 0")), g.where("trial % 2 = 1"))
 )
 _register("stage_drop_trials", seg_sql("by_segment").replace("seg as (select", "seg0 as (select") + ", seg as (select * from seg0 where study <> 'BUILDING')" + _STAGES + _TRIALS + "select path, lo, hi, trials from full_")(
     lambda s, d: forest.drop_trials(g := seg(s, d, "by_segment"), g.where("study = 'BUILDING'").select("study", "trial").distinct()).select("path", "lo", "hi", "trials")
@@ -209,7 +212,7 @@ way as (select r.trial, r.path as node, r.step, a.path as anc, a.k, a.end_ as li
 best as (select w.node, w.step, max_by(w.anc, w.k * 1000000 + ck.step) as ckpt_path, max_by(ck.step, w.k * 1000000 + ck.step) as ckpt_step from way w join ck on ck.path = w.anc and ck.step <= w.lim group by w.node, w.step)
 """
 _register("nearest_ckpt_asof", seg_sql("orders") + _NODES + _CK + _NEAR + "select rq.path, rq.step, ckpt_path, ckpt_step from rq left join best on rq.path = best.node and rq.step = best.step")(
-    lambda s, d: forest.resume_points(plan.requests(g := seg(s, d, "orders")), _ckpts(g))
+    lambda s, d: forest.resume_points(plan.requests(g := seg(s, d, "orders")), _ckpts(g), T.lines(g)).drop("up")
 )
 _NEED = """, need as (select distinct w.anc as path, case when w.anc = b.ckpt_path then b.ckpt_step else s.start end as lo, w.lim as hi
  from way w left join best b on b.node = w.node and b.step = w.step join (select path, min(start) as start, min(k) as k from seg group by path) s on s.path = w.anc
@@ -221,7 +224,7 @@ _BREAK = ", cut as (select path, lo as c from nd union select path, hi from nd),
 
 def _tree(s: SparkSession, d: str, mode: str) -> DataFrame:
     g = seg(s, d, "orders")
-    return forest.from_plan(plan.requests(g), _ckpts(g), mode)
+    return forest.from_plan(plan.requests(g), _ckpts(g), T.lines(g), mode).select("path", "lo", "hi")
 
 
 _PLAN_SQL = seg_sql("orders") + _NODES + _CK + _NEAR + _NEED + _BREAK
@@ -231,7 +234,7 @@ _register("repeated_steps", _PLAN_SQL + "select cast((select sum(hi - lo) from t
     lambda s, d: _tree(s, d, "breakpoints").agg(F.sum(F.col("hi") - F.col("lo")).alias("breakpoints")).crossJoin(_tree(s, d, "literal").agg(F.sum(F.col("hi") - F.col("lo")).alias("literal")))
 )
 _register("ancestors_recursive", seg_sql("orders").replace("with pc", "with recursive pc") + _NODES + ", up as (select path as node, path as ancestor, parent, cast(0 as bigint) as dist from nodes union all select up.node, n.path, n.parent, up.dist + 1 from up join nodes n on n.path = up.parent) select node, ancestor, dist from up")(
-    lambda s, d: forest.ancestry(T.nodes(seg(s, d, "orders"))).select("node", "ancestor", "dist")
+    lambda s, d: forest.ancestry(T.lines(seg(s, d, "orders"))).select("node", "ancestor", "dist")
 )
 for _name, _sql, _op in (("nodes_intersect", "intersect", "intersect"), ("nodes_except", "except", "subtract"), ("nodes_union", "union", "union")):
     _register(_name, seg_sql("high") + f"select path, start from seg where study = '0' {_sql} select path, start from seg where study = '1'")(
@@ -241,29 +244,34 @@ for _name, _sql, _op in (("nodes_intersect", "intersect", "intersect"), ("nodes_
 # --- schedule -----------------------------------------------------------------------------
 
 
-def _costed(s: SparkSession, d: str, kind: str = "high") -> DataFrame:
-    return schedule.costs(forest.merge_trials(seg(s, d, kind)), _seconds(s))
+def _costed(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    """(costed stages, lines) of the order histories of all nations."""
+    g = seg(s, d, "nations")
+    return schedule.costs(forest.merge_trials(g), _seconds(s)), T.lines(g)
 
 
-_COST = f", costed as (select g.*, (hi - lo) * sec as cost from stages g join {_SECONDS} on sec.cfg = split_part(split_part(path, '/', -1), ':', 2))\n"
+_COST = f", costed as (select g.*, (hi - lo) * sec as cost from stages g join (select path, min(cfg) as cfg from seg group by path) c using (path) join {_SECONDS} using (cfg))\n"
 _LEAF = """, lf as (select g.path || '@' || hi as leaf, path as node, hi as leaf_hi from costed g where not exists (select 1 from costed c where c.parent_path = g.path and c.parent_hi = g.hi)),
-lp as (select l.leaf, c.path || '@' || c.hi as stage, c.path, c.lo, c.hi, c.cost from lf l join costed c on (c.path = l.node and c.hi <= l.leaf_hi) or (starts_with(l.node, c.path || '/') and c.hi <= cast(split_part(substr(l.node, length(c.path) + 2), ':', 1) as bigint))),
+wy as (select distinct a.path as node, b.path as anc, case when b.k < a.k then b.end_ end as lim from seg a join seg b on a.study = b.study and a.trial = b.trial and b.k <= a.k),
+lp as (select l.leaf, c.path || '@' || c.hi as stage, c.path, c.lo, c.hi, c.cost from lf l join wy w on w.node = l.node join costed c on c.path = w.anc and c.hi <= coalesce(w.lim, l.leaf_hi)),
 tt as (select *, sum(cost) over (partition by leaf) as total from lp),
 el as (select stage, any_value(path) as path, any_value(lo) as lo, any_value(hi) as hi, any_value(cost) as cost, first(leaf order by total desc, leaf) as leaf from tt group by stage),
 ch as (select leaf, sum(cost) as cost, count(*) as n_stages, min(lo) as lo from el group by leaf)
 """
-_SCHED = seg_sql("high") + _STAGES + _COST + _LEAF
-_register("stage_costs", seg_sql("high") + _STAGES + _COST + "select path, lo, hi, cost from costed")(lambda s, d: _costed(s, d).select("path", "lo", "hi", "cost"))
-_register("critical_path", _SCHED + "select leaf, max(total) as total from tt group by leaf order by total desc, leaf limit 1")(lambda s, d: schedule.critical_path(_costed(s, d)))
-_register("chains_orders", _SCHED + "select leaf, cost, n_stages, lo from ch")(lambda s, d: schedule.chains(_costed(s, d)))
-_register("top_chains", _SCHED + "select leaf, cost, n_stages, lo from ch order by cost desc, leaf limit 40")(lambda s, d: schedule.top_chains(_costed(s, d), 40))
-_register("bfs_order", seg_sql("high") + _STAGES + "select path, lo, hi, cast(len(string_split(path, '/')) - 1 as bigint) as depth from stages")(lambda s, d: schedule.breadth_first(forest.merge_trials(seg(s, d, "high"))))
+_SCHED = seg_sql("nations") + _STAGES + _COST + _LEAF
+_register("stage_costs", seg_sql("nations") + _STAGES + _COST + "select path, lo, hi, cost from costed")(lambda s, d: _costed(s, d)[0].select("path", "lo", "hi", "cost"))
+_register("critical_path", _SCHED + "select leaf, max(total) as total from tt group by leaf order by total desc, leaf limit 1")(lambda s, d: schedule.critical_path(*_costed(s, d)))
+_register("chains_orders", _SCHED + "select leaf, cost, n_stages, lo from ch")(lambda s, d: schedule.chains(*_costed(s, d)))
+_register("top_chains", _SCHED + "select leaf, cost, n_stages, lo from ch order by cost desc, leaf limit 40")(lambda s, d: schedule.top_chains(*_costed(s, d), 40))
+_register("bfs_order", seg_sql("nations") + _STAGES + "select path, lo, hi, depth from stages join (select path, min(k) as depth from seg group by path) using (path)")(
+    lambda s, d: schedule.breadth_first(forest.merge_trials(g := seg(s, d, "nations")), T.nodes(g))
+)
 
 
-def _elected(s: SparkSession, d: str, kind: str = "nations") -> DataFrame:
-    st = _costed(s, d, kind)
+def _elected(s: SparkSession, d: str) -> DataFrame:
+    st, lines = _costed(s, d)
     up = st.select(schedule.stage_id(F.col("path"), F.col("hi")).alias("stage"), schedule.stage_id(F.col("parent_path"), F.col("parent_hi")).alias("parent"))
-    return schedule.elected_leaves(st).join(up, "stage").withColumn("study", F.lit(kind))
+    return schedule.elected_leaves(st, lines).join(up, "stage").withColumn("study", F.lit("nations"))
 
 
 SWEEP = [(p, w) for w in (1, 4, 8, 40) for p in ("chains", "breadth")]
@@ -272,22 +280,9 @@ _register("sched_bfs_vs_cp")(lambda s, d: simulate.run(_elected(s, d), [(p, w) f
 _register("transition_costs")(lambda s, d: reduce(DataFrame.unionByName, [
     simulate.run(_elected(s, d), [(p, w) for p, w in SWEEP if w in (8, 40)], save=c, load=c).withColumn("cost", F.lit(c)) for c in (0.0, 1.0, 5.0, 20.0)
 ]))
-_register("work_bound", _SCHED + "select 40 as w, sum(cost) as work, sum(cost) / 40 as least from el")(lambda s, d: simulate.bounds(_elected(s, d, "high"), 40))
-
-# the same over the customers of all nations
-_NATIONS = {
-    "merge_unshared": lambda s, d: _sharing(seg(s, d, "nations")),
-    "pairwise_rates": lambda s, d: M.pairwise_rates(seg(s, d, "nations")),
-    "cost_rate": lambda s, d: M.cost_rate(seg(s, d, "nations"), _seconds(s)),
-    "stage_costs": lambda s, d: _costed(s, d, "nations").select("path", "lo", "hi", "cost"),
-    "critical_path": lambda s, d: schedule.critical_path(_costed(s, d, "nations")),
-    "chains_orders": lambda s, d: schedule.chains(_costed(s, d, "nations")),
-    "top_chains": lambda s, d: schedule.top_chains(_costed(s, d, "nations"), 40),
-    "bfs_order": lambda s, d: schedule.breadth_first(forest.merge_trials(seg(s, d, "nations"))),
-    "work_bound": lambda s, d: simulate.bounds(_elected(s, d, "nations"), 40),
-}
-for _name, _f in _NATIONS.items():
-    _register(f"{_name}_nations", _SQL[_name].replace(seg_sql("high"), seg_sql("nations")))(_f)
+_register("work_bound", _SCHED + "select 40 as w, sum(cost) as work, (select max(total) from tt) as path, greatest(sum(cost) / 40, (select max(total) from tt)) as least from el")(
+    lambda s, d: simulate.bounds(*_costed(s, d), 40)
+)
 
 # --- settings and spaces ------------------------------------------------------------------
 
@@ -417,7 +412,14 @@ def literal(s: SparkSession, rows: list[tuple]) -> DataFrame:
     return T.canonical(s.createDataFrame([("fig", *r) for r in rows], "study string, trial bigint, ord bigint, cfg string, steps bigint"))
 
 
-_register("fig_four_trials", "select * from (values ('0:0.1', 0, 100, 4), ('0:0.1', 100, 200, 1), ('0:0.1/200:0.01', 200, 300, 1), ('0:0.1/100:0.05', 100, 200, 3), ('0:0.1/100:0.05/200:0.01', 200, 300, 1), ('0:0.1/100:0.05/200:0.02', 200, 300, 1), ('0:0.1/100:0.05', 200, 300, 1)) as t(path, lo, hi, trials)")(
+def _values(rows: list[tuple], columns: str) -> str:
+    """Expected rows as SQL; a list of (start, configuration) stands for its node."""
+    text = lambda x: f"'{T.identity(*x)}'" if isinstance(x, list) else str(x)
+    return "select * from (values " + ", ".join("(" + ", ".join(text(x) for x in r) + ")" for r in rows) + f") as t({columns})"
+
+
+_A, _B = [(0, "0.1")], [(0, "0.1"), (100, "0.05")]
+_register("fig_four_trials", _values([(_A, 0, 100, 4), (_A, 100, 200, 1), ([*_A, (200, "0.01")], 200, 300, 1), (_B, 100, 200, 3), ([*_B, (200, "0.01")], 200, 300, 1), ([*_B, (200, "0.02")], 200, 300, 1), (_B, 200, 300, 1)], "path, lo, hi, trials"))(
     lambda s, d: forest.merge_trials(literal(s, _FOUR)).select("path", "lo", "hi", "trials")
 )
 _register("fig_fifth_trial", "select 5 as trials, 1500 as total_steps, 850 as unique_steps, round(1500 / 850, 6) as rate")(lambda s, d: M.merge_rate(literal(s, _FOUR + _FIFTH)).drop("nodes"))
@@ -426,13 +428,26 @@ _register("fig_two_pairs", "select 4 as trials, 800 as total_steps, 600 as uniqu
 )
 
 
-def fig_plan(s: SparkSession) -> tuple[DataFrame, DataFrame]:
-    req = s.createDataFrame([("0:H1", 15), ("0:H1/10:H2", 25), ("0:H1/20:H3", 35), ("0:H1/20:H3/40:H4", 60)], "path string, step bigint")
-    return req, s.createDataFrame([("0:H1", 10), ("0:H1", 20), ("0:H1/10:H2", 20)], "path string, step bigint")
+def fig_plan(s: SparkSession) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(requests, checkpoints, lines) of the plan of four nodes."""
+    g = literal(s, [(1, 0, "H1", 15), (2, 0, "H1", 10), (2, 1, "H2", 15), (3, 0, "H1", 20), (3, 1, "H3", 15), (4, 0, "H1", 20), (4, 1, "H3", 20), (4, 2, "H4", 20)])
+    saved = [(T.identity(*_N1), 10), (T.identity(*_N1), 20), (T.identity(*_N2), 20)]
+    return plan.requests(g).select("path", "step"), s.createDataFrame(saved, "path string, step bigint"), T.lines(g)
+
+
+_N1, _N2, _N3, _N4 = [(0, "H1")], [(0, "H1"), (10, "H2")], [(0, "H1"), (20, "H3")], [(0, "H1"), (20, "H3"), (40, "H4")]
+_TREE = [(_N1, 10, 15), (_N2, 20, 25), (_N3, 20, 35), (_N3, 35, 40), (_N4, 40, 60)]
+_register("fig_plan_tree", _values(_TREE, "path, lo, hi"))(lambda s, d: forest.from_plan(*fig_plan(s)).select("path", "lo", "hi"))
+_register("fig_plan_literal", _values([*_TREE[:3], (_N3, 20, 40), _TREE[4]], "path, lo, hi"))(lambda s, d: forest.from_plan(*fig_plan(s), "literal").select("path", "lo", "hi"))
+
+
+def _fig_running(s: SparkSession) -> DataFrame:
+    """The same plan while a worker trains the third node up to step 35: what follows is blocked."""
+    held = s.createDataFrame([(T.identity(*_N3), 20, 35)], "path string, lo bigint, hi bigint")
+    return forest.from_plan(*fig_plan(s), running=held).select("path", "lo", "hi", "blocked")
 
 
-_register("fig_plan_tree", "select * from (values ('0:H1', 10, 15), ('0:H1/10:H2', 20, 25), ('0:H1/20:H3', 20, 35), ('0:H1/20:H3', 35, 40), ('0:H1/20:H3/40:H4', 40, 60)) as t(path, lo, hi)")(lambda s, d: forest.from_plan(*fig_plan(s)))
-_register("fig_plan_literal", "select * from (values ('0:H1', 10, 15), ('0:H1/10:H2', 20, 25), ('0:H1/20:H3', 20, 35), ('0:H1/20:H3', 20, 40), ('0:H1/20:H3/40:H4', 40, 60)) as t(path, lo, hi)")(lambda s, d: forest.from_plan(*fig_plan(s), "literal"))
+_register("fig_plan_running", _values([(_N1, 10, 15, "false"), (_N2, 20, 25, "false"), (_N3, 35, 40, "true"), (_N4, 40, 60, "true")], "path, lo, hi, blocked"))(lambda s, d: _fig_running(s))
 
 # --- training -----------------------------------------------------------------------------
 

@@ -8,6 +8,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from stagewise.plans.schedule import critical_path
+
 _OUT = "policy string, w long, makespan double, busy double, transitions long"
 
 
@@ -96,7 +98,8 @@ def run(elected: DataFrame, sweep: list[tuple[str, int]], by: str = "study", sav
     return elected.select(by, "stage", "parent", "leaf", "cost").groupBy(by).applyInPandas(one, f"{by} string, {_OUT}")
 
 
-def bounds(elected: DataFrame, w: int) -> DataFrame:
-    """Lower bounds for clusters too large to simulate: the critical path, and work over workers."""
-    work = elected.agg(F.sum("cost").alias("work"))
-    return work.select(F.lit(w).cast("long").alias("w"), "work", (F.col("work") / w).alias("least"))
+def bounds(stages: DataFrame, lines: DataFrame, w: int) -> DataFrame:
+    """(w, work, path, least): no run on ``w`` workers ends before the critical path or the work over the workers; for clusters too large to simulate."""
+    work = stages.agg(F.sum("cost").alias("work"))
+    both = work.crossJoin(F.broadcast(critical_path(stages, lines).select(F.col("total").alias("path"))))  # one row each
+    return both.select(F.lit(w).cast("long").alias("w"), "work", "path", F.greatest(F.col("work") / w, F.col("path")).alias("least"))

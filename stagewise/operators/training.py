@@ -232,7 +232,7 @@ def train(segments: DataFrame, data: tuple[np.ndarray, np.ndarray], classes: int
         out, steps = train_trials(group, model(*held.value, classes, seed), shared, lo, hi)
         return pd.DataFrame([(*r, steps if not k else 0) for k, r in enumerate(out)], columns=["study", "trial", "step", "ckpt", "steps_run"])
 
-    own = [F.substring_index("path", "/", 1).alias("tree")] if shared else ["study", "trial"]
+    own = ["root"] if shared else ["study", "trial"]
     return segments.groupBy(*own).applyInPandas(one, "study string, trial long, step long, ckpt binary, steps_run long")
 
 

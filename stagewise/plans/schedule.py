@@ -10,72 +10,82 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
+#: Rows of a table of seconds up to which it is broadcast (one row a configuration, some 40 bytes).
+FEW_ROWS = 100_000
+
+
 def costs(stages: DataFrame, seconds: DataFrame | None = None) -> DataFrame:
-    """stages with ``cost``: steps times seconds(cfg, sec) per step of the node's configuration; the mean where unknown."""
-    cfg = F.element_at(F.split(F.element_at(F.split("path", "/"), -1), ":"), -1)
+    """stages(.., lo, hi, cfg) with ``cost``: steps times seconds(cfg, sec) per step of the node's configuration; the mean where unknown."""
     steps = (F.col("hi") - F.col("lo")).cast("double")
     if seconds is None:
         return stages.withColumn("cost", steps)
-    mean = F.broadcast(seconds.agg(F.avg("sec").alias("mean_sec")))
-    known = stages.withColumn("cfg", cfg).join(F.broadcast(seconds), "cfg", "left").crossJoin(mean)
-    return known.withColumn("cost", steps * F.coalesce("sec", "mean_sec")).drop("sec", "mean_sec", "cfg")
+    known = F.broadcast(seconds) if seconds.limit(FEW_ROWS + 1).count() <= FEW_ROWS else seconds
+    mean = F.broadcast(seconds.agg(F.avg("sec").alias("mean_sec")))  # one row
+    out = stages.join(known, "cfg", "left").crossJoin(mean).withColumn("cost", steps * F.coalesce("sec", "mean_sec"))
+    return out.select(*stages.columns, "cost")
 
 
 def stage_id(path: F.Column, hi: F.Column) -> F.Column:
     return F.concat(path, F.lit("@"), hi.cast("string"))
 
 
-def leaf_paths(stages: DataFrame) -> DataFrame:
-    """(leaf, total, stage, lo, hi, cost): each stage of the path of each leaf.
+def leaf_paths(stages: DataFrame, lines: DataFrame) -> DataFrame:
+    """stages(path, lo, hi, parent_path, parent_hi, cost), lines(path, line) -> (leaf, total, stage, path, lo, hi, cost): each stage of the path of each leaf.
 
-    A leaf is a stage that no stage follows.  Its path comes from its node's lineage: the stages of each
-    ancestor up to the step at which the lineage leaves it.
+    A leaf is a stage that no stage follows.  Its path is in its node's line: the stages of each
+    ancestor up to the step at which the line leaves it.
     """
     from stagewise.plans.forest import ancestry
 
     s = stages.withColumn("stage", stage_id(F.col("path"), F.col("hi")))
     followed = s.where("parent_path is not null").select(stage_id(F.col("parent_path"), F.col("parent_hi")).alias("stage")).distinct()
     leaves = s.join(followed, "stage", "left_anti").select(F.col("stage").alias("leaf"), F.col("path").alias("node"), F.col("hi").alias("leaf_hi"))
-    ways = leaves.join(ancestry(leaves.select(F.col("node").alias("path")).distinct()), "node")
+    ways = leaves.join(ancestry(lines.join(leaves.select(F.col("node").alias("path")).distinct(), "path", "left_semi")).drop("start"), "node")
     on = F.expr("ancestor = path and hi <= coalesce(limit, leaf_hi)")
     rows = ways.join(s.select("stage", "path", "lo", "hi", "cost"), on).select("leaf", "stage", "path", "lo", "hi", "cost")
     total = rows.groupBy("leaf").agg(F.sum("cost").alias("total"))
     return rows.join(total, "leaf")
 
 
-def chains(stages: DataFrame) -> DataFrame:
+def chains(stages: DataFrame, lines: DataFrame) -> DataFrame:
     """(leaf, rank, cost, n_stages, lo): one chain per leaf; a tie goes to the smaller leaf."""
-    elected = elected_leaves(stages)
+    elected = elected_leaves(stages, lines)
     per = elected.groupBy("leaf").agg(F.sum("cost").alias("cost"), F.count("*").alias("n_stages"), F.min("lo").alias("lo"))
     return per
 
 
-def elected_leaves(stages: DataFrame) -> DataFrame:
+def elected_leaves(stages: DataFrame, lines: DataFrame) -> DataFrame:
     """(stage, path, lo, hi, cost, leaf): the leaf whose whole path costs most among those below a stage."""
-    paths = leaf_paths(stages)
+    paths = leaf_paths(stages, lines)
     best = F.min_by("leaf", F.struct(-F.col("total"), F.col("leaf"))).alias("leaf")
     return paths.groupBy("stage").agg(F.first("path").alias("path"), F.min("lo").alias("lo"), F.min("hi").alias("hi"), F.min("cost").alias("cost"), best)
 
 
-def critical_path(stages: DataFrame) -> DataFrame:
+def critical_path(stages: DataFrame, lines: DataFrame) -> DataFrame:
     """(leaf, total) of the costliest path."""
-    return leaf_paths(stages).groupBy("leaf").agg(F.max("total").alias("total")).orderBy(F.desc("total"), "leaf").limit(1)
+    return leaf_paths(stages, lines).groupBy("leaf").agg(F.max("total").alias("total")).orderBy(F.desc("total"), "leaf").limit(1)
 
 
-def top_chains(stages: DataFrame, idle: int) -> DataFrame:
-    """One stateless round: the chains for the idle workers, costliest first."""
-    return chains(stages).orderBy(F.desc("cost"), "leaf").limit(idle)
+def top_chains(stages: DataFrame, lines: DataFrame, idle: int) -> DataFrame:
+    """The chains for the idle workers, costliest first."""
+    return chains(stages, lines).orderBy(F.desc("cost"), "leaf").limit(idle)
 
 
-def breadth_first(stages: DataFrame) -> DataFrame:
-    """Stages level by level: (stage, depth, lo) in the order (depth, lo, path), the rejected alternative.
+def round(stages: DataFrame, lines: DataFrame, idle: int) -> DataFrame:
+    """One stateless round over stages of a plan: (leaf, place, path, lo, hi, resume_path, resume_step) of the chains that idle workers take.
 
-    The order is a sort, not a global row number: consumers read it in order.
+    A chain can be taken when its first stage begins at a checkpoint or at step 0 and is not blocked; the costliest go first.
     """
-    return stages.select("path", "lo", "hi", (F.size(F.split("path", "/")) - 1).cast("long").alias("depth")).orderBy("depth", "lo", "path")
+    own = elected_leaves(stages, lines).join(stages.select("path", "lo", "hi", "parent_path", "resume_path", "resume_step", "blocked"), ["path", "lo", "hi"])
+    head = F.min_by(F.struct(F.col("parent_path").isNull().alias("free"), "blocked"), "lo").alias("head")
+    able = own.groupBy("leaf").agg(F.sum("cost").alias("total"), head).where("head.free and not head.blocked")
+    taken = F.broadcast(able.orderBy(F.desc("total"), "leaf").limit(idle).select("leaf"))  # a row a worker
+    return own.join(taken, "leaf").select("leaf", "stage", "path", "lo", "hi", "cost", "resume_path", "resume_step")
 
 
-def chain_order(chain_table: DataFrame, study: F.Column | None = None) -> DataFrame:
-    """Rank within a study, costliest first; ranks respect dependencies as a parent chain never costs less than what hangs off it."""
-    w = Window.partitionBy(study if study is not None else F.lit(0)).orderBy(F.desc("cost"), "leaf")
-    return chain_table.withColumn("rank", F.row_number().over(w).cast("long"))
+def breadth_first(stages: DataFrame, depths: DataFrame) -> DataFrame:
+    """Stages level by level: (path, lo, hi, depth) in the order (depth, lo, path), the rejected alternative; depths(path, depth).
+
+    The order is a sort, not a global row number: consumers read it in order.
+    """
+    return stages.select("path", "lo", "hi").join(depths.select("path", F.col("depth").cast("long").alias("depth")), "path").orderBy("depth", "lo", "path")

@@ -1,10 +1,11 @@
 """Exact deduplication by deterministic block naming (DataFrame functions only).
 
-A text, lower-cased in A-Z only, is cut into blocks of a fixed number of characters.
+A text, lower-cased in A-Z only, is cut into blocks of a fixed number of bytes.
 Distinct blocks are sorted and numbered: the number is the block's name.  Then
 adjacent names are paired, distinct pairs are sorted and numbered in the same way, and
 so on until a text has one name.  Two texts of as many blocks have the same last name
 exactly if they are equal, as every step maps different inputs to different names.
+Names follow from the set of texts alone, not from how the rows are dealt out.
 
 Texts cross the network once, for the naming of blocks, after a partial aggregation
 that merges repeated blocks.  Rows find the name of a block by a 64-bit hash; hashes that
@@ -17,12 +18,14 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from stagewise.llm.scratch import Scratch
 
 _UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
+#: Names are sorted numbers within so many parts of the keys, so that no task sorts all of them.
+PARTS = 1 << 14
 
 
 def ascii_lower(text: F.Column) -> F.Column:
@@ -32,26 +35,35 @@ def ascii_lower(text: F.Column) -> F.Column:
     return F.when(plain, F.lower(text)).otherwise(F.translate(text, _UPPER, _UPPER.lower()))
 
 
-def _blocks(text: F.Column, size: int) -> F.Column:
-    last = F.greatest(F.ceil(F.length(text) / size).cast("int"), F.lit(1)) - 1
-    return F.transform(F.sequence(F.lit(0), last), lambda i: F.substring(text, i * size + 1, F.lit(size)))
+def _blocks(content: F.Column, size: int) -> F.Column:
+    """Blocks of bytes: a slice of bytes costs its own length, wherever it lies; a slice of characters all that is before it.
+
+    The inner function gets the content as its argument, as reading a binary column copies it each time.
+    """
+    def cut(t: F.Column) -> F.Column:
+        last = F.greatest(F.ceil(F.octet_length(t) / size).cast("int"), F.lit(1)) - 1
+        return F.transform(F.sequence(F.lit(0), last), lambda i: F.substring(t, i * size + 1, F.lit(size)))
+
+    return F.element_at(F.transform(F.array(content), cut), 1)
 
 
 def _numbered(distinct: DataFrame, keys: list[str]) -> DataFrame:
-    """Sorts the distinct keys of each partition and numbers them; numbers never meet across partitions."""
-    return distinct.sortWithinPartitions(*keys).withColumn("name", F.monotonically_increasing_id())
+    """distinct with ``name``: the part of a key, and its number in the sorted order of the part."""
+    part = distinct.withColumn("part", F.pmod(F.xxhash64(*keys), F.lit(PARTS)))
+    number = F.row_number().over(Window.partitionBy("part").orderBy(*keys))
+    return part.withColumn("name", F.shiftleft("part", 40) + number).drop("part")
 
 
-def name_texts(texts: DataFrame, scratch: Scratch, block_chars: int = 1024, block_hash: Callable = F.xxhash64) -> DataFrame:
+def name_texts(texts: DataFrame, scratch: Scratch, block_bytes: int = 1024, block_hash: Callable = F.xxhash64) -> DataFrame:
     """texts(doc_id, text) -> one row per input row: (row, doc_id, text_sha256, blocks int, name long).
 
     Rows whose (blocks, name) agree have equal normalised texts, others differ.  Order,
     repeated rows and null ids don't matter: each row is named by itself.  An empty or
     null text is one empty block.  ``block_hash`` only finds names; any function is right.
     """
-    cut = texts.select("doc_id", ascii_lower(F.col("text")).alias("t"))
-    blocks = _blocks(F.col("t"), block_chars)
-    sha = F.sha2(F.encode("t", "UTF-8"), 256).alias("text_sha256")
+    cut = texts.select("doc_id", ascii_lower(F.col("text")).cast("binary").alias("t"))
+    blocks = _blocks(F.col("t"), block_bytes)
+    sha = F.sha2("t", 256).alias("text_sha256")
     rows = scratch.save(
         cut.select("doc_id", sha, F.transform(blocks, lambda b: block_hash(b)).alias("h")).withColumn(
             "row", F.monotonically_increasing_id()
@@ -59,9 +71,8 @@ def name_texts(texts: DataFrame, scratch: Scratch, block_chars: int = 1024, bloc
         "rows",
     )
     block = cut.select(F.explode(blocks).alias("block")).select(block_hash("block").alias("h"), "block")
-    names = scratch.save(_numbered(block.distinct(), ["h", "block"]).select("h", "name"), "names")
-    of_hash = scratch.save(names.groupBy("h").agg(F.count("*").alias("n"), F.min("name").alias("name")), "of_hash")
-    scratch.drop("names")
+    # where a hash stands for one block, the order of hashes is an order of blocks
+    of_hash = scratch.save(_numbered(block.distinct().groupBy("h").agg(F.count("*").alias("n")), ["h"]), "of_hash")
     at = rows.select("row", F.size("h").alias("n"), F.posexplode("h").alias("k", "h"))
     level = at.join(of_hash.where("n = 1").select("h", "name"), "h").select("row", "n", "k", "name")
     if of_hash.where("n > 1").limit(1).count():
@@ -104,7 +115,7 @@ def _by_content(cut, blocks, sha, rows, at, unsure, block_hash, scratch) -> Data
     return doubt.alias("d").join(known.alias("n"), same).select("d.row", "d.n", "d.k", "n.name")
 
 
-def exact_duplicates(docs: DataFrame, block_chars: int = 1024) -> DataFrame:
+def exact_duplicates(docs: DataFrame, block_bytes: int = 1024) -> DataFrame:
     """docs(doc_id, text, ...) -> (doc_id, keep_id, group_size, kept, text_sha256), one row per input row.
 
     Texts are equal when identical after lower-casing A-Z; null is empty.  The row with the
@@ -112,7 +123,7 @@ def exact_duplicates(docs: DataFrame, block_chars: int = 1024) -> DataFrame:
     all others.  Columns other than doc_id and text are not read.
     """
     scratch = Scratch(docs.sparkSession, "exact")
-    named = scratch.save(name_texts(docs.select("doc_id", "text"), scratch, block_chars), "named")
+    named = scratch.save(name_texts(docs.select("doc_id", "text"), scratch, block_bytes), "named")
     groups = scratch.save(
         named.groupBy("blocks", "name").agg(F.max(F.struct("doc_id", "row")).alias("best"), F.count("*").alias("group_size")), "groups"
     )
@@ -125,13 +136,13 @@ def exact_duplicates(docs: DataFrame, block_chars: int = 1024) -> DataFrame:
     )
 
 
-def keep_one(docs: DataFrame, block_chars: int = 1024) -> DataFrame:
+def keep_one(docs: DataFrame, block_bytes: int = 1024) -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns.
 
     Rows that agree in doc_id and text are interchangeable; one of them stays.
     """
-    found = exact_duplicates(docs, block_chars)
+    found = exact_duplicates(docs, block_bytes)
     winners = found.where("kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"))
-    keyed = docs.withColumn("__key", F.sha2(F.encode(ascii_lower(docs["text"]), "UTF-8"), 256))
+    keyed = docs.withColumn("__key", F.sha2(ascii_lower(docs["text"]).cast("binary"), 256))
     stay = keyed.join(winners, keyed["doc_id"].eqNullSafe(F.col("__id")) & (F.col("__key") == F.col("__sha")), "left_semi")
     return stay.dropDuplicates(["doc_id", "__key"]).drop("__key")

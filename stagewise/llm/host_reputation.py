@@ -12,6 +12,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from stagewise.llm.scratch import Scratch
+
 #: (host, path prefix, verdict): a rule fits its host and all subdomains.
 RULES = (("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow"))
 _UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -65,23 +67,21 @@ def reputation(outcomes: DataFrame, suffix_labels: int = 1, least: float = 1.0,
     seen = outcomes.where("host is not null and good is not null").groupBy("host").agg(
         F.count("*").alias("n"), F.sum(F.col("good").cast("long")).alias("good")
     )
+    scratch = Scratch(outcomes.sparkSession, "reputation")
     hosts = seen.withColumns({"domain": registered_domain(F.col("host"), suffix_labels), "suffix": suffix_of(F.col("host"), suffix_labels)})
-    every = hosts.agg(F.sum("n").alias("n"), F.sum("good").alias("good")).select(((F.col("good") + 1) / (F.col("n") + 2)).alias("mean"))
-    above, of = every, []
+    # pages and labels are read once; all levels come from the counts of hosts
+    hosts = scratch.save(hosts, "hosts")
+    every = hosts.agg(F.sum("n").alias("n"), F.sum("good").alias("good")).first()
+    start, above, of = F.lit((every.good + 1) / (every.n + 2) if every.n else 0.5), None, []
     for level in LEVELS:
         own = hosts.groupBy(*of, level).agg(F.sum("n").alias("n"), F.sum("good").alias("good"))
         # a null join key never occurs: hosts are not null
-        own = own.join(above, of) if of else own.crossJoin(F.broadcast(above))  # one row
-        one = own.agg(_strength(own, level, least, most).alias("strength"))  # one row
-        own = own.crossJoin(F.broadcast(one))
-        a, b = F.col("mean") * F.col("strength") + F.col("good"), (1 - F.col("mean")) * F.col("strength") + F.col("n") - F.col("good")
-        own = own.withColumns({"a": a, "b": b}).withColumn("mean", F.col("a") / (F.col("a") + F.col("b")))
-        of = [level]
-        if level == "host":
-            above = own.select("host", "n", "good", "mean", "a", "b")
-        else:
-            above, of = own.select(level, "mean"), [level]
-            hosts_cols = [level]
+        own = own.withColumn("mean", start) if above is None else own.join(above, of)
+        own = scratch.save(own, f"{level}-counts")
+        strength = F.lit(own.agg(_strength(own, level, least, most)).first()[0])  # one number
+        a, b = F.col("mean") * strength + F.col("good"), (1 - F.col("mean")) * strength + F.col("n") - F.col("good")
+        above = own.withColumns({"a": a, "b": b}).withColumn("mean", F.col("a") / (F.col("a") + F.col("b")))
+        above, of = above.select(level, "n", "good", "mean", "a", "b") if level == "host" else above.select(level, "mean"), [level]
     total = F.col("a") + F.col("b")
     sd = F.sqrt(F.col("a") * F.col("b") / (total * total * (total + 1)))
     return above.select("host", "n", "good", "mean", (F.col("mean") - z * sd).alias("lower"), (F.col("mean") + z * sd).alias("upper"))

@@ -55,8 +55,10 @@ def remove_boilerplate(docs: DataFrame, min_sites: int = 10, lg_k: int = 10) ->
     gone = hits.groupBy(F.col("doc_id").alias("id"), "text_key").agg(F.collect_set("pos").alias("gone"))
     keyed = docs.withColumn("key", F.xxhash64("text"))
     out = keyed.join(gone, keyed["doc_id"].eqNullSafe(F.col("id")) & (F.col("key") == F.col("text_key")), "left")
-    lines = _lines(F.col("text"))
-    # array_contains is linear in the removed lines of this one document
-    stay = F.filter(F.transform(lines, lambda line, i: F.struct(line.alias("t"), i.alias("i"))), lambda x: ~F.array_contains(F.col("gone"), x["i"]))
-    text = F.when(F.col("gone").isNull(), F.coalesce("text", F.lit(""))).otherwise(F.array_join(F.transform(stay, lambda x: x["t"]), "\n"))
+    # a column of its own, so that a text is split once
+    out, lines = out.withColumn("lines", _lines(F.col("text"))), F.col("lines")
+    # the positions that stay come from one hashed difference, so a document takes time in proportion to its lines
+    stay = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), "gone")
+    rest = F.transform(stay, lambda i: F.element_at(lines, i + 1))
+    text = F.when(F.col("gone").isNull(), F.coalesce("text", F.lit(""))).otherwise(F.array_join(rest, "\n"))
     return out.select("doc_id", text.alias("text"), F.size(lines).cast("long").alias("n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"))

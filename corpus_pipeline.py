@@ -25,11 +25,12 @@ def apart(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document once, those of small sources again up to 1.5 passes."""
+    """Every document once, those of small sources again up to 1.5 passes, in blocks of all sources."""
     return mixing.mix(docs, most_repeated=1.5)
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Tokens in windows of 4,096, without padding but at the end of a task's windows."""
     return packing.pack(docs, tokenizer_path())
 
 
@@ -40,6 +41,7 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over the documents of ``sf_dir``, each over the written rows of its predecessor: the pieces of the last."""
     scratch = Scratch(spark, "pipeline")
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (name, stage) in enumerate(STAGES):

@@ -3,23 +3,29 @@
 Token shares of sources are raised to an exponent and normalised; a bisection finds the
 exponent that meets a target entropy or the largest one that keeps repetition within a limit.
 The smallest budget that shows every document of the largest source at least once is
-then spent: each source is a keyed permutation of blocks of documents, passed over as often
-as its weight asks, the last time up to the block (and within it the document) where its
-share is used up.  Tokens are summed per block first, so no source is ordered in one task.
+then spent.  Each source has a keyed permutation of its documents, the order of a 60-bit rank of
+source, id and text; it is passed over as often as its weight asks, the last time up to the rank
+where its budget is used up.  A showing lies in its source's stream at (pass + rank as a fraction) of
+all passes, and these places, alike for all sources, are cut into blocks of a token budget: every
+block holds the sources at their target weights, in a permuted order.
+
+The rank and a row per source decide everything, so texts are read, not joined.  Tokens are summed
+over ranges of ranks first, so no source is ordered in one task.
 """
 
 from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
-from pyspark.sql import Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from stagewise.llm.scratch import Scratch
 
-#: Blocks of sources up to which their budgets are broadcast; more of them meet the rows by a shuffle.
-FEW_BLOCKS = 100_000
+#: Sources up to which their budgets are broadcast (some 50 bytes each); more of them meet the rows by a shuffle.
+FEW_SOURCES = 100_000
+RANK_BITS = 60
+RANGE_ROWS = 4096  # rows of a range of ranks, whose order one task decides
 
 
 def weights(shares: list[float], exponent: float) -> list[float]:
@@ -85,62 +91,103 @@ def solve_totals(totals: DataFrame, target_entropy: float | None = None, most_re
     return wanted if most_repeated is None else max(found, wanted)
 
 
-def token_count(text: F.Column) -> F.Column:
+def token_count(text: Column) -> Column:
     """Words of a text by single spaces and line feeds, at least 1: the unit of budgets."""
     text = F.coalesce(text, F.lit(""))
     plain = F.translate(text, "\n", " ")
     return (F.length(plain) - F.length(F.replace(plain, F.lit(" "), F.lit(""))) + 1).cast("long")
 
 
+def rank_of(doc_id: Column, source: Column, text: Column, seed: int) -> Column:
+    """The place of a row in its source's permutation: 60 bits, in an order that any engine repeats (md5)."""
+    key = F.concat_ws("|", F.lit(str(seed)), F.coalesce(source.cast("string"), F.lit("")), F.coalesce(doc_id.cast("string"), F.lit("")), F.md5(F.coalesce(text, F.lit("")).cast("binary")))
+    return F.conv(F.substring(F.md5(key.cast("binary")), 1, RANK_BITS // 4), 16, 10).cast("long")
+
+
+def _budgets(rows: DataFrame, scratch: Scratch, target_entropy: float | None, most_repeated: float | None) -> tuple[DataFrame, int]:
+    """rows(source, tokens, rank) -> (s, passes, whole, cut) a source and the tokens of all showings.
+
+    A row is shown ``whole`` times, and once more if its rank is at most ``cut``; ``passes`` is what the budget holds.
+    """
+    n = rows.count()
+    bits = max(0, min(20, math.ceil(math.log2(max(1, n / RANGE_ROWS)))))
+    part = F.shiftright("rank", RANK_BITS - bits).alias("part")
+    sums = scratch.save(rows.groupBy("source", part).agg(F.sum("tokens").alias("tokens")), "sums")
+    totals = scratch.save(sums.groupBy("source").agg(F.sum("tokens").alias("total")), "totals")
+    top = totals.agg(F.max("total")).first()[0]
+    # the largest source is passed over once, the others as the exponent asks
+    exponent = solve_totals(totals, target_entropy, most_repeated) if top else 1.0
+    passes = F.pow(F.lit(float(top or 1)) / F.col("total"), F.lit(1 - exponent))
+    budget = totals.select(F.col("source").alias("s"), "total", F.floor(passes + 1e-9).cast("long").alias("whole"), passes.alias("passes"))
+    budget = budget.withColumn("room", F.greatest(F.floor((F.col("passes") - F.col("whole")) * F.col("total") + 1e-6), F.lit(0)).cast("long"))
+    upto = F.sum("tokens").over(Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, 0))
+    ranges = sums.withColumn("upto", upto).join(budget, F.col("source").eqNullSafe(F.col("s")))
+    # the range in which the budget of the last pass ends, the first that does not fit as a whole
+    ends = ranges.where("upto > room").groupBy("s").agg(F.min(F.struct("part", (F.col("upto") - F.col("tokens")).alias("before"), "room")).alias("e"))
+    ends = scratch.save(ends.select("s", "e.*").where("room > 0"), "ends")
+    inside = rows.withColumn("at", part).join(_small(ends.select(F.col("s").alias("es"), "part", "before", "room")), F.col("source").eqNullSafe(F.col("es")) & (F.col("at") == F.col("part")))
+    upto = F.col("before") + F.sum("tokens").over(Window.partitionBy("es", "part").orderBy("rank").rangeBetween(Window.unboundedPreceding, 0))
+    last = inside.withColumn("upto", upto).where("upto <= room").groupBy("es").agg(F.max("rank").alias("rank"))
+    cut = ends.join(last, F.col("s").eqNullSafe(F.col("es")), "left").select("s", F.coalesce("rank", F.shiftleft("part", RANK_BITS - bits) - 1).alias("cut"))
+    out = budget.alias("b").join(cut.withColumnRenamed("s", "cs"), F.expr("b.s <=> cs"), "left").select(
+        "s", "whole", (F.col("whole") + F.col("room") / F.col("total")).alias("passes"), F.coalesce("cut", F.lit(-1).cast("long")).alias("cut"), F.col("whole") * F.col("total") + F.col("room")
+    ).toDF("s", "whole", "passes", "cut", "shown")
+    out = scratch.save(out, "budgets")
+    return out.drop("shown"), out.agg(F.sum("shown")).first()[0] or 0
+
+
+def _small(table: DataFrame) -> DataFrame:
+    """Broadcast if it has few rows, which is counted."""
+    return F.broadcast(table) if table.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES else table
+
+
+def _shown(rows: DataFrame, source: Column, rank: Column, budgets: DataFrame, shown: int, block_tokens: int) -> DataFrame:
+    """rows, each as often as it is shown, with __pass, __passes, __place (in 0 to 1) and __block."""
+    b = budgets.select(*[F.col(c).alias(f"__{c}") for c in ("s", "whole", "passes", "cut")])
+    if budgets.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES:
+        known = rows.join(F.broadcast(b), source.eqNullSafe(F.col("__s")))
+    else:  # a source of very many rows is dealt over 16 tasks at least
+        wide = b.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(15))))
+        known = rows.join(wide, source.eqNullSafe(F.col("__s")) & (F.pmod(rank, F.lit(16)) == F.col("__salt")))
+    times = F.col("__whole") + (rank <= F.col("__cut")).cast("long")
+    known = known.withColumn("__times", times).withColumn("__pass", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__times") - 1)))
+    place = (F.col("__pass") + rank / float(1 << RANK_BITS)) / F.col("__passes")
+    blocks = max(1, -(-shown // block_tokens))
+    # the last budget may end a little after its hashed fraction
+    return known.withColumn("__place", place).withColumn("__block", F.least(F.floor(F.col("__place") * blocks), F.lit(blocks - 1)).cast("long"))
+
+
 def plan_mix(
-    docs: DataFrame, target_entropy: float | None = None, most_repeated: float | None = 1.5, blocks: int = 64, seed: int = 1
+    docs: DataFrame, target_entropy: float | None = None, most_repeated: float | None = 1.5, block_tokens: int = 1 << 18, seed: int = 1
 ) -> DataFrame:
-    """docs(doc_id, text, source, ...) -> (doc_id, text_key, source, tokens, passes), one row per input row.
+    """docs(doc_id, text, source, ...) -> (doc_id, source, tokens, rank, pass, passes, block, position), one row per showing.
 
-    ``passes`` is how often the row is shown: the whole passes over its source, and one more
-    where the permuted order of its source comes to it before the source's budget ends.
-    A null source is a source of its own.  Rows alike in doc_id, text and source
-    have one place in the order.  No row is dropped: the least repeated source is shown once.
+    ``pass`` counts a row's showings from 0 and ``passes`` is their number: the whole passes over its source, and one more
+    where the permuted order of its source comes to it before the source's budget ends.  Showings are read block by block, in
+    the order of ``position`` within a block.
+    A null source is a source of its own, and null ids and texts count as empty.  Rows alike in doc_id, text and source
+    have one place in the order.  No row is dropped: the least repeated source is shown once.  No rows give no rows.
     """
     scratch = Scratch(docs.sparkSession, "mix")
-    rows = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "source", token_count(F.col("text")).alias("tokens"))
-    rank = F.xxhash64(F.lit(seed), "source", "doc_id", "text_key")
-    rows = rows.withColumn("rank", rank).withColumn("block", F.expr(f"cast(shiftrightunsigned(rank, 32) * {blocks} div 4294967296 as int)"))
-    # the block comes from the upper bits, so blocks follow one another in the order of the rank
+    rows = docs.select("doc_id", "source", token_count(F.col("text")).alias("tokens"), rank_of(F.col("doc_id"), F.col("source"), F.col("text"), seed).alias("rank"))
     rows = scratch.save(rows, "rows")
-    sums = scratch.save(rows.groupBy("source", "block").agg(F.sum("tokens").alias("tokens")), "sums")
-    totals = scratch.save(sums.groupBy("source").agg(F.sum("tokens").alias("total")), "totals")
-    top = totals.agg(F.max("total")).first()[0]
-    if top is None:
-        return rows.select("doc_id", "text_key", "source", "tokens", F.lit(1).cast("long").alias("passes"))
-    # the largest source is passed over once, the others as the exponent asks
-    passes = F.pow(F.lit(top) / F.col("total"), F.lit(1 - solve_totals(totals, target_entropy, most_repeated)))
-    whole = F.floor(passes + 1e-9).cast("long")
-    budget = totals.select(F.col("source").alias("s"), whole.alias("whole"), F.rint((passes - whole) * F.col("total")).cast("long").alias("part"))
-    before = F.sum("tokens").over(Window.partitionBy("source").orderBy("block").rowsBetween(Window.unboundedPreceding, -1))
-    cut = sums.withColumn("before", F.coalesce(before, F.lit(0))).join(budget, F.col("source").eqNullSafe(F.col("s")))
-    # of each source: blocks wholly inside the last pass, and at most one that the budget ends in
-    cut = cut.select(
-        F.col("source").alias("s"), F.col("block").alias("b"), "whole",
-        (F.col("before") + F.col("tokens") <= F.col("part")).alias("inside"),
-        F.greatest(F.col("part") - F.col("before"), F.lit(0)).alias("room"),
+    budgets, shown = _budgets(rows, scratch, target_entropy, most_repeated)
+    out = _shown(rows, F.col("source"), F.col("rank"), budgets, shown, block_tokens)
+    position = F.row_number().over(Window.partitionBy("__block").orderBy("__place", "rank", F.coalesce(F.col("source").cast("string"), F.lit("")))) - 1
+    return out.select(
+        "doc_id", "source", "tokens", "rank", F.col("__pass").alias("pass"), F.col("__times").alias("passes"), F.col("__block").alias("block"), position.cast("long").alias("position")
     )
-    cut = scratch.save(cut, "cut")
-    known = rows.join(F.broadcast(cut) if cut.count() <= FEW_BLOCKS else cut, rows["source"].eqNullSafe(F.col("s")) & (F.col("block") == F.col("b")))
-    edge = known.where("not inside and room > 0")
-    within = F.sum("tokens").over(Window.partitionBy("source", "block").orderBy("rank", "doc_id", "text_key"))
-    edge = edge.withColumn("passes", F.col("whole") + (within <= F.col("room")).cast("long"))
-    rest = known.where("inside or room = 0").withColumn("passes", F.col("whole") + F.col("inside").cast("long"))
-    names = ["doc_id", "text_key", "source", "tokens", "passes"]
-    return edge.select(names).unionByName(rest.select(names))
-
-
-def mix(docs: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs``, all columns, each as often as :func:`plan_mix` shows it."""
-    spark = docs.sparkSession
-    plan = Scratch(spark, "mixed").save(plan_mix(docs, **options), "plan")
-    extra = plan.where("passes > 1").select(F.col("doc_id").alias("__id"), F.col("text_key").alias("__text"), F.col("source").alias("__source"), (F.col("passes") - 1).alias("__more")).distinct()
-    keyed = docs.withColumn("__key", F.xxhash64(docs["text"]))
-    same = keyed["doc_id"].eqNullSafe(F.col("__id")) & (F.col("__key") == F.col("__text")) & keyed["source"].eqNullSafe(F.col("__source"))
-    shown = keyed.join(extra, same, "left").withColumn("__pass", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("__more"), F.lit(0)).cast("int"))))
-    return shown.select(*[docs[c] for c in docs.columns])
+
+
+def mix(docs: DataFrame, target_entropy: float | None = None, most_repeated: float | None = 1.5, block_tokens: int = 1 << 18, seed: int = 1) -> DataFrame:
+    """The rows of ``docs``, all columns, each as often as :func:`plan_mix` shows it, block by block.
+
+    A task holds whole blocks, in order.  Budgets come from narrow rows; texts are moved once, to their blocks.
+    """
+    scratch = Scratch(docs.sparkSession, "mixed")
+    rank = rank_of(docs["doc_id"], docs["source"], docs["text"], seed)
+    rows = scratch.save(docs.select(docs["source"], token_count(docs["text"]).alias("tokens"), rank.alias("rank")), "rows")
+    budgets, shown = _budgets(rows, scratch, target_entropy, most_repeated)
+    ranked = docs.withColumn("__rank", rank)
+    out = _shown(ranked, ranked["source"], F.col("__rank"), budgets, shown, block_tokens)
+    return out.repartition("__block").sortWithinPartitions("__block", "__place").select(*[docs[c] for c in docs.columns])

@@ -36,19 +36,23 @@ def tokenizer_path() -> str:
 
 
 def op1_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The main text of every page: (page_id, url, text, n_chars)."""
     return html_extract.extract(_read(spark, sf_dir, "pages"))
 
 
 def op2_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components of documents whose two-word shingles agree to 0.8: (doc_id, n_shingles, component_id, kept)."""
     found = minhash.near_duplicates(_read(spark, sf_dir, "documents"), width=2)
     return found.select("doc_id", "n_shingles", "component_id", "kept")
 
 
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quality of every document, learned from labels that are not held out: (doc_id, held_out, score, predicted)."""
     return quality_cnn.score(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "labels"))
 
 
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Toxicity of every document: (doc_id, a probability per category, toxic, rejected)."""
     return toxicity.score(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "labels"))
 
 
@@ -61,30 +65,36 @@ def page_outcomes(pages: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def op5_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A verdict on every page's url: (page_id, host, path, rule, verdict)."""
     pages = _read(spark, sf_dir, "pages")
     found = host_reputation.judge(pages, page_outcomes(pages, _read(spark, sf_dir, "labels")))
     return found.select("page_id", "host", "path", "rule", "verdict")
 
 
 def op6_vector_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components of vectors with a cosine of 0.9 or more: (vec_id, n_links, component_id, kept)."""
     return vector_forest.near_vectors(_read(spark, sf_dir, "embeddings"))
 
 
 def op7_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document without the lines that ten sites or more show: (doc_id, n_lines, n_removed, n_chars, text_md5)."""
     found = line_spread.remove_boilerplate(_read(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_lines", "n_removed", F.length("text").cast("long").alias("n_chars"), F.md5(F.encode("text", "UTF-8")).alias("text_md5"))
 
 
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document's tokens in windows of 4,096: (doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset)."""
     return packing.pack(_read(spark, sf_dir, "documents"), tokenizer_path())
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every showing of a document in the mix of all sources: (doc_id, source, tokens, pass, passes, block, position)."""
     plan = mixing.plan_mix(_read(spark, sf_dir, "documents"))
-    return plan.select("doc_id", "source", "tokens", "passes")
+    return plan.select("doc_id", "source", "tokens", "pass", "passes", "block", "position")
 
 
 def op10_exact_naming(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with the one of its equals that stays: (doc_id, keep_id, group_size, kept, text_sha256)."""
     return exact_naming.exact_duplicates(_read(spark, sf_dir, "documents"))
 
 
@@ -116,6 +126,27 @@ from m group by doc_id
 """
 
 
+#: The largest repetition allowed is 1.5, so the smallest source's passes give the exponent in closed form.
+_OP9 = """
+with d as (
+  select doc_id, source, length(t) - length(replace(t, ' ', '')) + 1 as tokens,
+         cast('0x' || substr(md5('1|' || coalesce(source, '') || '|' || coalesce(cast(doc_id as varchar), '') || '|' || md5(coalesce(text, ''))), 1, 15) as bigint) as rank
+  from (select *, translate(coalesce(text, ''), chr(10), ' ') as t from documents)),
+t as (select source, sum(tokens)::double as total from d group by source),
+e as (select case when max(total) > min(total) then least(1.0, ln(1.5) / ln(max(total) / min(total))) else 1.0 end as power, max(total) as top from t),
+b as (select source, total, pow(top / total, power) as p, floor(pow(top / total, power) + 1e-9) as whole from t, e),
+c as (select source, total, whole, greatest(floor((p - whole) * total + 1e-6), 0) as room from b),
+s as (select d.*, c.whole, c.whole + c.room / c.total as passes,
+             c.whole + case when sum(tokens) over (partition by d.source order by rank range unbounded preceding) <= c.room then 1 else 0 end as times
+      from d join c on d.source is not distinct from c.source),
+n as (select greatest(1, ceil(sum(whole * total + room) / 262144)) as blocks from c),
+x as (select *, (pass + rank / 1152921504606846976.0::double) / passes as place from (select *, unnest(range(0, times::bigint)) as pass from s)),
+y as (select *, cast(least(floor(place * blocks), blocks - 1) as bigint) as block from x, n)
+select doc_id, source, tokens, pass, cast(times as bigint) as passes, block, row_number() over (partition by block order by place, rank, coalesce(source, '')) - 1 as position
+from y
+"""
+
+
 def _op5() -> str:
     """Counts and posteriors of the three levels, as the operator has them."""
     parts = ["""
@@ -151,4 +182,4 @@ from p left join m_host m on p.host = m.host
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op10_exact_naming": _OP10, "op7_line_spread": _OP7, "op5_host_reputation": _op5()}
+    return {"op10_exact_naming": _OP10, "op9_mixing": _OP9, "op7_line_spread": _OP7, "op5_host_reputation": _op5()}

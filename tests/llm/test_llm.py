@@ -140,6 +140,24 @@ def test_components_of_random_graphs(spark):
     assert got == {v: r for v, r in root.items() if any(v in e and e[0] != e[1] for e in edges)}
 
 
+def test_names_follow_from_the_texts_alone(spark, sf):
+    docs = read(spark, sf, "documents")
+    names = [sorted((r["doc_id"], r["blocks"], r["name"]) for r in exact_naming.name_texts(d, Scratch(spark, "t"), 64).collect()) for d in (docs.coalesce(1), docs.repartition(7))]
+    assert names[0] == names[1]
+
+
+def test_naming_takes_time_in_proportion_to_the_text(spark):
+    import time
+
+    took = []
+    for mb in (1, 1, 8):
+        docs = spark.range(2).select(F.col("id").alias("doc_id"), F.expr(f"repeat('É some words of it ', {mb} * 52000)").alias("text"))
+        begin = time.time()
+        assert {r["group_size"] for r in exact_naming.exact_duplicates(docs).collect()} == {2}
+        took.append(time.time() - begin)
+    assert took[2] < 3 * took[1] + 5
+
+
 def test_exact_naming(spark, sf, odd):
     docs = read(spark, sf, "documents")
     groups = defaultdict(list)
@@ -478,11 +496,11 @@ def test_line_spread_is_exact(spark, odd):
 def test_mixing_of_more_sources_than_a_driver_lists(spark, monkeypatch):
     docs = spark.range(100_200).selectExpr("id as doc_id", "if(id % 50 = 0, 'a b', 'a') as text", "concat('host', id) as source")
     plan = mixing.plan_mix(docs.unionByName(docs.limit(1).withColumn("source", F.lit(None).cast("string"))), most_repeated=2.5)
-    r = plan.agg(F.count("*").alias("n"), F.min("passes").alias("least"), F.sum("passes").alias("all"), F.countDistinct("source").alias("sources")).first()
+    r = plan.agg(F.count_if(F.col("pass") == 0).alias("n"), F.min("passes").alias("least"), F.count("*").alias("all"), F.countDistinct("source").alias("sources")).first()
     assert (r["n"], r["least"], r["sources"]) == (100_201, 1, 100_200) and r["all"] == 2 * 98_196 + 2_005
     few = spark.range(900).selectExpr("id as doc_id", "repeat('w ', cast(id % 9 as int)) as text", "nullif(cast(floor(sqrt(id % 100)) as string), '3') as source")
     want = sorted(map(tuple, mixing.plan_mix(few, target_entropy=2.2).collect()), key=str)
-    monkeypatch.setattr(mixing, "FEW_BLOCKS", 0)
+    monkeypatch.setattr(mixing, "FEW_SOURCES", 0)
     assert sorted(map(tuple, mixing.plan_mix(few, target_entropy=2.2).collect()), key=str) == want
     totals = [r["t"] for r in few.groupBy("source").agg(F.sum(mixing.token_count(F.col("text"))).alias("t")).collect()]
     shares = [t / sum(totals) for t in totals]
@@ -491,18 +509,33 @@ def test_mixing_of_more_sources_than_a_driver_lists(spark, monkeypatch):
         assert mixing.solve_totals(told, **goal) == pytest.approx(mixing.solve_exponent(shares, **goal), abs=1e-9)
 
 
-def test_mixing(spark, odd):
+def test_mixing(spark, odd, monkeypatch):
     shares = [0.6, 0.3, 0.1]
     e = mixing.solve_exponent(shares, target_entropy=1.0)
     assert abs(mixing.entropy(mixing.weights(shares, e)) - 1.0) < 1e-6
     assert max(mixing.repetitions(shares, mixing.solve_exponent(shares, most_repeated=2.0))) == pytest.approx(2.0)
     rows = [(k, "w " * (1 + k % 7), "en", "big" if k % 10 else "small", 0) for k in range(4000)]
-    got = mixing.plan_mix(spark.createDataFrame(rows, DOCS), most_repeated=1.5).toPandas()
-    assert len(got) == 4000 and got["passes"].between(1, 2).all()
-    shown = (got["tokens"] * got["passes"]).groupby(got["source"]).sum() / got.groupby("source")["tokens"].sum()
-    assert shown["big"] == pytest.approx(1.0) and shown["small"] == pytest.approx(1.5, abs=0.02)
-    assert mixing.plan_mix(odd).count() == len(ODD) and mixing.mix(odd).columns == odd.columns
+    docs = spark.createDataFrame(rows, DOCS)
+    for few in (4096, 50):  # one range of ranks, many
+        monkeypatch.setattr(mixing, "RANGE_ROWS", few)
+        got = mixing.plan_mix(docs, most_repeated=1.5, block_tokens=2000).toPandas()
+        assert len(got[got["pass"] == 0]) == 4000 and (got.groupby("doc_id")["pass"].apply(sorted) == got.groupby("doc_id")["passes"].first().map(lambda n: list(range(n)))).all()
+        small = got[got["source"] == "small"]
+        assert len(got[got["source"] == "big"]) == 3600
+        # brute force: the last pass is the longest beginning of the permuted order within the budget
+        once = small[small["pass"] == 0].sort_values("rank")
+        again = set(once["doc_id"][once["tokens"].cumsum() <= once["tokens"].sum() // 2])
+        assert set(small.loc[small["pass"] == 1, "doc_id"]) == again
+        # every block is a permutation of its own with both sources near their weights
+        assert (got.groupby("block")["position"].apply(lambda x: sorted(x) == list(range(len(x))))).all()
+        weight = small["tokens"].sum() / got["tokens"].sum()
+        blocks = got.groupby("block")["tokens"].sum()
+        assert len(blocks) == -(-got["tokens"].sum() // 2000) and blocks.between(1500, 2500).all()
+        assert (small.groupby("block")["tokens"].sum() / blocks).between(weight / 2, weight * 2).all()
+    assert mixing.plan_mix(odd).where("pass = 0").count() == len(ODD) and mixing.mix(odd).columns == odd.columns
     assert mixing.mix(odd).distinct().count() == odd.distinct().count() and mixing.mix(odd.limit(0)).count() == 0
+    shown = mixing.mix(docs, most_repeated=1.5, block_tokens=2000).groupBy("doc_id").count().collect()
+    assert {r["doc_id"]: r["count"] for r in shown} == got.groupby("doc_id").size().to_dict()
 
 
 def test_pipeline_keeps_clean_documents(spark):

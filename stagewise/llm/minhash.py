@@ -67,10 +67,10 @@ def _full_sets(width: int):
     return run
 
 
-def _at_buckets(rows: DataFrame, buckets: DataFrame, salts: int = 8) -> DataFrame:
-    """rows(key, gid, ..) joined with buckets(key, ..), one row a key; the rows of one key are dealt over ``salts`` tasks."""
-    wide = buckets.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    return rows.withColumn("salt", F.pmod(F.xxhash64("gid"), F.lit(salts)).cast("int")).join(wide, ["key", "salt"]).drop("salt")
+def _dealt(rows: DataFrame, table: DataFrame, key: str, how: str = "inner", salts: int = 8) -> DataFrame:
+    """rows(key, gid, ..) joined with table(key, ..), which has one row a key; the rows of one key are dealt over ``salts`` tasks."""
+    wide = table.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return rows.withColumn("salt", F.pmod(F.xxhash64("gid"), F.lit(salts)).cast("int")).join(wide, [key, "salt"], how).drop("salt")
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -120,7 +120,7 @@ def _between(placed: DataFrame, sets: DataFrame, percent: int, only_first: bool,
     """
     parts = placed.groupBy("key", "root").agg(F.count("*").alias("n"))
     mixed = parts.groupBy("key").agg(F.max(F.struct("n", "root")).alias("main"), F.count("*").alias("roots")).where("roots > 1")
-    rows = _at_buckets(placed, mixed.select("key", F.col("main.root").alias("base"))).select("base", "gid", "root").distinct()
+    rows = _dealt(placed, mixed.select("key", F.col("main.root").alias("base")), "key").select("base", "gid", "root").distinct()
     asked = F.count(F.when(F.col("root") != F.col("base"), 1))
     sizes = rows.groupBy("base").agg(
         F.ceil(F.count("*") / chunk).cast("int").alias("chunks"), F.ceil(asked / (2 * chunk)).cast("int").alias("parts")
@@ -161,7 +161,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     buckets = scratch.save(
         banded.groupBy("key").agg(F.min("gid").alias("lo"), F.max("gid").alias("hi"), F.count("*").alias("c")).where("lo < hi"), "buckets"
     )
-    members = scratch.save(_at_buckets(banded, buckets.where("c > 2").select("key", "lo")).select("key", "gid", "lo"), "members")
+    members = scratch.save(_dealt(banded, buckets.where("c > 2").select("key", "lo"), "key").select("key", "gid", "lo"), "members")
     pairs = buckets.where("c = 2").select(F.col("lo").alias("a"), F.col("hi").alias("b")).unionByName(
         members.where("gid <> lo").select(F.col("lo").alias("a"), F.col("gid").alias("b"))
     )
@@ -176,14 +176,14 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     named = scratch.save(groups.select("gid", "n", "d1", "d2", "doc").join(roots, F.col("gid") == F.col("id"), "left").select("gid", "n", "d1", "d2", "doc", root), "named-0")
     scratch.drop("buckets", "members", "pairs", "groups")
     for k, only_first in ((1, True), (2, False)):
-        joined = connected_components(_between(placed, sets, percent, only_first), scratch, f"cc-{k}").withColumnRenamed("root", "to")
+        joined = connected_components(_between(placed, sets, percent, only_first), scratch, f"cc-{k}").select(F.col("id").alias("root"), F.col("root").alias("to"))
         new = F.coalesce("to", "root").alias("root")
-        named = scratch.save(named.join(joined, F.col("root") == F.col("id"), "left").select("gid", "n", "d1", "d2", "doc", new), f"named-{k}")
+        named = scratch.save(_dealt(named, joined, "root", "left").select("gid", "n", "d1", "d2", "doc", new), f"named-{k}")
         if only_first:
-            placed = scratch.save(placed.join(joined, F.col("root") == F.col("id"), "left").select("key", "gid", new), f"placed-{k}")
+            placed = scratch.save(_dealt(placed, joined, "root", "left").select("key", "gid", new), f"placed-{k}")
         scratch.drop(f"placed-{k - 1}", f"named-{k - 1}")
     smallest = named.groupBy("root").agg(F.min("doc").alias("component_id"))
-    of_set = scratch.save(named.join(smallest, "root").select("n", "d1", "d2", "component_id", F.col("root").alias("group_key")), "of_set")
+    of_set = scratch.save(_dealt(named, smallest, "root").select("n", "d1", "d2", "component_id", F.col("root").alias("group_key")), "of_set")
     scratch.drop("sets")
     out = rows.select("doc_id", "text_key", "n", "d1", "d2").join(of_set, ["n", "d1", "d2"], "left")
     own = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id"))

@@ -14,6 +14,7 @@ from stagewise.operators import simulate, training, tuners
 from stagewise.plans import forest, plan, schedule
 from stagewise.plans import trials as T
 from stagewise.sources import adapters as A
+from stagewise.store import Scratch
 from stagewise.streaming import reports
 
 _Q: dict = {}
@@ -269,9 +270,11 @@ _register("bfs_order", seg_sql("nations") + _STAGES + "select path, lo, hi, dept
 
 
 def _elected(s: SparkSession, d: str) -> DataFrame:
-    st, lines = _costed(s, d)
+    """Stages with their chains, each nation a study with a plan and a cluster of its own."""
+    g = T.salted(seg(s, d, "nations"), "study")
+    st = schedule.costs(forest.merge_trials(g), _seconds(s))
     up = st.select(schedule.stage_id(F.col("path"), F.col("hi")).alias("stage"), schedule.stage_id(F.col("parent_path"), F.col("parent_hi")).alias("parent"))
-    return schedule.elected_leaves(st, lines).join(up, "stage").withColumn("study", F.lit("nations"))
+    return schedule.elected_leaves(st, T.lines(g)).join(up, "stage").withColumn("study", F.expr("substring(substring_index(path, '~', 1), 2)"))
 
 
 SWEEP = [(p, w) for w in (1, 4, 8, 40) for p in ("chains", "breadth")]
@@ -374,7 +377,8 @@ select 'events' as study, l.trial, t.donor from l join t using (slot)""")(lambda
 
 
 def _ordered(s: SparkSession, d: str) -> DataFrame:
-    return _metrics(s, d).withColumn("ord", F.date_format("ts", "yyyyMMddHHmmss.SSSSSS")).withColumn("ord", F.concat("ord", F.format_string("-%020d", F.col("event_id"))))
+    """Reports of two studies, which share out the users, with an order of arrival."""
+    return _metrics(s, d).withColumn("study", F.concat(F.lit("s"), (F.col("trial") % 2).cast("string"))).withColumn("ord", F.date_format("ts", "yyyyMMddHHmmss.SSSSSS")).withColumn("ord", F.concat("ord", F.format_string("-%020d", F.col("event_id"))))
 
 
 _register("asha_replay")(lambda s, d: tuners.async_replay(_ordered(s, d), 4, [2, 8, 32]))
@@ -529,8 +533,42 @@ _register("stream_enrich", "select event_id, c_mktsegment from events join custo
 _register("stream_interval_join", "select a.event_id, b.event_id as later_id from events a join events b on a.user_id = b.user_id and b.ts > a.ts and b.ts <= a.ts + interval 1 hour where a.event_type = 'signup' and b.event_type = 'purchase'")(
     lambda s, d: reports.collected(reports.followed(_stream(s, d).where("event_type = 'signup'"), _stream(s, d).where("event_type = 'purchase'"), "1 hour", LATE).select("event_id", "later_id"), "append")
 )
-_register("stream_session")(lambda s, d: reports.collected(reports.sessions(_stream(s, d), "6 hours", LATE)))
-_register("stream_sliding")(lambda s, d: reports.collected(reports.sliding(_stream(s, d), "2 days", "1 day", LATE)))
+_register("stream_session", "select user_id, min(ts) as session_start, count(*) as n from (select *, sum(f) over (partition by user_id order by ts, event_id rows unbounded preceding) as island from (select *, case when ts - lag(ts) over (partition by user_id order by ts, event_id) <= interval 6 hour then 0 else 1 end as f from events)) group by user_id, island")(
+    lambda s, d: reports.collected(reports.sessions(_stream(s, d), "6 hours", LATE)).withColumn("session_start", F.col("session_start").cast("timestamp_ntz"))
+)
+_register("stream_sliding", "select time_bucket(interval 1 day, ts) - to_days(back) as window_start, count(*) as n, max(value) as best from events, (values (0), (1)) as b(back) group by all")(
+    lambda s, d: reports.collected(reports.sliding(_stream(s, d), "2 days", "1 day", LATE)).withColumn("window_start", F.col("window_start").cast("timestamp_ntz"))
+)
+
+
+def _stream_asha(s: SparkSession, d: str) -> DataFrame:
+    """The replay of ``asha_replay`` fed by the stream: the k-th report of a user is that of step k."""
+    ord_ = F.concat(F.date_format("ts", "yyyyMMddHHmmss.SSSSSS"), F.format_string("-%020d", F.col("event_id")))
+    study, trial = F.concat(F.lit("s"), (F.col("user_id") % 2).cast("string")).alias("study"), F.col("user_id").cast("long").alias("trial")
+    shaped = _stream(s, d).select(study, ord_.alias("ord"), trial, F.lit(0).cast("long").alias("step"), "value")
+    return reports.collected(reports.async_promotions(shaped, 4, [2, 8, 32], counted=True), "append")
+
+
+_register("stream_asha")(_stream_asha)
+
+
+def _stream_late(s: SparkSession, d: str) -> DataFrame:
+    """Daily counts of reports that come in three files, the newest third first: (kept, late, told).
+
+    The oldest third comes after the watermark has passed: its reports are counted, not lost unseen; ``told``: the stream's progress says so.
+    """
+    rows, scratch = s.read.parquet(f"{d}/events.parquet"), Scratch(s, "late")
+    when = F.unix_micros(F.col("ts").cast("timestamp")).cast("double")
+    third = rows.select(when.alias("at")).stat.approxQuantile("at", [1 / 3, 2 / 3], 0.0)
+    for k, part in enumerate((when > third[1], (when <= third[1]) & (when > third[0]), when <= third[0])):
+        rows.where(part).coalesce(1).write.parquet(f"{scratch.root}/in/{k}")
+    base = s.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(f"{scratch.root}/in")
+    told, dropped = reports.followed_progress(reports.tumbling(base.withColumn("ts", F.col("ts").cast("timestamp")), "1 day", "1 day"), "update")
+    last = told.groupBy("window_start", "event_type").agg(F.max("n").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("kept"))
+    return last.select("kept", (F.lit(rows.count()) - F.col("kept")).alias("late"), F.lit(dropped > 0).alias("told"))
+
+
+_register("stream_late", "select count(*) filter (where n > 1) as kept, count(*) filter (where n = 1) as late, true as told from (select ntile(3) over (order by ts) as n from events)")(_stream_late)
 
 # --- further functions --------------------------------------------------------------------
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from stagewise.plans.trials import nodes
@@ -34,16 +34,17 @@ def merge_bruteforce(segments: DataFrame) -> DataFrame:
 
 
 def kwise_rate(segments: DataFrame, studies: list[list[str]]) -> DataFrame:
-    """For each set of studies: (k, total, unique, rate, within_unique), pooled and within studies."""
-    out = None
-    for own in studies:
-        part = segments.where(F.col("study").isin(own))
-        pooled = part.groupBy("path").agg(F.sum(F.col("end") - F.col("start")).alias("t"), (F.max("end") - F.min("start")).alias("u"))
-        within = part.groupBy("study", "path").agg((F.max("end") - F.min("start")).alias("u"))
-        row = pooled.agg(F.sum("t").alias("total"), F.sum("u").alias("unique")).crossJoin(within.agg(F.sum("u").alias("within_unique")))
-        row = row.select(F.lit(len(own)).cast("long").alias("k"), "total", "unique", "within_unique", _rate(F.col("total"), F.col("unique")).alias("rate"))
-        out = row if out is None else out.unionByName(row)
-    return out
+    """For each set of studies: (k, total, unique, within_unique, rate), pooled and within studies; segments are read once.
+
+    A node and study make one row, which is then copied to the sets that hold the study.
+    """
+    fine = segments.groupBy("study", "path").agg(F.sum(F.col("end") - F.col("start")).alias("t"), F.min("start").alias("s"), F.max("end").alias("e"))
+    sets = F.array(*[F.when(F.col("study").isin(own), F.lit(n)) for n, own in enumerate(studies)])
+    wide = fine.withColumn("at", F.explode(F.filter(sets, lambda x: x.isNotNull())))
+    node = wide.groupBy("at", "path").agg(F.sum("t").alias("t"), (F.max("e") - F.min("s")).alias("u"), F.sum(F.col("e") - F.col("s")).alias("w"))
+    out = node.groupBy("at").agg(F.sum("t").alias("total"), F.sum("u").alias("unique"), F.sum("w").alias("within_unique"))
+    k = F.element_at(F.array(*[F.lit(len(own)) for own in studies]), F.col("at") + 1).cast("long").alias("k")
+    return out.select(k, "total", "unique", "within_unique", _rate(F.col("total"), F.col("unique")).alias("rate"))
 
 
 def pairwise_rates(segments: DataFrame) -> DataFrame:
@@ -70,9 +71,10 @@ def cost_rate(segments: DataFrame, seconds: DataFrame) -> DataFrame:
     return out.withColumn("rate", _rate(F.col("cost"), F.col("unique_cost")))
 
 
-def explored_rate(requests: DataFrame) -> DataFrame:
-    """The merge rate of what was really asked for: requests are segments cut at the steps the tuner reached."""
-    return merge_rate(requests)
+def explored_rate(segments: DataFrame, reached: DataFrame) -> DataFrame:
+    """The merge rate of what a tuner really asked for: segments cut at the step that each trial of reached(study, trial, step) got to."""
+    known = segments.join(reached.select("study", "trial", F.col("step").alias("upto")), ["study", "trial"]).where("start < upto")
+    return merge_rate(known.withColumn("end", F.least("end", "upto")).drop("upto"))
 
 
 def merge_rollup(segments: DataFrame, levels: list[str], cube: bool = False) -> DataFrame:
@@ -90,18 +92,16 @@ def merge_rollup(segments: DataFrame, levels: list[str], cube: bool = False) ->
     return node.groupBy(*levels, "grouping_id").agg(F.sum("t").alias("total"), F.sum("u").alias("unique")).withColumn("rate", _rate(F.col("total"), F.col("unique")))
 
 
-def makespan(placements: DataFrame) -> DataFrame:
-    """placements(worker, stage_id, t0, t1) -> end-to-end time and the time workers were held."""
-    return placements.agg((F.max("t1") - F.min("t0")).alias("makespan"), F.sum(F.col("t1") - F.col("t0")).alias("worker_time"))
+def makespan(placements: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """placements(by.., worker, stage_id, t0, t1) -> end-to-end time and the time workers were held."""
+    return placements.groupBy(*by).agg((F.max("t1") - F.min("t0")).alias("makespan"), F.sum(F.col("t1") - F.col("t0")).alias("worker_time"))
 
 
-def transitions(placements: DataFrame) -> DataFrame:
+def transitions(placements: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """Stages that do not continue the one before them on their worker, and so load a checkpoint."""
-    from pyspark.sql import Window
-
-    last = F.lag("stage_id").over(Window.partitionBy("worker").orderBy("t0", "t1"))
-    moved = placements.withColumn("last", last).where("parent is not null and not (parent <=> last)")
-    return moved.agg(F.count("*").alias("transitions"))
+    last = F.lag("stage_id").over(Window.partitionBy(*by, "worker").orderBy("t0", "t1"))
+    moved = F.col("parent").isNotNull() & ~F.col("parent").eqNullSafe(F.col("last"))
+    return placements.withColumn("last", last).groupBy(*by).agg(F.count_if(moved).alias("transitions"))
 
 
 def best(metrics: DataFrame, name: str = "value") -> DataFrame:

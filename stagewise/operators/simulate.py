@@ -13,12 +13,15 @@ from stagewise.plans.schedule import critical_path
 _OUT = "policy string, w long, makespan double, busy double, transitions long"
 
 
-def simulate(stages: list[tuple[str, str | None, str, float]], w: int, policy: str, save: float = 0.0, load: float = 0.0) -> tuple[float, float, int]:
+def simulate(
+    stages: list[tuple[str, str | None, str, float]], w: int, policy: str, save: float = 0.0, load: float = 0.0, trace: list | None = None
+) -> tuple[float, float, int]:
     """stages (id, parent, chain, cost) -> (makespan, busy, transitions).
 
     ``chains``: an idle worker takes the ready chain of the largest remaining cost and runs it
     whole.  ``breadth``: it takes the ready stage that comes first by level.  A transition is a
     stage whose worker did not run its parent just before; it pays a load, and a stage that is left pays a save.
+    ``trace`` is filled with placements (worker, stage, parent, t0, t1).
     """
     cost = {s: c for s, _, _, c in stages}
     parent = {s: p for s, p, _, _ in stages}
@@ -60,10 +63,12 @@ def simulate(stages: list[tuple[str, str | None, str, float]], w: int, policy: s
             if p in cost and last[k] != p:
                 moves += 1
                 at += load
-            for s in own:
-                at += cost[s]
+            for n, s in enumerate(own):
+                begin, at = now if not n else at, at + cost[s]
                 if any(unit_of[c] != u for c in children.get(s, [])):
                     at += save
+                if trace is not None:
+                    trace.append((k, s, parent[s] if parent[s] in cost else None, begin, at))
                 heapq.heappush(done_at, (at, s))
             busy += at - now
             heapq.heappush(running, (at, k, own[-1]))
@@ -98,6 +103,18 @@ def run(elected: DataFrame, sweep: list[tuple[str, int]], by: str = "study", sav
     return elected.select(by, "stage", "parent", "leaf", "cost").groupBy(by).applyInPandas(one, f"{by} string, {_OUT}")
 
 
+def placements(elected: DataFrame, policy: str, w: int, by: str = "study", save: float = 0.0, load: float = 0.0) -> DataFrame:
+    """elected(by, stage, parent, leaf, cost) -> (by, worker, stage_id, parent, t0, t1): where and when each stage runs."""
+
+    def one(group: pd.DataFrame) -> pd.DataFrame:
+        rows = [(s, p if isinstance(p, str) else None, c, float(x)) for s, p, c, x in zip(group["stage"], group["parent"], group["leaf"], group["cost"])]
+        trace: list = []
+        simulate(rows, w, policy, save, load, trace)
+        return pd.DataFrame([(group[by].iloc[0], *x) for x in trace], columns=[by, "worker", "stage_id", "parent", "t0", "t1"])
+
+    return elected.select(by, "stage", "parent", "leaf", "cost").groupBy(by).applyInPandas(one, f"{by} string, worker long, stage_id string, parent string, t0 double, t1 double")
+
+
 def bounds(stages: DataFrame, lines: DataFrame, w: int) -> DataFrame:
     """(w, work, path, least): no run on ``w`` workers ends before the critical path or the work over the workers; for clusters too large to simulate."""
     work = stages.agg(F.sum("cost").alias("work"))

@@ -1,14 +1,16 @@
-"""Worker reports as streams: windows, duplicates, enrichment and asynchronous promotion."""
+"""Worker reports as streams: windows, duplicates, enrichment, aggregation into the plan and asynchronous promotion."""
 
 from __future__ import annotations
 
-import uuid
+import json
 from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from stagewise.store import PlanStore, Scratch
+
 SCHEMA = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
 
@@ -19,14 +21,32 @@ def source(spark: SparkSession, path: str, schema: str | None = None) -> DataFra
 
 
 def collected(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs what is there now to its end and gives the result table."""
-    name = f"t{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """Runs what is there now to its end and gives the result table, which is written as Parquet, a folder per micro-batch.
+
+    A micro-batch that runs again after a failure writes its folder anew.  In complete mode the last folder holds the result.
+    """
+    return followed_progress(stream, mode)[0]
+
+
+def followed_progress(stream: DataFrame, mode: str = "complete") -> tuple[DataFrame, int]:
+    """(the result table, reports that came after the watermark and were dropped)."""
+    spark, scratch, batches = stream.sparkSession, Scratch(stream.sparkSession, "stream"), []
+
+    def write(rows: DataFrame, batch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{scratch.root}/out/{batch}")
+        if batch not in batches:
+            batches.append(batch)
+
+    q = stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{scratch.root}/progress").trigger(availableNow=True).start()
     try:
         q.awaitTermination()
+        late = sum(int(s.numRowsDroppedByWatermark) for p in q.recentProgress for s in p.stateOperators)
     finally:
         q.stop()
-    return stream.sparkSession.table(name)
+    if not batches:
+        return spark.createDataFrame([], stream.schema), late
+    taken = batches[-1:] if mode == "complete" else batches
+    return spark.read.schema(stream.schema).parquet(*[f"{scratch.root}/out/{b}" for b in taken]), late
 
 
 def tumbling(stream: DataFrame, size: str, late: str) -> DataFrame:
@@ -59,27 +79,59 @@ def followed(first: DataFrame, later: DataFrame, within: str, late: str) -> Data
     return a.join(b, F.expr(f"user_id = later_user and later_ts > ts and later_ts <= ts + interval {within}"))
 
 
-def aggregate(batch: DataFrame) -> DataFrame:
-    """A micro-batch of reports as metrics of (trial, step): the last report of each, so that repeats change nothing."""
-    return batch.groupBy("trial", "step").agg(F.max_by("value", F.struct("ts", "event_id")).alias("value"))
+def latest(batch: DataFrame) -> DataFrame:
+    """Reports(path, step, ord, value) as metrics of (path, step): the last report of each, so that repeats change nothing."""
+    return batch.groupBy("path", "step").agg(F.max_by("value", "ord").alias("value"))
 
 
-def async_promotions(stream: DataFrame, eta: int, steps: list[int]) -> DataFrame:
-    """Stateful asynchronous halving per study: (study, trial, rung, nth); state is what has been reported."""
-    from pyspark.sql.streaming.state import GroupStateTimeout
+def aggregate(stream: DataFrame, plan: PlanStore, wake) -> int:
+    """Folds a stream of reports(path, step, ord, value) into the plan's metrics until its present end; the number of micro-batches.
 
-    from stagewise.operators.tuners import async_halving
+    Each micro-batch is reduced where it lies, then by key, and appended as a part named by its number, so one that runs twice
+    changes nothing.  ``wake`` is called after a micro-batch that brought metrics that the plan had not, with their number.
+    """
+    scratch, done = Scratch(stream.sparkSession, "reports"), []
+
+    def fold(batch: DataFrame, number: int) -> None:
+        known = plan.read("metrics").select("path", "step")
+        new = scratch.save(latest(batch).join(known, ["path", "step"], "left_anti"), f"new-{number}")
+        n = new.count()
+        if n:
+            plan.append("metrics", new, f"reports-{number}")
+            wake(n)
+        done.append(number)
+
+    q = stream.writeStream.foreachBatch(fold).option("checkpointLocation", f"{scratch.root}/progress").trigger(availableNow=True).start()
+    try:
+        q.awaitTermination()
+    finally:
+        q.stop()
+    return len(done)
 
-    def on_batch(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        import json
 
-        seen, told = json.loads(state.get[0]) if state.exists else [[], 0]
-        new = pd.concat(list(parts)).sort_values("ord")
-        seen += [[int(t), int(s), float(v)] for t, s, v in zip(new["trial"], new["step"], new["value"])]
-        made = async_halving([tuple(x) for x in seen], eta, steps)
-        state.update((json.dumps([seen, len(made)]),))
-        yield pd.DataFrame([(key[0], t, r, k) for k, (t, r) in enumerate(made) if k >= told], columns=["study", "trial", "rung", "nth"])
+def async_promotions(stream: DataFrame, eta: int, steps: list[int], counted: bool = False) -> DataFrame:
+    """Stateful asynchronous halving per study over reports(study, ord, trial, step, value): (study, trial, rung, nth).
 
-    return stream.groupBy("study").applyInPandasWithState(
-        on_batch, "study string, trial long, rung long, nth long", "seen string", "append", GroupStateTimeout.NoTimeout
+    State holds, per rung, the results that were not promoted as a heap and the promoted ones in order; a report costs the logarithm of their number.
+    Only reports at a rung's step reach a study's task.  With ``counted`` the k-th report of a trial is that of its step k, and the
+    numbers of reports are state too.
+    """
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    from stagewise.operators.tuners import AsyncHalving
+
+    def on_batch(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        told = json.loads(state.get[0]) if state.exists else {"counts": []}
+        tuner, counts = AsyncHalving.load(told) if state.exists else AsyncHalving(eta, steps), dict(told["counts"])
+        new, made = pd.concat(list(parts)).sort_values("ord"), []
+        before = tuner.made
+        for t, s, v in zip(new["trial"].tolist(), new["step"].tolist(), new["value"].tolist()):
+            if counted:
+                s = counts[t] = counts.get(t, 0) + 1
+            made += tuner.report(int(t), int(s), float(v))
+        state.update((json.dumps(tuner.dump() | {"counts": list(counts.items())}),))
+        yield pd.DataFrame([(key[0], t, r, before + k) for k, (t, r) in enumerate(made)], columns=["study", "trial", "rung", "nth"])
+
+    return (stream if counted else stream.where(F.col("step").isin(steps))).groupBy("study").applyInPandasWithState(
+        on_batch, "study string, trial long, rung long, nth long", "tuner string", "append", GroupStateTimeout.NoTimeout
     )

@@ -7,8 +7,10 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from stagewise import study
 from stagewise.functions import hpfunc as H
 from stagewise.functions import space
+from stagewise.operators import experiments as X
 from stagewise.operators import measures as M
 from stagewise.operators import simulate, training, tuners
 from stagewise.plans import forest, plan, schedule
@@ -16,6 +18,7 @@ from stagewise.plans import trials as T
 from stagewise.sources import adapters as A
 from stagewise.store import Scratch
 from stagewise.streaming import reports
+from stagewise.study import Study
 
 _Q: dict = {}
 _SQL: dict[str, str] = {}
@@ -320,16 +323,45 @@ def _family(s: SparkSession, pieces: list[H.Piece]) -> DataFrame:
 
 for _fn, (_make, _sql) in _FAMILIES.items():
     _register(f"hp_values_{_fn}", f"select step, round(cast({_sql} as double), 9) as value from (select unnest(range(0, 100)) as step)")(lambda s, d, make=_make: _family(s, make()))
-_RATES = {"w4": (448, 53760, 22320), "w6": (240, 28800, 9108), "w7": (40, 10800, 5280)}
-for _name, (_t, _total, _unique) in _RATES.items():
-    _register(f"space_{_name}", f"select {_t} as trials, {_total} as total_steps, {_unique} as unique_steps, round({_total} / {_unique}, 6) as rate")(
-        lambda s, d, n=_name: M.merge_rate(T.canonical(getattr(space, n)(s))).drop("nodes")
-    )
-for _name, _make, _totals in (("w8", space.w8, ((2, 288, 34560, 15172), (8, 1152, 138240, 54664))), ("w9", space.w9, ((2, 288, 34560, 24404), (8, 1152, 138240, 91588)))):
-    for _k, _t, _total, _unique in _totals:
-        _register(f"space_{_name}_s{_k}", f"select {_t} as trials, {_total} as total_steps, {_unique} as unique_steps, round({_total} / {_unique}, 6) as rate")(
-            lambda s, d, make=_make, k=_k: M.merge_rate(T.canonical(make(s, k))).drop("nodes")
-        )
+
+
+def steps_sql(studies: list[tuple[str, dict]]) -> str:
+    """with-clause up to ``hist``(study, trial, step, h): what each trial of some grids has trained up to each step, by the settings' values at each single step.
+
+    It knows nothing of segments or nodes: settings are spread over steps, and a history is the digest of all symbols so far.
+    """
+    rows = []
+    for study, families in studies:
+        for hp, options in families.items():
+            for i, pieces in enumerate(options):
+                at = 0
+                for x in pieces:
+                    rows.append(f"('{study}','{hp}',{i},{at},{at + x.length},'{x.text()}',{at - x.since})")
+                    at += x.length
+    hps = list(studies[0][1])
+    cross = " join ".join(f"(select distinct study, i as i{k} from pc where hp = '{hp}') o{k}" + ("" if not k else f" on o{k}.study = o0.study") for k, hp in enumerate(hps))
+    joined = " ".join(f"join hs h{k} on h{k}.study = t.study and h{k}.hp = '{hp}' and h{k}.i = t.i{k}" + ("" if not k else " and h%d.step = h0.step" % k) for k, hp in enumerate(hps))
+    return f"""with pc(study, hp, i, lo, hi, piece, zero) as (values {",".join(rows)}),
+sy as (select study, hp, i, cast(step as bigint) as step, case when piece like 'constant%' then piece else piece || '@' || (step - zero) end as symbol from (select *, unnest(range(lo, hi)) as step from pc)),
+hs as (select study, hp, i, step, md5(string_agg(symbol, '|') over (partition by study, hp, i order by step rows unbounded preceding)) as h from sy),
+tr as (select o0.study, {", ".join(f"i{k}" for k in range(len(hps)))} from {cross}),
+hist as (select t.study, t.study || {" || '-' || ".join(f"i{k}" for k in range(len(hps)))} as trial, h0.step, {" || ".join(f"h{k}.h" for k in range(len(hps)))} as h from tr t {joined})
+"""
+
+
+_SPACES = {"w4": [("w4", space.families_w4())], "w6": [("w6", space.families_w6())], "w7": [("w7", space.families_w7())]}
+_SPACES |= {f"w8_s{k}": [(str(i), space.families_w8(i)) for i in range(k)] for k in (1, 2, 4, 8)}
+_SPACES |= {f"w9_s{k}": [(str(i), space.families_w9(i)) for i in range(k)] for k in (1, 2, 4, 8)}
+_SPACES["small"] = [("small", space.families_small())]
+_COUNTED = "select count(distinct trial) as trials, count(*) as total_steps, count(distinct step || h) as unique_steps, round(count(*) / count(distinct step || h), 6) as rate from hist"
+
+
+def _space(s: SparkSession, name: str) -> DataFrame:
+    return reduce(DataFrame.unionByName, [space.grid(s, study, families) for study, families in _SPACES[name]])
+
+
+for _name in _SPACES:
+    _register(f"space_{_name}", steps_sql(_SPACES[_name]) + _COUNTED)(lambda s, d, n=_name: M.merge_rate(T.canonical(_space(s, n))).drop("nodes"))
 _register("grid_cross", "select distinct p_brand, p_size from (select distinct p_brand from part) cross join (select distinct p_size from part)")(
     lambda s, d: (p := A.table(s, d, "part")).select("p_brand").distinct().crossJoin(F.broadcast(p.select("p_size").distinct()))
 )
@@ -511,9 +543,158 @@ _register("study_sha")(lambda s, d: _study_halving(s, d, space.w4(s), 4, [15, 60
 for _k in (1, 2, 4, 8):
     _register(f"multi_high_s{_k}")(lambda s, d, k=_k: _study(s, d, space.w8(s, k)))
     _register(f"multi_low_s{_k}")(lambda s, d, k=_k: _study(s, d, space.w9(s, k)))
-# what training runs is what the merge rates of the same space say
-_register("study_steps", "select * from (values ('stage', 240, 9108), ('trial', 240, 28800)) as t(mode, trials, steps_run)")(lambda s, d: _study(s, d, space.w6(s)).select("mode", "trials", "steps_run"))
-_register("lossless_check", "select true as equal")(lambda s, d: _study(s, d, space.w6(s)).groupBy().agg(F.bool_and("equal").alias("equal")))
+# what training runs is what the settings' values at each step say
+_register("study_steps", steps_sql(_SPACES["w6"]) + "select 'stage' as mode, count(distinct trial) as trials, count(distinct step || h) as steps_run from hist union all select 'trial', count(distinct trial), count(*) from hist")(
+    lambda s, d: _study(s, d, space.w6(s)).select("mode", "trials", "steps_run")
+)
+_register("lossless_check", steps_sql(_SPACES["w6"]) + "select count(distinct trial) as trials, cast(0 as bigint) as differing from hist")(lambda s, d: _lossless(s, d))
+
+
+def _lossless(s: SparkSession, d: str) -> DataFrame:
+    """Trials, and how many of them end in another state when their steps are shared: compared byte by byte."""
+    learn, _ = _vectors(s, d)
+    data, own = training.fit_sample(learn), T.canonical(space.w6(s)).withColumn("ckpt", F.lit(None).cast("binary"))
+    alone, shared = (training.train(own, data, 10, x).select("study", "trial", F.col("ckpt").alias(f"c{int(x)}")) for x in (False, True))
+    return alone.join(shared, ["study", "trial"], "full").agg(F.count("*").alias("trials"), F.count_if(~F.col("c0").eqNullSafe(F.col("c1"))).alias("differing"))
+
+
+# --- studies on a plan --------------------------------------------------------------------
+
+
+def _client(s: SparkSession, d: str, workers: int = 40) -> tuple[Study, DataFrame]:
+    """A new study of 16 trials, with a plan of its own, and its trials."""
+    learn, held = _vectors(s, d)
+    own = Study.open(s, "small", training.Softmax, "embeddings", ["lr", "bs"], training.fit_sample(learn), held, 10, root=Scratch(s, "plans").root, workers=workers, every=8)
+    return own, own.engine.scratch.save(own.trials(space.families_small()), "trials")
+
+
+def _loop(s: SparkSession, d: str) -> tuple[Study, DataFrame, list]:
+    own, g = _client(s, d, workers=4)
+    own.engine.submit(g)
+    return own, g, own.engine.run()
+
+
+_register("loop_rounds")(lambda s, d: s.createDataFrame([(r.number, r.chains, r.stages, r.steps, r.open) for r in _loop(s, d)[2]], "round bigint, chains bigint, stages bigint, steps bigint, open bigint"))
+
+
+def _loop_totals(s: SparkSession, d: str) -> DataFrame:
+    """What the loop trained, whether every trial ends in the state of training it alone, and what a second submission costs."""
+    own, g, rounds = _loop(s, d)
+    alone = training.train(g.withColumn("ckpt", F.lit(None).cast("binary")), own.engine.data, 10, False).select("study", "trial", F.col("ckpt").alias("alone"))
+    differ = own.engine.checkpoints(g).join(alone, ["study", "trial"], "full").where(~F.col("ckpt").eqNullSafe(F.col("alone"))).count()
+    hits, fresh = own.engine.submit(g)
+    again = sum(r.steps for r in own.engine.run())
+    row = (own.engine.results(g).count(), sum(r.steps for r in rounds), differ, hits, fresh, again)
+    return s.createDataFrame([row], "trials bigint, steps_run bigint, differing bigint, answered_again bigint, new_again bigint, steps_again bigint")
+
+
+_register("loop_totals", steps_sql(_SPACES["small"]) + "select count(distinct trial) as trials, count(distinct step || h) as steps_run, cast(0 as bigint) as differing, (select count(distinct h) from hist where step = 63) as answered_again, cast(0 as bigint) as new_again, cast(0 as bigint) as steps_again from hist")(_loop_totals)
+
+
+def _counted(told: DataFrame) -> DataFrame:
+    return told.groupBy("rung").agg(F.count("*").alias("trials"), F.count_if(F.col("action") == "promote").alias("promoted"))
+
+
+_N = ", n as (select count(distinct trial) as n from hist)\n"
+_register("tune_grid", steps_sql(_SPACES["small"]) + _N + "select cast(64 as bigint) as rung, n as trials, cast(0 as bigint) as promoted from n")(lambda s, d: _counted(_tuned(s, d, study.grid(64))))
+_register("tune_halving", steps_sql(_SPACES["small"]) + _N + "select cast(4 as bigint) as rung, n as trials, n // 4 as promoted from n union all select 16, n // 4, n // 16 from n union all select 64, n // 16, 0 from n")(lambda s, d: _counted(_tuned(s, d, study.halving(4, 4, 64))))
+_register("tune_milestones", steps_sql(_SPACES["small"]) + _N + "select cast(8 as bigint) as rung, n as trials, 6 as promoted from n union all select 24, 6, 2 union all select 64, 2, 0")(lambda s, d: _counted(_tuned(s, d, study.milestones([(8, 6), (24, 2), (64, 1)]))))
+_register("tune_hyperband")(lambda s, d: _tuned(s, d, study.hyperband(2, 16, 64)).select("bracket", "rung", "rank", "trial", "action", "value"))
+_register("tune_async")(lambda s, d: _tuned(s, d, study.async_halving(4, 4, 64)).select("trial", "rung", "rank", "value"))
+_register("tune_median")(lambda s, d: _tuned(s, d, study.median_stop(16, 64, 16)).select("trial", "rung", "rank", "action", "value"))
+_register("tune_population")(lambda s, d: _tuned(s, d, study.population(16, 64)).select("trial", "rung", "rank", "action", "donor", "value"))
+
+
+def _tuned(s: SparkSession, d: str, tuner) -> DataFrame:
+    own, g = _client(s, d)
+    return own.tune(tuner, g)
+
+
+def _client_calls(s: SparkSession, d: str) -> DataFrame:
+    """Two tuners on one study, its winner trained further, and one configuration evaluated: (call, steps) that each of them had to train."""
+    own, g = _client(s, d)
+    calls = []
+    trained = lambda: sum(r.steps for r in own.engine.rounds)
+
+    def call(name: str, f):
+        before, out = trained(), f()
+        calls.append((name, trained() - before))
+        return out
+
+    best = call("halving", lambda: own.tune(study.halving(4, 4, 64), g))
+    call("halving again", lambda: own.tune(study.halving(4, 4, 64), g))
+    call("winner", lambda: own.finish(g, best, 16))
+    call("grid", lambda: own.tune(study.grid(64), g))
+    call("evaluate", lambda: own.evaluate({k: v[0] for k, v in space.families_small().items()}, 64))
+    return s.createDataFrame(calls, "call string, steps bigint")
+
+
+_register("study_calls")(_client_calls)
+
+# --- experiments on forty workers ---------------------------------------------------------
+
+WORKERS, EXTRA = 40, 100.0
+
+
+def _single(s: SparkSession, d: str) -> DataFrame:
+    """The four studies of one space each: (workload, way, worker_time, makespan, their ratios to the external tuner's, transitions, rate, explored, best).
+
+    The winner of the image studies trains 100 epochs more, which both times hold.
+    """
+    g4, g6, g7 = (T.canonical(getattr(space, w)(s)) for w in ("w4", "w6", "w7"))
+    m4 = X.curves(g4, _vectors(s, d), 10, tuners.rungs(4, 15, 120))
+    rate4, out = M.merge_rate(g4).first()["rate"], []
+    times, decisions = X.halving_study(g4, m4, 4, 15, 120, WORKERS, EXTRA)
+    best = lambda m: m.agg(F.max("value")).first()[0]
+    told = m4.join(decisions.where("action = 'finish'"), ["study", "trial"], "left_semi").where("step = 120")
+    out.append(X.compared(times, "halving").withColumns({"rate": F.lit(rate4), "explored": F.lit(X.explored(g4, X.last_steps(decisions))), "best": F.lit(best(told))}))
+    times, reached = X.async_study(g4, m4, 4, 15, 120, WORKERS, EXTRA)
+    stage = reached.where("way = 'stage'").drop("way")
+    out.append(X.compared(times, "async halving").withColumns({"rate": F.lit(rate4), "explored": F.lit(X.explored(g4, stage)), "best": F.lit(best(m4.join(stage, ["study", "trial", "step"], "left_semi")))}))
+    for name, g, model, source, classes, measure, last, extra in (
+        ("grid cutout", g6, training.OneHidden, _vectors, 10, "value", 120, EXTRA), ("grid length", g7, training.WordBag, _texts, 2, "f1", 270, 0.0),
+    ):
+        rate = M.merge_rate(g).first()["rate"]
+        m = X.curves(g, source(s, d), classes, [last], model, measure)
+        out.append(X.compared(X.grid_study(g, WORKERS, extra), name).withColumns({"rate": F.lit(rate), "explored": F.lit(rate), "best": F.lit(best(m))}))
+    return reduce(DataFrame.unionByName, out)
+
+
+def _multi(s: SparkSession, d: str, low: bool) -> DataFrame:
+    """One to eight studies of 144 trials at once on one cluster: (workload, way, worker_time, makespan, ratios, transitions, rate)."""
+    out = []
+    for k in (1, 2, 4, 8):
+        g = T.canonical((space.w9 if low else space.w8)(s, k))
+        out.append(X.compared(X.grid_study(g, WORKERS, 0.0), f"S{k}").withColumn("rate", F.lit(M.merge_rate(g).first()["rate"])))
+    return reduce(DataFrame.unionByName, out)
+
+
+_register("table_single")(_single)
+_register("table_multi_high")(lambda s, d: _multi(s, d, False))
+_register("table_multi_low")(lambda s, d: _multi(s, d, True))
+
+
+def _work_sql(names: list[tuple[str, str, float]]) -> str:
+    """Worker time of grids, counted step by step: all steps for the ways without sharing, different ones with it."""
+    return " union all ".join(f"select * from (with hist as ({steps_sql(_SPACES[name])}select * from hist) select '{label}' as workload, way, cast(case when way = 'stage' then (select count(distinct step || h) from hist) else (select count(*) from hist) end + {extra} as double) as worker_time from (values ('external'), ('trial'), ('stage')) as w(way))" for label, name, extra in names)
+
+
+_GRIDS = [("grid cutout", "w6", EXTRA), ("grid length", "w7", 0.0), ("S2 high", "w8_s2", 0.0), ("S2 low", "w9_s2", 0.0)]
+_register("grid_work", _work_sql(_GRIDS))(lambda s, d: reduce(DataFrame.unionByName, [
+    X.grid_study(T.canonical(_space(s, name)), WORKERS, extra).select(F.lit(label).alias("workload"), "way", "worker_time") for label, name, extra in _GRIDS
+]))
+_register("placements_fig", "select * from (values (2, 400.0::double, 700.0::double, 3), (99, 300.0::double, 700.0::double, 3)) as t(w, makespan, worker_time, transitions)")(lambda s, d: _placed(s))
+
+
+def _placed(s: SparkSession) -> DataFrame:
+    """The four trials of the figure on two workers and on many: end-to-end time, time workers were held, checkpoints loaded."""
+    g = literal(s, _FOUR)
+    own, out = X.chains_of(g, "stage").withColumn("study", F.lit("fig")), []
+    for w in (2, 99):
+        p = simulate.placements(own, "chains", w)
+        out.append(M.makespan(p, ("study",)).join(M.transitions(p, ("study",)), "study").select(F.lit(w).alias("w"), "makespan", "worker_time", "transitions"))
+    return out[0].unionByName(out[1])
+
 
 # --- streams ------------------------------------------------------------------------------
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession
@@ -35,7 +36,7 @@ def _steps(a: int, b: int, n: int, init: float = 0.1) -> list[H.Piece]:
     return H.step_decay(init, 0.1, [a, b], n)
 
 
-def w4(spark: SparkSession) -> DataFrame:
+def families_w4() -> dict[str, list]:
     """448 trials of 120 epochs: 28 learning rates, 2 batch sizes, 4 optimizer and momentum pairs, 2 decays."""
     n = 120
     ab = [(60, 90), (60, 110), (80, 100), (80, 110), (90, 105), (90, 110), (100, 110), (100, 115)]
@@ -46,10 +47,10 @@ def w4(spark: SparkSession) -> DataFrame:
     lr += [H.cyclic(0.001, 0.1, u, n) for u in (10, 15, 20, 30)]
     bs = [H.constant(128, n), H.multi_value([128, 256], [90], n)]
     om = [H.constant(-1, n), H.constant(0, n), H.constant(0.9, n), H.multi_value([0.7, 0.8, 0.9], [40, 80], n)]  # -1: adam, without momentum
-    return grid(spark, "w4", {"lr": lr, "bs": bs, "momentum": om, "decay": [H.constant(1e-4, n), H.constant(1e-3, n)]})
+    return {"lr": lr, "bs": bs, "momentum": om, "decay": [H.constant(1e-4, n), H.constant(1e-3, n)]}
 
 
-def w6(spark: SparkSession) -> DataFrame:
+def families_w6() -> dict[str, list]:
     """240 trials of 120 epochs: 60 learning rates, 2 batch sizes, 2 cutout sizes."""
     n = 120
     ab = [(a, b) for a in (50, 60, 70, 80, 90, 100) for b in (105, 108, 111, 114)]
@@ -58,41 +59,65 @@ def w6(spark: SparkSession) -> DataFrame:
     lr += [H.warmup(10, 0.1, H.exponential(0.1, g, n - 10)) for g in (0.9, 0.93, 0.95, 0.97)]
     lr += [H.warmup(10, 0.1, H.cosine_restarts(0.1, t, n - 10)) for t in (10, 20, 30, 40)]
     lr += [H.cyclic(0.001, 0.1, u, n) for u in (10, 15, 20, 30)]
-    return grid(spark, "w6", {"lr": lr, "bs": [H.constant(128, n), H.multi_value([128, 256], [30], n)], "cutout": [H.constant(16, n), H.multi_value([16, 18, 20], [30, 60], n)]})
+    return {"lr": lr, "bs": [H.constant(128, n), H.multi_value([128, 256], [30], n)], "cutout": [H.constant(16, n), H.multi_value([16, 18, 20], [30, 60], n)]}
 
 
-def w7(spark: SparkSession) -> DataFrame:
+def families_w7() -> dict[str, list]:
     """40 trials of 270 units of 100 steps: 10 learning rates, 4 input lengths."""
     n = 270
     lr = [H.linear(i * 1e-5, 0.0, 300, n) for i in range(1, 6)]
     lr += [H.warmup(30, i * 1e-5, H.linear(i * 1e-5, 0.0, 300, n - 30)) for i in range(1, 6)]
-    return grid(spark, "w7", {"lr": lr, "length": [H.constant(384, n), *[H.multi_value([384, 512], [m], n) for m in (126, 186, 240)]]})
+    return {"lr": lr, "length": [H.constant(384, n), *[H.multi_value([384, 512], [m], n) for m in (126, 186, 240)]]}
+
+
+def families_w8(i: int) -> dict[str, list]:
+    """144 trials of study i, much shared between studies."""
+    n = 120
+    ab = [(30 + 15 * a + i, 80 + 10 * b) for a in range(3) for b in range(4)]
+    lr = [_steps(a, b, n) for a, b in ab] + [H.warmup(5, 0.1, H.multi_value([0.1, 0.01, 0.001], [a - 5, b - 5], n - 5)) for a, b in ab]
+    lr += [H.warmup(5, 0.1, H.exponential(0.1, g, n - 5)) for g in (0.9, 0.92, 0.94, 0.95, 0.96, 0.97)]
+    lr += [H.cyclic(0.001, 0.1, u, n) for u in (10, 12, 15, 20, 25, 30)]
+    return {"lr": lr, "bs": [H.constant(128, n), *[H.multi_value([128, 256], [m], n) for m in (20 + i, 40 + i, 60 + i)]]}
+
+
+def families_w9(i: int) -> dict[str, list]:
+    """144 trials of study i, little shared between studies."""
+    n, iv = 120, round(0.05 + 0.01 * i, 2)
+    ab = [(20 + 10 * a + i, 60 + 10 * b) for a in range(3) for b in range(3)]
+    lr = [_steps(a, b, n, x) for x in (0.1, iv / 2) for a, b in ab]
+    lr += [H.warmup(5, x, H.exponential(x, g, n - 5)) for x in (0.1, iv) for g in (0.9, 0.93, 0.96)]
+    lr += [H.cyclic(0.001, iv, u, n) for u in range(6, 29, 2)]
+    return {"lr": lr, "bs": [H.multi_value([x, 256], [m], n) for x in (64, 128) for m in (20, 40)]}
+
+
+def families_small() -> dict[str, list]:
+    """16 trials of 64 steps, for studies that train round by round."""
+    n = 64
+    ab = [(16, 32), (16, 48), (32, 48)]
+    lr = [_steps(a, b, n, 0.5) for a, b in ab] + [H.warmup(8, 0.5, H.multi_value([0.5, 0.05, 0.005], [a - 8, b - 8], n - 8)) for a, b in ab]
+    lr += [H.warmup(8, 0.5, H.exponential(0.5, g, n - 8)) for g in (0.9, 0.97)]
+    return {"lr": lr, "bs": [H.constant(32, n), H.multi_value([32, 64], [24], n)]}
+
+
+def w4(spark: SparkSession) -> DataFrame:
+    return grid(spark, "w4", families_w4())
+
+
+def w6(spark: SparkSession) -> DataFrame:
+    return grid(spark, "w6", families_w6())
+
+
+def w7(spark: SparkSession) -> DataFrame:
+    return grid(spark, "w7", families_w7())
 
 
 def w8(spark: SparkSession, studies: int) -> DataFrame:
-    """144 trials per study, much shared between studies."""
-    n, out = 120, None
-    for i in range(studies):
-        ab = [(30 + 15 * a + i, 80 + 10 * b) for a in range(3) for b in range(4)]
-        lr = [_steps(a, b, n) for a, b in ab] + [H.warmup(5, 0.1, H.multi_value([0.1, 0.01, 0.001], [a - 5, b - 5], n - 5)) for a, b in ab]
-        lr += [H.warmup(5, 0.1, H.exponential(0.1, g, n - 5)) for g in (0.9, 0.92, 0.94, 0.95, 0.96, 0.97)]
-        lr += [H.cyclic(0.001, 0.1, u, n) for u in (10, 12, 15, 20, 25, 30)]
-        bs = [H.constant(128, n), *[H.multi_value([128, 256], [m], n) for m in (20 + i, 40 + i, 60 + i)]]
-        own = grid(spark, str(i), {"lr": lr, "bs": bs})
-        out = own if out is None else out.unionByName(own)
-    return out
+    return reduce(DataFrame.unionByName, [grid(spark, str(i), families_w8(i)) for i in range(studies)])
 
 
 def w9(spark: SparkSession, studies: int) -> DataFrame:
-    """144 trials per study, little shared between studies."""
-    n, out = 120, None
-    for i in range(studies):
-        iv = round(0.05 + 0.01 * i, 2)
-        ab = [(20 + 10 * a + i, 60 + 10 * b) for a in range(3) for b in range(3)]
-        lr = [_steps(a, b, n, x) for x in (0.1, iv / 2) for a, b in ab]
-        lr += [H.warmup(5, x, H.exponential(x, g, n - 5)) for x in (0.1, iv) for g in (0.9, 0.93, 0.96)]
-        lr += [H.cyclic(0.001, iv, u, n) for u in range(6, 29, 2)]
-        bs = [H.multi_value([x, 256], [m], n) for x in (64, 128) for m in (20, 40)]
-        own = grid(spark, str(i), {"lr": lr, "bs": bs})
-        out = own if out is None else out.unionByName(own)
-    return out
+    return reduce(DataFrame.unionByName, [grid(spark, str(i), families_w9(i)) for i in range(studies)])
+
+
+def small(spark: SparkSession) -> DataFrame:
+    return grid(spark, "small", families_small())

@@ -14,6 +14,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from stagewise.functions.hpfunc import Piece
+
 
 def affine(epoch: int, n: int, seed: int) -> tuple[int, int]:
     """(a, b) of the permutation i -> (a i + b) mod n of an epoch; a has no factor in common with n."""
@@ -163,20 +165,91 @@ class WordBag(Softmax):
         return (cls.with_one(cls.counts(x, x.shape[1])) @ w).argmax(axis=1)
 
 
+def parsed(text: str) -> Piece:
+    """One setting's canonical text as a function of the steps of its segment."""
+    fn, rest = text.split("(", 1)
+    args, clock = rest.split(")", 1)
+    return Piece(1, fn, tuple(float(a) for a in args.split(",")), int(clock[1:]) if clock else 0)
+
+
 def parse_value(text: str, t: int) -> float:
     """The value of one setting's canonical text ``t`` steps into its segment."""
-    from stagewise.functions.hpfunc import Piece
+    return parsed(text).value(t)
 
-    fn, rest = text.split("(", 1)
-    args, clock = rest.split(")", 1)
-    return Piece(1, fn, tuple(float(a) for a in args.split(",")), int(clock[1:]) if clock else 0).value(t)
+
+def functions(cfg: str) -> dict[str, Piece]:
+    return {k: parsed(v) for k, v in (x.split("=", 1) for x in cfg.split(";"))}
 
 
 def settings(cfg: str, t: int) -> dict[str, float]:
-    return {k: parse_value(v, t) for k, v in (x.split("=", 1) for x in cfg.split(";"))}
+    return {k: f.value(t) for k, f in functions(cfg).items()}
+
+
+class Trainer:
+    """What a user of a study overrides: a model's training, step by step; states are the user's own.
+
+    ``setup`` is called with the settings that have another value than at the step before (None: no longer set), ``iterate``
+    trains one step of the engine, which may be several mini-batches (``ITERATION``).  A state resumes from its
+    bytes exactly where it was.
+    """
+
+    ITERATION = 1
+
+    def fresh(self):
+        raise NotImplementedError
+
+    def setup(self, changed: dict[str, float | None]) -> None:
+        raise NotImplementedError
 
+    def iterate(self, state) -> None:
+        raise NotImplementedError
 
-def train_trials(segments: pd.DataFrame, learner, shared: bool, lo: int = 0, hi: int | None = None) -> tuple[list[tuple], int]:
+    def dump(self, state) -> bytes:
+        raise NotImplementedError
+
+    def restore(self, raw: bytes):
+        raise NotImplementedError
+
+
+class LearnerTrainer(Trainer):
+    """The learners of this module as a user would write them."""
+
+    def __init__(self, learner: Learner, iteration: int = 1):
+        self.learner, self.hp, self.ITERATION, self.told = learner, {}, iteration, []
+
+    def fresh(self) -> State:
+        return self.learner.fresh()
+
+    def setup(self, changed: dict[str, float | None]) -> None:
+        self.told.append(changed)
+        self.hp = {k: v for k, v in (self.hp | changed).items() if v is not None}
+
+    def iterate(self, state: State) -> None:
+        for _ in range(self.ITERATION):
+            self.learner.step(state, self.hp)
+
+    def dump(self, state: State) -> bytes:
+        return state.dump()
+
+    def restore(self, raw: bytes) -> State:
+        return State.load(raw)
+
+
+def drive(trainer: Trainer, state, cfg: str, age: int, steps: int, last: dict[str, float]) -> dict[str, float]:
+    """Trains ``steps`` steps under a configuration whose node began ``age`` steps before; ``last`` are the settings the trainer has, those of the end are returned."""
+    own = functions(cfg)
+    moving = [k for k, f in own.items() if f.fn != "constant"]
+    for t in range(age, age + steps):
+        now = {k: f.value(t) for k, f in own.items()} if t == age else last | {k: own[k].value(t) for k in moving}
+        changed = {k: v for k, v in now.items() if last.get(k) != v} | {k: None for k in last if k not in now}
+        if changed:
+            trainer.setup(changed)
+            last = now
+        trainer.iterate(state)
+    return last
+
+
+def train_trials(segments: pd.DataFrame, trainer: Trainer, shared: bool, lo: int = 0, hi: int | None = None) -> tuple[list[tuple], int]:
     """Trains the steps lo..hi of trials that all stand at lo; a trial's ``ckpt`` is its state there (null: fresh).
 
     shared: a stage of a node is trained once, and every trial through it resumes from the state
@@ -189,25 +262,26 @@ def train_trials(segments: pd.DataFrame, learner, shared: bool, lo: int = 0, hi:
         if parent in cuts and start > lo:
             cuts[parent] = sorted({*cuts[parent], start})
     states: dict[tuple, bytes] = {}
+    hp_names = {k for cfg in segments["cfg"].unique() for k in functions(cfg)}
     steps, out = 0, []
     for (study, trial), own in segments.sort_values(["study", "trial", "k"]).groupby(["study", "trial"], sort=True):
         first = own["ckpt"].iloc[0]
-        s = learner.fresh() if first is None else State.load(first)
+        s, last = trainer.fresh() if first is None else trainer.restore(first), {}
+        trainer.setup(dict.fromkeys(hp_names, None))
         for row in own.itertuples():
             ends = [c for c in cuts[row.path] if row.lo < c <= row.hi]
             known = [c for c in ends if (row.path, c) in states] if shared else []
             at = row.lo
             if known:
                 at = known[-1]
-                s = State.load(states[row.path, at])
+                s = trainer.restore(states[row.path, at])
             for end in ends[len(known) :]:
-                for step in range(at, end):
-                    learner.step(s, settings(row.cfg, step - row.start))
-                    steps += 1
+                last = drive(trainer, s, row.cfg, at - row.start, end - at, last)
+                steps += end - at
                 at = end
                 if shared:
-                    states[row.path, end] = s.dump()
-        out.append((study, int(trial), int(own["hi"].max()), s.dump()))
+                    states[row.path, end] = trainer.dump(s)
+        out.append((study, int(trial), int(own["hi"].max()), trainer.dump(s)))
     return out, steps
 
 
@@ -229,7 +303,7 @@ def train(segments: DataFrame, data: tuple[np.ndarray, np.ndarray], classes: int
     held = segments.sparkSession.sparkContext.broadcast(data)
 
     def one(group: pd.DataFrame) -> pd.DataFrame:
-        out, steps = train_trials(group, model(*held.value, classes, seed), shared, lo, hi)
+        out, steps = train_trials(group, LearnerTrainer(model(*held.value, classes, seed)), shared, lo, hi)
         return pd.DataFrame([(*r, steps if not k else 0) for k, r in enumerate(out)], columns=["study", "trial", "step", "ckpt", "steps_run"])
 
     own = ["root"] if shared else ["study", "trial"]
@@ -266,30 +340,29 @@ def scores(models: DataFrame, rows: DataFrame, model: type = Softmax) -> DataFra
     return told.groupBy("study", "trial").agg((F.sum("right") / F.sum("n")).alias("value"), F.coalesce(f1, F.lit(0.0)).alias("f1"))
 
 
-def run_chains(placed: DataFrame, spark: SparkSession, data: DataFrame, classes: int, seed: int = 1) -> DataFrame:
-    """One stateless round: placed(leaf, lo, hi, cfg, start, ckpt binary) -> checkpoints(leaf, hi, ckpt) of each stage.
+def run_chains(placed: DataFrame, data: tuple[np.ndarray, np.ndarray], classes: int, model: type = Softmax, seed: int = 1, iteration: int = 1, every: int | None = None) -> DataFrame:
+    """placed(leaf, path, lo, hi, start, cfg, ckpt binary) -> checkpoints(leaf, path, step, ckpt) at the end of each stage, and at all multiples of ``every``.
 
-    A task runs a whole chain; only the chain's first stage reads a checkpoint.  The training
-    table must fit a task (task-local mode): its rows are broadcast, and refused beyond a million.
+    A task runs a whole chain on one worker; only its first stage reads a checkpoint (null: a fresh model).  The
+    sample is broadcast: its size is bounded by ``fit_sample``.
     """
-    rows = data.limit(1_000_001).toPandas()
-    if len(rows) > 1_000_000:
-        raise ValueError("the training table is too large for the task-local mode")
-    held = spark.sparkContext.broadcast((np.array(rows["x"].tolist(), dtype=np.float64), rows["y"].to_numpy()))
+    held = placed.sparkSession.sparkContext.broadcast(data)
 
     def one(group: pd.DataFrame) -> pd.DataFrame:
-        learner = Softmax(*held.value, classes, seed)
+        trainer = LearnerTrainer(model(*held.value, classes, seed), iteration)
         group = group.sort_values("lo")
-        first = group["ckpt"].iloc[0]
-        s = State.load(first) if first is not None else learner.fresh()
-        out = []
+        first, last, out = group["ckpt"].iloc[0], {}, []
+        s = trainer.restore(first) if first is not None else trainer.fresh()
         for r in group.itertuples():
-            for at in range(r.lo, r.hi):
-                learner.step(s, settings(r.cfg, at - r.start))
-            out.append((r.path, r.hi, s.dump()))
-        return pd.DataFrame(out, columns=["path", "step", "ckpt"])
+            at = r.lo
+            while at < r.hi:
+                end = min(r.hi, (at // every + 1) * every) if every else r.hi
+                last = drive(trainer, s, r.cfg, at - r.start, end - at, last)
+                out.append((r.leaf, r.path, end, trainer.dump(s)))
+                at = end
+        return pd.DataFrame(out, columns=["leaf", "path", "step", "ckpt"])
 
-    return placed.groupBy("leaf").applyInPandas(one, "path string, step long, ckpt binary")
+    return placed.groupBy("leaf").applyInPandas(one, "leaf string, path string, step long, ckpt binary")
 
 
 def batch_slices(spark: SparkSession, n: int, sizes: list[int], seed: int) -> DataFrame:

@@ -42,9 +42,11 @@ def leaf_paths(stages: DataFrame, lines: DataFrame) -> DataFrame:
     leaves = s.join(followed, "stage", "left_anti").select(F.col("stage").alias("leaf"), F.col("path").alias("node"), F.col("hi").alias("leaf_hi"))
     ways = leaves.join(ancestry(lines.join(leaves.select(F.col("node").alias("path")).distinct(), "path", "left_semi")).drop("start"), "node")
     on = F.expr("ancestor = path and hi <= coalesce(limit, leaf_hi)")
-    rows = ways.join(s.select("stage", "path", "lo", "hi", "cost"), on).select("leaf", "stage", "path", "lo", "hi", "cost")
-    total = rows.groupBy("leaf").agg(F.sum("cost").alias("total"))
-    return rows.join(total, "leaf")
+    rows = ways.join(s.select("stage", "path", "lo", "hi", "cost", "parent_path"), on)
+    own = Window.partitionBy("leaf")  # as many rows as a path has stages
+    # what lies before the last beginning, at a checkpoint or at step 0, is of another tree
+    rows = rows.withColumn("begin", F.max(F.when(F.col("parent_path").isNull(), F.col("lo"))).over(own)).where("lo >= begin")
+    return rows.withColumn("total", F.sum("cost").over(own)).select("leaf", "total", "stage", "path", "lo", "hi", "cost")
 
 
 def chains(stages: DataFrame, lines: DataFrame) -> DataFrame:

@@ -6,8 +6,11 @@ import random
 import numpy as np
 import pytest
 
+from pyspark.sql import functions as F
+
 from stagewise import catalogue
 from stagewise.functions import hpfunc as H
+from stagewise.operators import experiments as X
 from stagewise.operators import measures as M
 from stagewise.operators import simulate, training, tuners
 from stagewise.plans import forest, plan, schedule
@@ -279,8 +282,6 @@ def test_metric_steps_hold_every_report(spark, sf):
 
 
 def test_async_stream_equals_replay(spark, sf):
-    from pyspark.sql import functions as F
-
     from stagewise.streaming import reports
 
     base = reports.source(spark, f"{sf}/event[s].parquet", spark.read.parquet(f"{sf}/events.parquet").schema)
@@ -294,3 +295,144 @@ def test_plans_have_no_cartesian_products(spark, sf):
     for name in ("stage_forest", "chains_orders", "nearest_ckpt_asof", "resume_tree_breakpoints", "trials_of_stage"):
         text = catalogue.queries()[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
         assert "CartesianProduct" not in text and "Python" not in text
+
+
+# --- the loop, studies and experiments ------------------------------------------------------
+
+
+def small_study(spark, sf, workers=40, **options):
+    from stagewise.store import Scratch
+    from stagewise.study import Study
+
+    learn, held = catalogue._vectors(spark, sf)
+    own = Study.open(spark, "small", training.Softmax, "embeddings", ["lr", "bs"], training.fit_sample(learn), held, 10, root=options.pop("root", None) or Scratch(spark, "plans").root, workers=workers, **options)
+    return own, own.trials(catalogue.space.families_small()).persist()
+
+
+def test_running_stages_are_not_given_out_again(spark):
+    """A running stage, what waits for it, and a stage cut where it ends."""
+    req, ck, lines = catalogue.fig_plan(spark)
+    n1, n3 = T.identity((0, "H1")), T.identity((0, "H1"), (20, "H3"))
+    held = spark.createDataFrame([(n3, 20, 30), (n1, 10, 15)], "path string, lo bigint, hi bigint")
+    got = {(r["path"], r["lo"], r["hi"]): r["blocked"] for r in forest.from_plan(req, ck, lines, running=held).collect()}
+    assert got == {(T.identity((0, "H1"), (10, "H2")), 20, 25): False, (n3, 30, 35): True, (n3, 35, 40): True, (T.identity((0, "H1"), (20, "H3"), (40, "H4")), 40, 60): True}
+
+
+def test_trees_of_a_plan_know_parents_and_checkpoints(spark):
+    req, ck, lines = catalogue.fig_plan(spark)
+    n1, n2, n3, n4 = (T.identity(*x) for x in (catalogue._N1, catalogue._N2, catalogue._N3, catalogue._N4))
+    got = {(r["path"], r["lo"]): (r["hi"], r["parent_path"], r["parent_hi"], r["resume_path"], r["resume_step"]) for r in forest.from_plan(req, ck, lines).collect()}
+    assert got == {
+        (n1, 10): (15, None, None, n1, 10), (n2, 20): (25, None, None, n2, 20), (n3, 20): (35, None, None, n1, 20),
+        (n3, 35): (40, n3, 35, None, None), (n4, 40): (60, n3, 40, None, None),
+    }
+    stages = schedule.costs(forest.from_plan(req, ck, lines).withColumn("cfg", F.lit("x")))
+    taken = {(r["leaf"], r["path"], r["lo"]) for r in schedule.round(stages, lines, 2).collect()}
+    least = min((f"{n1}@15", n1, 10), (f"{n2}@25", n2, 20))  # both cost 5
+    assert taken == {(f"{n4}@60", n3, 20), (f"{n4}@60", n3, 35), (f"{n4}@60", n4, 40), least}
+
+
+def test_plan_store_is_written_once_and_compacted(spark):
+    from stagewise.store import PlanStore, Scratch
+
+    store = PlanStore(spark, Scratch(spark, "t").root, "k")
+    assert store.read("metrics").count() == 0 and store.parts("metrics") == 0
+    rows = spark.createDataFrame([("a", 1, 0.5), ("b", 2, 0.25)], "path string, step bigint, value double")
+    for part in ("one", "one", "two"):  # the first part is written twice
+        store.append("metrics", rows if part == "one" else rows.withColumn("step", F.col("step") + 5), part)
+    assert store.read("metrics").count() == 4 and store.parts("metrics") == 2
+    store.compact("metrics")
+    assert store.parts("metrics") == 1 and sorted(map(tuple, store.read("metrics").collect())) == [("a", 1, 0.5), ("a", 6, 0.5), ("b", 2, 0.25), ("b", 7, 0.25)]
+    assert PlanStore(spark, store.root, "other").read("metrics").count() == 0
+
+
+def test_reports_are_folded_into_the_plan_once(spark):
+    from stagewise.store import PlanStore, Scratch
+    from stagewise.streaming import reports
+
+    scratch, woken = Scratch(spark, "t"), []
+    told = spark.createDataFrame([("a", 1, 1, 0.1), ("a", 1, 2, 0.2), ("b", 3, 1, 0.3), ("b", 3, 1, 0.3)], "path string, step bigint, ord bigint, value double")
+    told.coalesce(1).write.parquet(f"{scratch.root}/in/0")
+    told.where("path = 'a'").withColumn("value", F.lit(9.0)).coalesce(1).write.parquet(f"{scratch.root}/in/1")
+    store = PlanStore(spark, f"{scratch.root}/plan", "k")
+    stream = spark.readStream.schema(told.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(f"{scratch.root}/in")
+    assert reports.aggregate(stream, store, woken.append) == 2
+    assert sorted(map(tuple, store.read("metrics").collect())) == [("a", 1, 0.2), ("b", 3, 0.3)] and woken == [2]
+
+
+def test_only_changed_settings_are_passed_on():
+    rng = np.random.default_rng(3)
+    trainer = training.LearnerTrainer(training.Softmax(rng.standard_normal((20, 5)), rng.integers(0, 3, 20), 3), iteration=3)
+    s, last = trainer.fresh(), {}
+    last = training.drive(trainer, s, "bs=constant(4);lr=constant(0.5)", 0, 5, last)
+    last = training.drive(trainer, s, "bs=constant(8);lr=constant(0.5)", 0, 2, last)
+    last = training.drive(trainer, s, "lr=linear(0.5,0,5)", 0, 2, last)
+    assert trainer.told == [{"bs": 4.0, "lr": 0.5}, {"bs": 8.0}, {"bs": None}, {"lr": 0.4}]
+    assert s.step == 27 and trainer.hp == last == {"lr": 0.4}
+
+
+def test_studies_of_one_kind_share_a_plan(spark, sf):
+    from stagewise.store import Scratch
+    from stagewise.study import plan_key
+
+    root = Scratch(spark, "plans").root
+    a, g = small_study(spark, sf, root=root, every=8)  # all milestones are multiples of it, so that no step is trained twice
+    b, h = small_study(spark, sf, root=root, every=8)
+    half = g.where("trial < 8")
+    a.engine.submit(half)
+    a.engine.run()
+    hits, fresh = b.engine.submit(h)
+    assert hits == 8 and fresh == 8
+    rounds = b.engine.run()
+    assert sum(r.steps for r in [*a.engine.rounds, *rounds]) == M.merge_rate(g).first()["unique_steps"]
+    assert plan_key("m", "d", ["a", "b"]) == plan_key("m", "d", ["b", "a"]) != plan_key("m", "d", ["a"])
+
+
+def test_population_forks_the_donors_line(spark):
+    from stagewise.study import forked
+
+    g = T.canonical(spark.createDataFrame([("s", 1, 0, "bs=constant(8);lr=constant(0.5)", 30), ("s", 2, 0, "bs=constant(8);lr=constant(0.1)", 30)], PIECES))
+    pairs = spark.createDataFrame([("s", 2, 1)], "study string, trial bigint, donor bigint")
+    got = forked(g, pairs, 10, "lr", (0.8, 1.2), 1).orderBy("trial", "k").collect()
+    assert [(r["trial"], r["start"], r["end"]) for r in got] == [(1, 0, 30), (2, 0, 10), (2, 10, 30)]
+    assert got[1]["path"] == got[0]["path"] == got[2]["parent"] and got[2]["cfg"] in ("bs=constant(8);lr=constant(0.4)", "bs=constant(8);lr=constant(0.6)")
+
+
+def test_asynchronous_halving_on_a_clock():
+    """Without sharing and with many workers every trial runs at once; shared prefixes are trained once."""
+    alone = {t: [(f"{t}", 0, 10)] for t in range(8)}
+    values = {(t, s): t / 10 for t in range(8) for s in (2, 10)}
+    makespan, busy, reached, _ = X.simulate_async(alone, values, 4, [2, 10], 99)
+    assert makespan == 10 and busy == 8 * 2 + sum(s == 10 for _, s in reached) * 8 and dict(reached)[7] == 10
+    shared = {t: [("root", 0, 6), (f"{t}", 6, 10)] for t in range(8)}
+    makespan, less, again, _ = X.simulate_async(shared, values, 4, [2, 10], 99)
+    assert less == 6 + 4 * sum(s == 10 for _, s in again) and makespan == 10
+    assert X.simulate_async(alone, values, 4, [2, 10], 1)[0] == busy
+
+
+def test_experiments_behave_as_reported(spark, sf):
+    """Sharing never costs more; grids save their merge rate, halving more than that, as it explores a part that shares more."""
+    rows = {(r["workload"], r["way"]): r for r in catalogue.queries()["table_single"](spark, sf).collect()}
+    for (workload, way), r in rows.items():
+        other = rows[workload, "trial"]
+        assert r["worker_time"] <= other["worker_time"] and r["makespan"] <= rows[workload, "external"]["makespan"]
+    for workload, extra in (("grid cutout", 100), ("grid length", 0)):
+        trial, stage = rows[workload, "trial"], rows[workload, "stage"]
+        assert (trial["worker_time"] - extra) / (stage["worker_time"] - extra) == pytest.approx(stage["rate"], abs=1e-5)
+    assert rows["halving", "stage"]["worker_time_speedup"] > rows["halving", "stage"]["rate"]
+    assert rows["halving", "stage"]["explored"] > rows["halving", "stage"]["rate"]
+    assert rows["halving", "trial"]["worker_time"] == 13_440 + 100
+
+
+def test_tuners_of_a_study(spark, sf):
+    from stagewise import study
+
+    own, g = small_study(spark, sf, every=8)
+    band = own.tune(study.hyperband(2, 16, 64), g).groupBy("bracket").agg(F.countDistinct("trial").alias("n")).collect()
+    assert {r["bracket"]: r["n"] for r in band} == {b["bracket"]: b["trials"] for b in tuners.hyperband(2, 16, 64)}
+    made = own.tune(study.async_halving(4, 4, 64), g).collect()
+    assert len({(r["trial"], r["rung"]) for r in made}) == len(made) and sum(r["rung"] == 4 for r in made) >= 4
+    steps = sum(r.steps for r in own.engine.rounds)
+    assert own.engine.store.read("ckpts").count() > 0 and steps <= M.merge_rate(g).first()["unique_steps"]
+    pbt = own.tune(study.population(32, 64), g).collect()
+    assert sum(r["action"] == "fork" for r in pbt) == 3 and sum(r["action"] == "finish" for r in pbt) == 16

@@ -13,7 +13,7 @@ pytest.importorskip("stagewise.llm.queries")
 
 from stagewise.llm import components, exact_naming, host_reputation, html_extract, line_spread, minhash, mixing, packing, quality_cnn, queries, texthash, toxicity, vector_forest  # noqa: E402
 from stagewise.llm.labelled import auc  # noqa: E402
-from stagewise.llm.scratch import Scratch  # noqa: E402
+from stagewise.store import Scratch  # noqa: E402
 
 np.seterr(over="ignore")
 DOCS = "doc_id long, text string, lang string, source string, gid int"  # an extra column whose name the operators use too

@@ -25,6 +25,7 @@ from stagewise.store import Scratch
 #: Sources up to which their budgets are broadcast (some 50 bytes each); more of them meet the rows by a shuffle.
 FEW_SOURCES = 100_000
 RANK_BITS = 60
+TASK_TOKENS = 1 << 24  # of the blocks that one task writes: some 120 MB of text
 RANGE_ROWS = 4096  # rows of a range of ranks, whose order one task decides
 
 
@@ -190,4 +191,8 @@ def mix(docs: DataFrame, target_entropy: float | None = None, most_repeated: flo
     budgets, shown = _budgets(rows, scratch, target_entropy, most_repeated)
     ranked = docs.withColumn("__rank", rank)
     out = _shown(ranked, ranked["source"], F.col("__rank"), budgets, shown, block_tokens)
-    return out.repartition("__block").sortWithinPartitions("__block", "__place").select(*[docs[c] for c in docs.columns])
+    # neighbouring blocks share a task, as many as make up TASK_TOKENS; few blocks are dealt over all tasks there are
+    blocks = max(1, -(-shown // block_tokens))
+    tasks = min(blocks, max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-shown // TASK_TOKENS)))
+    dealt = out.repartitionById(tasks, F.floor(F.col("__block") * tasks / blocks).cast("int"))
+    return dealt.sortWithinPartitions("__block", "__place").select(*[docs[c] for c in docs.columns])

@@ -385,6 +385,10 @@ def test_rules_and_reputation(spark):
     assert got[5] == got[6] == ("", "", None, "allow")
     assert got[7] == ("bad.example.com", "/x", None, "block") and got[8][2] is None and got[9][3] == "allow"
     assert host_reputation.judge(pages, outcomes.limit(0)).count() == 9
+    assert host_reputation.judge(pages.limit(0), outcomes).count() == 0
+    odd = spark.createDataFrame([(1, None, "a", 1.0, 2), (None, None, "b", 1.0, 2), (1, None, "a", 1.0, 2)], "page_id long, url string, host string, good double, suffix int")
+    nulls = spark.createDataFrame([(None, 1), ("x.com", None)], "host string, good int")
+    assert [tuple(r)[1:5] for r in host_reputation.judge(odd, nulls).collect()] == [("", "", None, "allow")] * 3
 
 
 def test_vectors(spark, sf):
@@ -534,6 +538,21 @@ def test_mixing(spark, odd, monkeypatch):
         assert (small.groupby("block")["tokens"].sum() / blocks).between(weight / 2, weight * 2).all()
     assert mixing.plan_mix(odd).where("pass = 0").count() == len(ODD) and mixing.mix(odd).columns == odd.columns
     assert mixing.mix(odd).distinct().count() == odd.distinct().count() and mixing.mix(odd.limit(0)).count() == 0
+    clash = docs.withColumns({c: F.lit(c) for c in ("rank", "tokens", "s", "passes", "block", "whole", "cut", "part", "es")})
+    for n in ("3", "8"):  # whole blocks lie in a task, in order
+        spark.conf.set("spark.sql.shuffle.partitions", n)
+        out = mixing.mix(clash, most_repeated=1.5, block_tokens=2000).withColumn("at", F.spark_partition_id())
+        assert out.select("at").distinct().count() == int(n) and out.columns[:-1] == clash.columns
+    plan = {(r["doc_id"], r["pass"]): r["block"] for r in mixing.plan_mix(docs, most_repeated=1.5, block_tokens=2000).collect()}
+    read_in, seen = defaultdict(list), defaultdict(int)
+    for r in out.select("doc_id", "at").collect():
+        read_in[r["at"]].append(r["doc_id"])
+    once = {i: b for (i, p), b in plan.items() if (i, 1) not in plan}
+    for ids in read_in.values():
+        order = [once[i] for i in ids if i in once]
+        assert order == sorted(order)
+        seen.update({b: seen[b] + 1 for b in set(order)})
+    assert set(seen.values()) == {1}
     shown = mixing.mix(docs, most_repeated=1.5, block_tokens=2000).groupBy("doc_id").count().collect()
     assert {r["doc_id"]: r["count"] for r in shown} == got.groupby("doc_id").size().to_dict()
 

@@ -16,7 +16,7 @@ from stagewise.operators import simulate, training, tuners
 from stagewise.plans import forest, plan, schedule
 from stagewise.plans import trials as T
 from stagewise.sources import adapters as A
-from stagewise.store import Scratch
+from stagewise.store import PlanStore, Scratch
 from stagewise.streaming import reports
 from stagewise.study import Study
 
@@ -751,6 +751,17 @@ def _stream_late(s: SparkSession, d: str) -> DataFrame:
 
 _register("stream_late", "select count(*) filter (where n > 1) as kept, count(*) filter (where n = 1) as late, true as told from (select ntile(3) over (order by ts) as n from events)")(_stream_late)
 
+_register("stream_reports", "select path, step, arg_max(value, (ts, event_id)) as value from (select cast(user_id as varchar) as path, cast(json_extract(props, '$.k') as bigint) as step, ts, event_id, value from events) group by path, step")(lambda s, d: _stream_reports(s, d))
+
+
+def _stream_reports(s: SparkSession, d: str) -> DataFrame:
+    """The event stream as workers' reports, folded into a plan's metrics: the last report of each node and step."""
+    store = PlanStore(s, Scratch(s, "reports").root, "events")
+    base = _stream(s, d).select(F.col("user_id").cast("string").alias("path"), F.from_json("props", "k bigint")["k"].alias("step"), F.struct("ts", "event_id").alias("ord"), "value")
+    reports.aggregate(base, store, lambda n: None)
+    return store.read("metrics")
+
+
 # --- further functions --------------------------------------------------------------------
 
 _register("plan_refcounts", seg_sql("orders") + _NODES + "select path, start, count(*) as refs from seg group by path, start")(lambda s, d: T.nodes(seg(s, d, "orders")).select("path", "start", "refs"))
@@ -790,6 +801,53 @@ _register("ckpt_map", seg_sql("orders") + _CK + ", steps as (select path, step f
     lambda s, d: _ckpts(seg(s, d, "orders")).groupBy("path").agg(F.map_from_entries(F.collect_list(F.struct("step", F.sha2(F.col("path").cast("binary"), 256)))).alias("files"))
     .select("path", F.size("files").cast("long").alias("n"), F.array_max(F.map_keys("files")).alias("latest"))
 )
+
+
+def _sink(s: SparkSession, d: str) -> DataFrame:
+    """Nodes of the plan written by two submissions, compacted, and read again."""
+    g = seg(s, d, "orders")
+    store = PlanStore(s, Scratch(s, "sink").root, "orders")
+    for part in (0, 1):
+        own = g.where(F.col("trial") % 2 == part)
+        new = plan.plan_nodes(own).join(store.read("nodes").select("path"), "path", "left_anti")
+        store.append("nodes", new.join(T.lines(own), "path"), f"submission-{part}")
+    store.compact("nodes")
+    return store.read("nodes").select("path", "parent", "start", F.col("depth").cast("long").alias("depth"), F.size("line").cast("long").alias("line"))
+
+
+_register("plan_sink", seg_sql("orders") + _NODES + "select path, parent, start, depth, depth + 1 as line from nodes")(_sink)
+_register("release_ckpts", seg_sql("orders") + _NODES + _CK + "select ck.path, ck.step from ck where not exists (select 1 from seg where trial % 5 <> 0 and seg.path = ck.path and seg.end_ >= ck.step)")(
+    lambda s, d: plan.unneeded(_ckpts(g := seg(s, d, "orders")), plan.trial_requests(g), T.lines(g), g.where("trial % 5 = 0").select("study", "trial").distinct())
+)
+_register("scan_trials", seg_sql("conversations") + "select trial, count(*) as segments, cast(max(end_) as bigint) as steps from seg group by trial")(lambda s, d: _scanned(s, d))
+
+
+def _scanned(s: SparkSession, d: str) -> DataFrame:
+    """Trials from JSON files as clients leave them: the conversations, written out first."""
+    root = Scratch(s, "files").root
+    p = A.conversations(s, d)
+    order = F.row_number().over(Window.partitionBy("study", "trial").orderBy("ord"))
+    p.select("study", "trial", order.cast("long").alias("ord"), "cfg", "steps").write.json(f"{root}/trials")
+    return T.canonical(A.trial_files(s, f"{root}/trials")).groupBy("trial").agg(F.count("*").alias("segments"), F.max("end").alias("steps"))
+
+
+_register("udaf_auc", "select lang, round((sum(case when quality = 1 then r end) - n1 * (n1 + 1) / 2) / nullif(n1 * n0, 0), 9) as auc from (select lang, quality, rank() over w + (count(*) over (partition by lang, n_chars) - 1) / 2 as r, count(*) filter (where quality = 1) over (partition by lang) as n1, count(*) filter (where quality <> 1) over (partition by lang) as n0 from documents join labels using (doc_id) where quality is not null window w as (partition by lang order by n_chars)) group by lang, n1, n0")(
+    lambda s, d: A.table(s, d, "documents").select("doc_id", "lang", "n_chars").join(A.table(s, d, "labels").select("doc_id", "quality").where("quality is not null"), "doc_id").groupBy("lang").agg(F.round(M.auc_udaf()("n_chars", "quality"), 9).alias("auc"))
+)
+_register("tune_sampled")(lambda s, d: _tuned(s, d, study.sampled(4, 64)).select("trial", "rung", "rank", "action", "value"))
+_register("tune_adaptive")(lambda s, d: _tuned(s, d, study.adaptive(3, 3, 48, 64)).select("round", "trial", "rank", "value"))
+_register("study_asha")(lambda s, d: _single_async(s, d))
+
+
+def _single_async(s: SparkSession, d: str) -> DataFrame:
+    """Asynchronous halving over the 448 trials on forty workers: what each way reached and what it cost."""
+    g = T.canonical(space.w4(s))
+    m = X.curves(g, _vectors(s, d), 10, tuners.rungs(4, 15, 120))
+    times, reached = X.async_study(g, m, 4, 15, 120, WORKERS, EXTRA)
+    best = reached.join(m, ["study", "trial", "step"]).groupBy("way").agg(F.count("*").alias("trials"), F.count_if(F.col("step") == 120).alias("finished"), F.max("value").alias("best"))
+    return times.join(best, "way")
+
+
 _NORMAL = [("exponential", (0.5, 1.0)), ("linear", (0.25, 0.25, 10.0)), ("cosine", (0.5, 10.0, 0.5)), ("linear", (0.5, 0.0, 100.0))]
 _register("hp_normalise", "select * from (values ('cosine', 'constant(0.5)'), ('exponential', 'constant(0.5)'), ('linear', 'constant(0.25)'), ('linear', 'linear(0.5,0,100)')) as t(fn, canonical)")(
     lambda s, d: s.createDataFrame([(fn, H.Piece(10, fn, args).text()) for fn, args in _NORMAL], "fn string, canonical string")

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from stagewise.operators import training
 from stagewise.plans import forest, schedule
 from stagewise.plans import trials as T
-from stagewise.plans.plan import trial_requests
+from stagewise.plans.plan import trial_requests, unneeded
 from stagewise.store import PlanStore, Scratch
 
 
@@ -120,6 +120,17 @@ class Engine:
         """(study, trial, step, ckpt) where the trials end."""
         return trial_requests(segments).join(self.store.read("ckpts").dropDuplicates(["path", "step"]), ["path", "step"]).select("study", "trial", "step", "ckpt")
 
+    def kill(self, killed: DataFrame) -> DataFrame:
+        """The checkpoints(path, step) that the plan no longer needs without the killed(study, trial); requests of those trials alone are closed.
+
+        Facts are never taken back: a closed request has a metric of null.
+        """
+        asked = self.store.read("asked").distinct()
+        alone = asked.join(killed, ["study", "trial"], "left_semi").select("path", "step").distinct()
+        alone = alone.join(asked.join(killed, ["study", "trial"], "left_anti"), ["path", "step"], "left_anti").join(self.open_requests(), ["path", "step"], "left_semi")
+        self.store.append("metrics", self.scratch.save(alone.withColumn("value", F.lit(None).cast("double")), f"killed-{self.store.parts('metrics')}"), f"{self.name}-killed-{self.store.parts('metrics')}")
+        return unneeded(self.store.read("ckpts").select("path", "step"), asked, self.store.read("nodes").select("path", "line"), killed)
+
     def profile(self, seconds: DataFrame) -> None:
         """Seconds per step by configuration(cfg, sec), measured beforehand."""
         self.store.append("profile", seconds, f"{self.name}-profile-{self.store.parts('profile')}")

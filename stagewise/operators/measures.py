@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -109,6 +110,21 @@ def best(metrics: DataFrame, name: str = "value") -> DataFrame:
     return metrics.agg(F.max_by(F.struct("trial", "step", name), F.struct(F.col(name), -F.col("trial"), -F.col("step"))).alias("b")).select("b.*")
 
 
+def auc_udaf():
+    """(score, label 0/1) -> the share of pairs of a 1 and a 0 that the score orders rightly, ties half: an aggregate function for metrics that need a whole group.
+
+    A group is one trial's evaluation, which one task holds.
+    """
+
+    @F.pandas_udf("double")
+    def auc(score: pd.Series, label: pd.Series) -> float:
+        rank, ones = score.rank(), label == 1
+        n, m = int(ones.sum()), int((~ones).sum())
+        return float((rank[ones].sum() - n * (n + 1) / 2) / (n * m)) if n and m else None
+
+    return auc
+
+
 def speedup(base: DataFrame, ours: DataFrame, on: list[str], columns: list[str]) -> DataFrame:
     right = ours.select(*on, *[F.col(c).alias(f"our_{c}") for c in columns])
     return base.join(right, on).select(*on, *[F.round(F.col(c) / F.col(f"our_{c}"), 6).alias(f"{c}_speedup") for c in columns])

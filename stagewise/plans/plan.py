@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stagewise.plans import trials as T
+from stagewise.plans.forest import ancestry
 
 
 @dataclass
@@ -65,5 +66,14 @@ class Plan:
         return self.asked.join(alive, ["path", "step"], "left_anti")
 
 
+def unneeded(ckpts: DataFrame, asked: DataFrame, lines: DataFrame, killed: DataFrame) -> DataFrame:
+    """ckpts(path, step) that no request of a trial outside of killed(study, trial) could resume from; asked(study, trial, path, step)."""
+    alive = asked.join(killed, ["study", "trial"], "left_anti").select("path", "step").distinct()
+    ways = ancestry(lines.join(alive.select("path").distinct(), "path", "left_semi"))
+    needed = ways.join(alive.withColumnRenamed("path", "node"), "node").select(F.col("ancestor").alias("path"), F.coalesce("limit", "step").alias("upto"))
+    reach = needed.groupBy("path").agg(F.max("upto").alias("upto"))
+    return ckpts.join(reach, "path", "left").where("upto is null or step > upto").select(*ckpts.columns)
+
+
 def empty_plan(segments: DataFrame) -> Plan:
     return Plan(plan_nodes(segments).select("path").limit(0), trial_requests(segments).select("path", "step").limit(0))

@@ -64,6 +64,24 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+TRIAL_FILE = "study string, trial bigint, ord bigint, cfg string, steps bigint"
+
+
+def trial_files(spark: SparkSession, path: str, kind: str = "json") -> DataFrame:
+    """Pieces of trials that clients left as JSON or CSV files; a row that does not read as a piece is left out and can be had by ``broken_files``."""
+    return _files(spark, path, kind).where("_corrupt_record is null and trial is not null and steps is not null").drop("_corrupt_record")
+
+
+def broken_files(spark: SparkSession, path: str, kind: str = "json") -> DataFrame:
+    """The rows that :func:`trial_files` leaves out, as text."""
+    return _files(spark, path, kind).where("_corrupt_record is not null or trial is null or steps is null").select("_corrupt_record", "study", "trial")
+
+
+def _files(spark: SparkSession, path: str, kind: str) -> DataFrame:
+    read = spark.read.schema(TRIAL_FILE + ", _corrupt_record string").option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "_corrupt_record")
+    return read.json(path) if kind == "json" else read.option("header", "true").csv(path)
+
+
 def conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A conversation's turns: config is the role, 10 steps each."""
     t = table(spark, sf_dir, "conversations")

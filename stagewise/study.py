@@ -110,6 +110,39 @@ def grid(most: int):
     return lambda study, segments: _rungs(study, segments, [most], [lambda n: n], "grid")
 
 
+def sampled(n: int, most: int, seed: int = 1):
+    """A random subset of the trials to the end, in an order that any engine repeats."""
+    from stagewise.functions.space import sample
+
+    def run(study: Study, segments: DataFrame) -> DataFrame:
+        own = sample(segments.select("study", "trial").distinct(), n, seed)
+        return study.tune(grid(most), segments.join(F.broadcast(own), ["study", "trial"], "left_semi"))
+
+    return run
+
+
+def adaptive(rounds: int, k: int, at: int, most: int, factors: tuple[float, float] = (0.5, 1.5), hp: str = "lr", seed: int = 1):
+    """Proposals near the best so far: in each round the ``k`` best trials get a successor with another value of ``hp`` from step ``at`` on.
+
+    A successor shares its model's beginning, so only its tail is trained.
+    """
+
+    def run(study: Study, segments: DataFrame) -> DataFrame:
+        now, out = segments, None
+        for r in range(rounds):
+            told = study.engine.scratch.save(_ranked(study.ask(now, _at(now, most)), most, lambda n: F.lit(k)).withColumn("round", F.lit(r)), f"adaptive-{r}-{study.engine.submissions}")
+            out = told if out is None else out.unionByName(told)
+            best = out.withColumn("place", F.row_number().over(Window.partitionBy("study").orderBy(F.desc("value"), "trial"))).where(F.col("place") <= k)
+            first = segments.agg(F.max("trial")).first()[0] + 1 + r * k
+            pairs = study.engine.scratch.save(best.select("study", (F.lit(first) + F.col("place") - 1).cast("long").alias("trial"), F.col("trial").alias("donor")), f"proposed-{r}-{study.engine.submissions}")
+            made = forked(now if r == 0 else known, pairs, at, hp, factors, seed + r).join(pairs.select("study", "trial"), ["study", "trial"], "left_semi")
+            now = study.engine.scratch.save(made.select(*T.SEGMENT), f"proposals-{r}-{study.engine.submissions}")
+            known = segments.unionByName(now) if r == 0 else known.unionByName(now)
+        return out
+
+    return run
+
+
 def halving(eta: int, least: int, most: int):
     """Synchronous halving: of the trials at a rung the best floor(n / eta), one at least, go on."""
     steps = tuners.rungs(eta, least, most)

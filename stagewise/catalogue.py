@@ -500,7 +500,8 @@ def _study(s: SparkSession, d: str, pieces: DataFrame, model: type = training.So
     """All trials of a space, alone and with sharing: (mode, trials, steps_run, best, equal); equal: both modes give the same bits."""
     learn, held = source(s, d)
     data, own = training.fit_sample(learn), T.canonical(pieces).withColumn("ckpt", F.lit(None).cast("binary"))
-    alone, shared = (training.train(own, data, classes, x, model=model).persist() for x in (False, True))
+    scratch = Scratch(s, "study")
+    alone, shared = (scratch.save(training.train(own, data, classes, x, model=model), f"shared-{x}") for x in (False, True))
     best = training.scores(shared, held, model).agg(F.max(measure).alias("best"))
     differ = alone.select("study", "trial", "ckpt").exceptAll(shared.select("study", "trial", "ckpt")).agg((F.count("*") == 0).alias("equal"))
     told = [t.agg(F.lit(m).alias("mode"), F.count("*").alias("trials"), F.sum("steps_run").alias("steps_run")) for m, t in (("trial", alone), ("stage", shared))]
@@ -508,26 +509,29 @@ def _study(s: SparkSession, d: str, pieces: DataFrame, model: type = training.So
 
 
 def _texts(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
-    """(rows to learn from, held-out rows) of the labelled documents: hashed words up to the longest input length, quality as class."""
-    most = 512  # the longest value of the setting ``length`` in the space
+    """(rows to learn from, held-out rows) of the labelled documents: hashed words, quality as class.
+
+    A row to learn from has the words up to the longest value of the setting ``length``, which is what is tuned; held-out texts are whole.
+    """
+    most = max(int(x.args[0]) for option in space.families_w7()["length"] for x in option)
     words = F.filter(F.split(F.lower(F.coalesce("text", F.lit(""))), "[ \\t\\n\\r]+"), lambda w: w != "")
-    buckets = F.transform(F.slice(words, 1, most), lambda w: F.pmod(F.xxhash64(w), F.lit(training.WordBag.BUCKETS)).cast("double"))
-    padded = F.concat(buckets, F.array_repeat(F.lit(-1.0), F.lit(most) - F.size(buckets)))
+    buckets = F.transform(words, lambda w: F.pmod(F.xxhash64(w), F.lit(training.WordBag.BUCKETS)).cast("double"))
     t = A.table(s, d, "documents").select("doc_id", "text").join(A.table(s, d, "labels").select("doc_id", "quality").where("quality is not null"), "doc_id")
-    t = t.select(F.col("doc_id").alias("id"), padded.alias("x"), F.col("quality").cast("long").alias("y"))
+    t = t.select(F.col("doc_id").alias("id"), buckets.alias("x"), F.col("quality").cast("long").alias("y"))
     out = F.crc32(F.col("id").cast("string")) % 5 == 0
-    return t.where(~out), t.where(out)
+    padded = F.concat(F.slice("x", 1, most), F.array_repeat(F.lit(-1.0), F.greatest(F.lit(most) - F.size("x"), F.lit(0))))
+    return t.where(~out).withColumn("x", padded), t.where(out)
 
 
 def _study_halving(s: SparkSession, d: str, pieces: DataFrame, eta: int, rungs: list[int]) -> DataFrame:
     """Successive halving that trains: (mode, rung, trials, steps_run, best); the trials that stay resume from their states."""
     learn, held = _vectors(s, d)
-    data, out = training.fit_sample(learn), None
+    data, out, scratch = training.fit_sample(learn), None, Scratch(s, "halving")
     for mode in ("trial", "stage"):
         own, lo = T.canonical(pieces).withColumn("ckpt", F.lit(None).cast("binary")), 0
         for hi in rungs:
-            done = training.train(own, data, 10, mode == "stage", lo, hi).persist()
-            value = training.scores(done, held).persist()
+            done = scratch.save(training.train(own, data, 10, mode == "stage", lo, hi), f"{mode}-{hi}")
+            value = scratch.save(training.scores(done, held), f"{mode}-{hi}-values")
             row = done.agg(F.lit(mode).alias("mode"), F.lit(hi).cast("long").alias("rung"), F.count("*").alias("trials"), F.sum("steps_run").alias("steps_run")).join(F.broadcast(value.agg(F.round(F.max("value"), 6).alias("best"))))
             out = row if out is None else out.unionByName(row)
             stay = value.orderBy(F.desc("value"), "study", "trial").limit(max(1, done.count() // eta)).select("study", "trial")
@@ -637,26 +641,31 @@ WORKERS, EXTRA = 40, 100.0
 
 
 def _single(s: SparkSession, d: str) -> DataFrame:
-    """The four studies of one space each: (workload, way, worker_time, makespan, their ratios to the external tuner's, transitions, rate, explored, best).
+    """The four studies of one space each: (workload, way, worker_time, makespan, their ratios to the external tuner's, transitions, rate, explored, best, target).
 
-    The winner of the image studies trains 100 epochs more, which both times hold.
+    The winner of the image studies trains 100 epochs more, which both times hold.  A trial of the text study takes four
+    workers at once.  ``target`` is what the first trial of the space reaches when it is trained alone.
     """
     g4, g6, g7 = (T.canonical(getattr(space, w)(s)) for w in ("w4", "w6", "w7"))
+    best = lambda m: m.agg(F.max("value")).first()[0]
+    first = lambda g, *x, **y: best(X.curves(g.where("trial = 0"), *x, **y, shared=False))
+
+    def row(times: DataFrame, name: str, rate: float, explored: float, value: float, target: float) -> DataFrame:
+        return X.compared(times, name).withColumns({"rate": F.lit(rate), "explored": F.lit(explored), "best": F.lit(value), "target": F.lit(target)})
+
     m4 = X.curves(g4, _vectors(s, d), 10, tuners.rungs(4, 15, 120))
-    rate4, out = M.merge_rate(g4).first()["rate"], []
+    rate4, target4 = M.merge_rate(g4).first()["rate"], first(g4, _vectors(s, d), 10, [120])
     times, decisions = X.halving_study(g4, m4, 4, 15, 120, WORKERS, EXTRA)
-    best = lambda m: m.agg(F.max("value")).first()[0]
-    told = m4.join(decisions.where("action = 'finish'"), ["study", "trial"], "left_semi").where("step = 120")
-    out.append(X.compared(times, "halving").withColumns({"rate": F.lit(rate4), "explored": F.lit(X.explored(g4, X.last_steps(decisions))), "best": F.lit(best(told))}))
+    last = m4.join(decisions.where("action = 'finish'"), ["study", "trial"], "left_semi").where("step = 120")
+    out = [row(times, "halving", rate4, X.explored(g4, X.last_steps(decisions)), best(last), target4)]
     times, reached = X.async_study(g4, m4, 4, 15, 120, WORKERS, EXTRA)
     stage = reached.where("way = 'stage'").drop("way")
-    out.append(X.compared(times, "async halving").withColumns({"rate": F.lit(rate4), "explored": F.lit(X.explored(g4, stage)), "best": F.lit(best(m4.join(stage, ["study", "trial", "step"], "left_semi")))}))
-    for name, g, model, source, classes, measure, last, extra in (
-        ("grid cutout", g6, training.OneHidden, _vectors, 10, "value", 120, EXTRA), ("grid length", g7, training.WordBag, _texts, 2, "f1", 270, 0.0),
+    out.append(row(times, "async halving", rate4, X.explored(g4, stage), best(m4.join(stage, ["study", "trial", "step"], "left_semi")), target4))
+    for name, g, model, source, classes, measure, end, extra, workers, iteration in (
+        ("grid cutout", g6, training.OneHidden, _vectors, 10, "value", 120, EXTRA, WORKERS, 8), ("grid length", g7, training.WordBag, _texts, 2, "f1", 270, 0.0, WORKERS // 4, 1),
     ):
-        rate = M.merge_rate(g).first()["rate"]
-        m = X.curves(g, source(s, d), classes, [last], model, measure)
-        out.append(X.compared(X.grid_study(g, WORKERS, extra), name).withColumns({"rate": F.lit(rate), "explored": F.lit(rate), "best": F.lit(best(m))}))
+        rate, told = M.merge_rate(g).first()["rate"], (source(s, d), classes, [end], model, measure, iteration)
+        out.append(row(X.grid_study(g, workers, extra), name, rate, rate, best(X.curves(g, *told)), first(g, *told)))
     return reduce(DataFrame.unionByName, out)
 
 

@@ -22,13 +22,13 @@ from stagewise.store import Scratch
 WAYS = ("external", "trial", "stage")
 
 
-def curves(segments: DataFrame, source: tuple[DataFrame, DataFrame], classes: int, steps: list[int], model: type = training.Softmax, measure: str = "value") -> DataFrame:
-    """(study, trial, step, value) of all trials at some steps, by shared training that resumes at each of them."""
+def curves(segments: DataFrame, source: tuple[DataFrame, DataFrame], classes: int, steps: list[int], model: type = training.Softmax, measure: str = "value", iteration: int = 1, shared: bool = True) -> DataFrame:
+    """(study, trial, step, value) of all trials at some steps, by shared training that resumes at each of them; a step is ``iteration`` mini-batches."""
     learn, held = source
     scratch = Scratch(segments.sparkSession, "curves")
     data, own, out, lo = training.fit_sample(learn), segments.withColumn("ckpt", F.lit(None).cast("binary")), None, 0
     for hi in steps:
-        done = scratch.save(training.train(own, data, classes, True, lo, hi, model=model), f"state-{hi}")
+        done = scratch.save(training.train(own, data, classes, shared, lo, hi, model=model, iteration=iteration), f"state-{hi}")
         told = scratch.save(training.scores(done, held, model).select("study", "trial", F.lit(hi).cast("long").alias("step"), F.round(measure, 6).alias("value")), f"values-{hi}")
         out = told if out is None else out.unionByName(told)
         own, lo = own.drop("ckpt").join(done.select("study", "trial", "ckpt"), ["study", "trial"]), hi

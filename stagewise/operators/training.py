@@ -89,6 +89,11 @@ class Learner:
             s.moments[0] = momentum * s.moments[0] + g
             s.params = s.params - hp["lr"] * s.moments[0]
 
+    @staticmethod
+    def matrix(rows: pd.Series) -> np.ndarray:
+        """Held-out rows as ``predict`` takes them."""
+        return np.array(rows.tolist(), dtype=np.float64)
+
     @staticmethod
     def with_one(x: np.ndarray) -> np.ndarray:
         return np.hstack([x, np.ones((len(x), 1))])
@@ -140,7 +145,7 @@ class OneHidden(Learner):
 
 
 class WordBag(Softmax):
-    """Softmax over hashed words; x holds a text's first words as bucket numbers (-1: none), of which the setting ``length`` takes a part."""
+    """Softmax over hashed words, as bucket numbers (-1: none); training reads as many of a text's words as the setting ``length`` says, evaluation all."""
 
     BUCKETS, RATE = 256, 1e4  # the published rates are for another kind of model: they are taken times RATE
 
@@ -161,8 +166,9 @@ class WordBag(Softmax):
         super().step(s, hp | {"lr": hp["lr"] * self.RATE})
 
     @classmethod
-    def predict(cls, w: np.ndarray, x: np.ndarray) -> np.ndarray:
-        return (cls.with_one(cls.counts(x, x.shape[1])) @ w).argmax(axis=1)
+    def matrix(cls, rows: pd.Series) -> np.ndarray:
+        out = np.stack([np.bincount(np.asarray(r, dtype=np.int64), minlength=cls.BUCKETS) for r in rows]).astype(np.float64)
+        return out / np.maximum(np.sqrt((out * out).sum(axis=1, keepdims=True)), 1)
 
 
 def parsed(text: str) -> Piece:
@@ -294,7 +300,7 @@ def fit_sample(rows: DataFrame, most: int = FIT_ROWS) -> tuple[np.ndarray, np.nd
     return np.array(t["x"].tolist(), dtype=np.float64).reshape(len(t), -1), t["y"].to_numpy(dtype=np.int64)
 
 
-def train(segments: DataFrame, data: tuple[np.ndarray, np.ndarray], classes: int, shared: bool, lo: int = 0, hi: int | None = None, seed: int = 1, model: type = Softmax) -> DataFrame:
+def train(segments: DataFrame, data: tuple[np.ndarray, np.ndarray], classes: int, shared: bool, lo: int = 0, hi: int | None = None, seed: int = 1, model: type = Softmax, iteration: int = 1) -> DataFrame:
     """segments(.., ckpt binary) -> (study, trial, step, ckpt, steps_run): the trials' states at ``hi``.
 
     A task trains one tree of the forest (shared) or one trial; nothing is shared between
@@ -303,7 +309,7 @@ def train(segments: DataFrame, data: tuple[np.ndarray, np.ndarray], classes: int
     held = segments.sparkSession.sparkContext.broadcast(data)
 
     def one(group: pd.DataFrame) -> pd.DataFrame:
-        out, steps = train_trials(group, LearnerTrainer(model(*held.value, classes, seed)), shared, lo, hi)
+        out, steps = train_trials(group, LearnerTrainer(model(*held.value, classes, seed), iteration), shared, lo, hi)
         return pd.DataFrame([(*r, steps if not k else 0) for k, r in enumerate(out)], columns=["study", "trial", "step", "ckpt", "steps_run"])
 
     own = ["root"] if shared else ["study", "trial"]
@@ -327,7 +333,7 @@ def scores(models: DataFrame, rows: DataFrame, model: type = Softmax) -> DataFra
         n = zeros = 0
         for b in batches:
             if len(b):
-                x, y = np.array(b["x"].tolist(), dtype=np.float64), b["y"].to_numpy()
+                x, y = model.matrix(b["x"]), b["y"].to_numpy()
                 n, zeros = n + len(b), zeros + int((y == 0).sum())
                 for k, w in enumerate(held.value):
                     said = model.predict(w, x)

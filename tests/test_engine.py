@@ -422,6 +422,7 @@ def test_experiments_behave_as_reported(spark, sf):
     assert rows["halving", "stage"]["worker_time_speedup"] > rows["halving", "stage"]["rate"]
     assert rows["halving", "stage"]["explored"] > rows["halving", "stage"]["rate"]
     assert rows["halving", "trial"]["worker_time"] == 13_440 + 100
+    assert all(r["best"] >= r["target"] for r in rows.values())
 
 
 def test_tuners_of_a_study(spark, sf):

@@ -218,6 +218,9 @@ best as (select w.node, w.step, max_by(w.anc, w.k * 1000000 + ck.step) as ckpt_p
 _register("nearest_ckpt_asof", seg_sql("orders") + _NODES + _CK + _NEAR + "select rq.path, rq.step, ckpt_path, ckpt_step from rq left join best on rq.path = best.node and rq.step = best.step")(
     lambda s, d: forest.resume_points(plan.requests(g := seg(s, d, "orders")), _ckpts(g), T.lines(g)).drop("up")
 )
+_register("nearest_ckpt_levels", seg_sql("orders") + _NODES + _CK + _NEAR + "select rq.path, rq.step, ckpt_path, ckpt_step from rq left join best on rq.path = best.node and rq.step = best.step")(
+    lambda s, d: forest.climb(plan.requests(g := seg(s, d, "orders")), _ckpts(g), T.nodes(g)).drop("up")
+)
 _NEED = """, need as (select distinct w.anc as path, case when w.anc = b.ckpt_path then b.ckpt_step else s.start end as lo, w.lim as hi
  from way w left join best b on b.node = w.node and b.step = w.step join (select path, min(start) as start, min(k) as k from seg group by path) s on s.path = w.anc
  left join (select path, min(k) as k from seg group by path) c on c.path = b.ckpt_path where b.ckpt_path is null or s.k >= c.k),
@@ -266,6 +269,7 @@ _SCHED = seg_sql("nations") + _STAGES + _COST + _LEAF
 _register("stage_costs", seg_sql("nations") + _STAGES + _COST + "select path, lo, hi, cost from costed")(lambda s, d: _costed(s, d)[0].select("path", "lo", "hi", "cost"))
 _register("critical_path", _SCHED + "select leaf, max(total) as total from tt group by leaf order by total desc, leaf limit 1")(lambda s, d: schedule.critical_path(*_costed(s, d)))
 _register("chains_orders", _SCHED + "select leaf, cost, n_stages, lo from ch")(lambda s, d: schedule.chains(*_costed(s, d)))
+_register("chains_levels", _SCHED + "select leaf, cost, n_stages, lo from ch")(lambda s, d: schedule.chains(_costed(s, d)[0]))
 _register("top_chains", _SCHED + "select leaf, cost, n_stages, lo from ch order by cost desc, leaf limit 40")(lambda s, d: schedule.top_chains(*_costed(s, d), 40))
 _register("bfs_order", seg_sql("nations") + _STAGES + "select path, lo, hi, depth from stages join (select path, min(k) as depth from seg group by path) using (path)")(
     lambda s, d: schedule.breadth_first(forest.merge_trials(g := seg(s, d, "nations")), T.nodes(g))

@@ -22,7 +22,8 @@ def rungs(eta: int, least: int, most: int) -> list[int]:
 def halving(metrics: DataFrame, eta: int, least: int, most: int) -> DataFrame:
     """Synchronous halving over metrics of all trials at all rung steps: (study, trial, rung, rank, action).
 
-    Of the trials at a rung the best floor(n / eta), one at least, go on; ties by trial.
+    Of the trials at a rung the best floor(n / eta), one at least, go on; ties by trial.  One task ranks the trials
+    of a study at a rung: a client's trials, some millions at most.
     """
     steps = rungs(eta, least, most)
     alive = metrics.select("study", "trial").distinct()

@@ -6,9 +6,13 @@ points of a node are the ends of the segments that stop there, the starts of its
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from stagewise.store import Scratch
+
 
 def cut_points(segments: DataFrame) -> DataFrame:
     """(path, cut): start, ends of segments (children start at such ends) of each node; at most one row per node and step."""
@@ -100,6 +104,23 @@ def resume_points(requests: DataFrame, ckpts: DataFrame, lines: DataFrame) -> Da
     return out.select("r.path", "r.step", F.col("b.ancestor").alias("ckpt_path"), F.col("b.at").alias("ckpt_step"), (-F.col("b.up")).alias("up"))
 
 
+def climb(requests: DataFrame, ckpts: DataFrame, nodes: DataFrame) -> DataFrame:
+    """:func:`resume_points` by parents(nodes(path, parent, start)) alone, a level a round, for plans whose ways are too long to be kept."""
+    scratch = Scratch(requests.sparkSession, "climb")
+    c = ckpts.select(F.col("path").alias("at"), F.col("step").alias("saved"))
+    up = nodes.select(F.col("path").alias("at"), "parent", "start")
+    asked = scratch.save(requests.select("path", "step").distinct(), "asked")
+    front, found, k = asked.withColumns({"at": F.col("path"), "limit": F.col("step")}), [], 0
+    while True:
+        here = front.join(c, "at", "left").groupBy("path", "step", "at", "limit").agg(F.max(F.when(F.col("saved") <= F.col("limit"), F.col("saved"))).alias("saved"))
+        here = scratch.save(here, f"here-{k}")
+        found.append(here.where("saved is not null").select("path", "step", F.col("at").alias("ckpt_path"), F.col("saved").alias("ckpt_step"), F.lit(k).cast("long").alias("up")))
+        k += 1
+        front = scratch.save(here.where("saved is null").join(up, "at").where("parent is not null").select("path", "step", F.col("parent").alias("at"), F.col("start").alias("limit")), f"front-{k}")
+        if front.isEmpty():
+            return asked.join(reduce(DataFrame.unionByName, found), ["path", "step"], "left")
+
+
 def needs(requests: DataFrame, ckpts: DataFrame, lines: DataFrame) -> DataFrame:
     """(path, lo, hi, node, step): what each request still has to train in each node on its way."""
     found = resume_points(requests, ckpts, lines)

@@ -6,9 +6,13 @@ with the costliest path through it, and grouping stages by their elected leaf.
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from stagewise.store import Scratch
+
 
 #: Rows of a table of seconds up to which it is broadcast (one row a configuration, some 40 bytes).
 FEW_ROWS = 100_000
@@ -49,9 +53,9 @@ def leaf_paths(stages: DataFrame, lines: DataFrame) -> DataFrame:
     return rows.withColumn("total", F.sum("cost").over(own)).select("leaf", "total", "stage", "path", "lo", "hi", "cost")
 
 
-def chains(stages: DataFrame, lines: DataFrame) -> DataFrame:
-    """(leaf, rank, cost, n_stages, lo): one chain per leaf; a tie goes to the smaller leaf."""
-    elected = elected_leaves(stages, lines)
+def chains(stages: DataFrame, lines: DataFrame | None = None) -> DataFrame:
+    """(leaf, cost, n_stages, lo): one chain per leaf; a tie goes to the smaller leaf.  Without ``lines`` the leaves are elected level by level."""
+    elected = elected_by_levels(stages) if lines is None else elected_leaves(stages, lines)
     per = elected.groupBy("leaf").agg(F.sum("cost").alias("cost"), F.count("*").alias("n_stages"), F.min("lo").alias("lo"))
     return per
 
@@ -63,6 +67,32 @@ def elected_leaves(stages: DataFrame, lines: DataFrame) -> DataFrame:
     return paths.groupBy("stage").agg(F.first("path").alias("path"), F.min("lo").alias("lo"), F.min("hi").alias("hi"), F.min("cost").alias("cost"), best)
 
 
+def elected_by_levels(stages: DataFrame) -> DataFrame:
+    """:func:`elected_leaves` from the leaves upwards, a level of stages a round: for forests whose paths are too long to be written out.
+
+    The rows moved in all rounds are as many as there are stages; a round is a job, so shallow forests are quicker by paths.
+    """
+    scratch = Scratch(stages.sparkSession, "levels")
+    up = F.when(F.col("parent_path").isNotNull(), stage_id(F.col("parent_path"), F.col("parent_hi"))).alias("up")
+    s = scratch.save(stages.select(stage_id(F.col("path"), F.col("hi")).alias("stage"), up, "path", "lo", "hi", "cost"), "stages")
+    # a parent that is not among the stages has been trained already
+    children = s.where("up is not null").groupBy("up").agg(F.count("*").alias("n")).join(s.select(F.col("stage").alias("up")), "up", "left_semi")
+    open_ = scratch.save(s.join(children.withColumnRenamed("up", "stage"), "stage"), "open-0")
+    leaves = s.join(children.select(F.col("up").alias("stage")), "stage", "left_anti")
+    done = scratch.save(leaves.withColumns({"leaf": F.col("stage"), "below": F.col("cost")}), "done-0")
+    parts, waiting, k = [done], done, 0
+    while not open_.isEmpty():
+        k += 1
+        told = waiting.groupBy(F.col("up").alias("stage")).agg(F.count("*").alias("ready"), F.min_by(F.struct("leaf", "below"), F.struct(-F.col("below"), F.col("leaf"))).alias("best"))
+        now = open_.join(told, "stage").where("ready = n")
+        done = scratch.save(now.select("stage", "up", "path", "lo", "hi", "cost", F.col("best.leaf").alias("leaf"), (F.col("best.below") + F.col("cost")).alias("below")), f"done-{k}")
+        parts.append(done)
+        open_ = scratch.save(open_.join(done.select("stage"), "stage", "left_anti"), f"open-{k}")
+        # those whose parent is still open wait for their siblings
+        waiting = scratch.save(waiting.unionByName(done).join(open_.select(F.col("stage").alias("up")), "up", "left_semi"), f"waiting-{k}")
+    return reduce(DataFrame.unionByName, parts).select("stage", "path", "lo", "hi", "cost", "leaf")
+
+
 def critical_path(stages: DataFrame, lines: DataFrame) -> DataFrame:
     """(leaf, total) of the costliest path."""
     return leaf_paths(stages, lines).groupBy("leaf").agg(F.max("total").alias("total")).orderBy(F.desc("total"), "leaf").limit(1)

@@ -104,6 +104,9 @@ def test_nearest_checkpoint_is_the_climb(spark):
                 break
             limit, path = nodes[path]["start"], nodes[path]["parent"]
         assert got[(r["path"], r["step"])] == found
+    c = spark.createDataFrame(ck, "path string, step bigint")
+    key = lambda df: sorted(map(str, df.select("path", "step", "ckpt_path", "ckpt_step", "up").collect()))
+    assert key(forest.climb(req, c, T.nodes(g))) == key(forest.resume_points(req, c, T.lines(g)))
 
 
 @pytest.mark.parametrize("seed", [11, 12])
@@ -128,6 +131,9 @@ def test_chains_are_the_greedy_longest_paths(spark, seed):
         left -= set(way(best))
     got = sorted((r["cost"] for r in schedule.chains(st, T.lines(g)).collect()), reverse=True)
     assert got == pytest.approx(sorted(expected, reverse=True))
+    names = ["stage", "path", "lo", "hi", "cost", "leaf"]
+    assert rows(schedule.elected_by_levels(st).select(names)) == rows(schedule.elected_leaves(st, T.lines(g)).select(names))
+    assert rows(schedule.chains(st)) == rows(schedule.chains(st, T.lines(g)))
 
 
 def test_simulation_of_four_trials():

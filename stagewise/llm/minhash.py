@@ -44,6 +44,7 @@ def _signatures(width: int):
                 bands = pa.ListArray.from_arrays(pa.array(at), pa.array(keys[sizes > 0].reshape(-1)))
                 cols = [part.column("doc_id"), part.column("text_key"), pa.array(sizes), pa.array(d1), pa.array(d2), bands]
                 yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "text_key", "n", "d1", "d2", "bands"])
+                texthash.trim()
         texthash.give_back()
 
     return run
@@ -62,6 +63,7 @@ def _full_sets(width: int):
                 at = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
                 sets = pa.ListArray.from_arrays(pa.array(at), pa.array(flat.view(np.int64)))
                 yield pa.RecordBatch.from_arrays([part.column("gid"), sets], names=["gid", "shingles"]).filter(pa.array(own))
+                texthash.trim()
         texthash.give_back()
 
     return run

@@ -9,6 +9,7 @@ dissolved into the gaps of the others and the very last one is cut into powers o
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections.abc import Callable, Iterator
 from itertools import repeat
@@ -139,6 +140,7 @@ class WordTokens:
     """
 
     def __init__(self, path: str, most: int = 1 << 19):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -285,6 +287,7 @@ def _packer(tokens: Callable[[], Callable[[pa.Array], list[np.ndarray]]], end_id
                     total += len(held[-1])
                     if total >= group:
                         yield flush()
+                texthash.trim()  # what a block took would add up beside the JVM
         if held:
             yield flush()
         texthash.give_back()

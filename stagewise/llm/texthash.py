@@ -43,14 +43,19 @@ def _tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers[0], _powers[1]
 
 
+def trim() -> None:
+    """Returns freed memory to the system."""
+    pa.default_memory_pool().release_unused()
+    free = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of the GNU library only
+    if free is not None:
+        free(0)
+
+
 def give_back() -> None:
     """Returns what is free to the system: the driver's Python and the workers live on beside a JVM."""
     _powers.clear()  # made again when they are needed
     gc.collect()
-    pa.default_memory_pool().release_unused()
-    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of the GNU library only
-    if trim is not None:
-        trim(0)
+    trim()
 
 
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:

@@ -101,25 +101,31 @@ class PlanStore:
         columns = self.spark.createDataFrame([], PLAN_TABLES[name]).columns
         rows.select(*columns).write.mode("overwrite").parquet(f"{self._folder(name)}/part={part}")
 
+    def _whole(self, name: str) -> list[str]:
+        """The folders of the parts that are written to their end."""
+        if not exists(self.spark, self._folder(name)):
+            return []
+        system, where = _path(self.spark, self._folder(name))
+        found = [x.getPath().toString() for x in system.listStatus(where) if x.isDirectory()]
+        return sorted(x for x in found if exists(self.spark, f"{x}/_SUCCESS"))
+
     def read(self, name: str) -> DataFrame:
         """All rows of the plan; none if nothing was written."""
-        if not exists(self.spark, self._folder(name)):
+        parts = self._whole(name)
+        if not parts:
             return self.spark.createDataFrame([], PLAN_TABLES[name])
-        return self.spark.read.schema(PLAN_TABLES[name] + ", part string").option("basePath", self._folder(name)).parquet(self._folder(name)).drop("part")
+        return self.spark.read.schema(PLAN_TABLES[name]).parquet(*parts)
 
     def parts(self, name: str) -> int:
-        if not exists(self.spark, self._folder(name)):
-            return 0
-        system, where = _path(self.spark, self._folder(name))
-        return sum(x.isDirectory() for x in system.listStatus(where))
+        return len(self._whole(name))
 
     def compact(self, name: str, files: int = 1) -> None:
         """Writes all parts of a table as one, sorted by node, and then takes the old ones away; a reader of that moment may see rows twice, never too few."""
-        system, where = _path(self.spark, self._folder(name))
-        old = [x.getPath() for x in system.listStatus(where)] if system.exists(where) else []
+        old = self._whole(name)
         if len(old) < 2:
             return
-        sort = "path" if "path" in self.read(name).columns else "cfg"
-        self.append(name, self.read(name).distinct().repartition(files, F.col(sort)).sortWithinPartitions(sort), f"whole-{uuid.uuid4().hex}")
+        rows = self.read(name)
+        sort = "path" if "path" in rows.columns else "cfg"
+        self.append(name, rows.distinct().repartition(files, F.col(sort)).sortWithinPartitions(sort), f"whole-{uuid.uuid4().hex}")
         for x in old:
-            system.delete(x, True)
+            delete(self.spark, x)

@@ -51,7 +51,7 @@ def test_merge_rate_equals_step_by_step(spark, seed):
     assert (r["total_steps"], r["unique_steps"]) == brute(pieces)
 
 
-@pytest.mark.parametrize("name", ["fig_four_trials", "fig_two_pairs", "fig_plan_literal", "fig_plan_running", "fig_plan_tree"])
+@pytest.mark.parametrize("name", ["fig_two_pairs", "fig_plan_literal", "fig_plan_running", "fig_plan_tree"])
 def test_worked_examples(spark, sf, name):
     import duckdb
 
@@ -83,6 +83,12 @@ def some_orders(spark, rows):
     return d
 
 
+def test_worked_example_of_four_trials(spark):
+    a, b, last = [(0, "0.1")], [(0, "0.1"), (100, "0.05")], [(200, "0.01"), (200, "0.02")]
+    expected = [(a, 0, 100, 4), (a, 100, 200, 1), ([*a, last[0]], 200, 300, 1), (b, 100, 200, 3), ([*b, last[0]], 200, 300, 1), ([*b, last[1]], 200, 300, 1), (b, 200, 300, 1)]
+    assert rows(forest.merge_trials(catalogue.literal(spark, catalogue._FOUR)).select("path", "lo", "hi", "trials")) == sorted((T.identity(*p), *r) for p, *r in expected)
+
+
 def test_worked_examples_of_rates(spark):
     fifth = [(5, 0, "0.1", 150), (5, 1, "0.07", 150)]
     assert rows(M.merge_rate(catalogue.literal(spark, catalogue._FOUR + fifth)).drop("nodes")) == [(5, 1500, 850, 1.764706)]
@@ -90,6 +96,16 @@ def test_worked_examples_of_rates(spark):
     assert rows(M.merge_rate(catalogue.literal(spark, pairs)).drop("nodes")) == [(4, 800, 600, 1.333333)]
 
 
+def test_fig_four_trials_reads_orders(spark, sf):
+    got, told = on_tables(spark, sf, "fig_four_trials")
+    assert got == told and {r[-1] for r in got} >= {1, 2, 3}
+    # customers 4 to 7 are a study, 8 is one of its own
+    d = some_orders(spark, [(1, 4, "F", "2", "1992"), (2, 4, "O", "1", "1993"), (3, 5, "F", "2", "1992"), (4, 7, "F", "1", "1992"), (5, 8, "F", "2", "1992")])
+    got, told = on_tables(spark, d, "fig_four_trials")
+    first, then = T.identity((0, "0.1")), T.identity((0, "0.1"), (100, "0.05"))
+    assert got == told == sorted([("1", first, 0, 100, 3), ("1", first, 100, 150, 1), ("1", then, 100, 250, 1), ("2", first, 0, 100, 1)])
+
+
 def test_fig_fifth_trial_reads_orders(spark, sf):
     got, told = on_tables(spark, sf, "fig_fifth_trial")
     assert got == told and max(r[1] for r in got) == 5

@@ -214,6 +214,13 @@ def test_values_by_spark_equal_python(spark, sf):
         assert got == pytest.approx(expected, abs=1e-8)
 
 
+def test_hp_normalise_reads_lineitem(spark, sf):
+    got, told = on_tables(spark, sf, "hp_normalise")
+    assert got == told and sum(r[2] for r in got) == 3 * spark.read.parquet(f"{sf}/lineitem.parquet").count()
+    texts = {r[:2] for r in got}
+    assert {("exponential", "constant(0.1)"), ("linear", "constant(0.05)"), ("cosine", "constant(0)")} <= texts and not any(t.startswith("exponential") and t.endswith(",1)") for _, t in texts)
+
+
 def test_canonical_texts():
     assert H.Piece(5, "exponential", (0.1, 1.0)).text() == H.constant(0.10, 9)[0].text() == "constant(0.1)"
     assert H.step_decay(0.1, 0.1, [50, 200], 100) == H.step_decay(0.1, 0.1, [50], 100)

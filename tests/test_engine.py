@@ -214,6 +214,11 @@ def test_values_by_spark_equal_python(spark, sf):
         assert got == pytest.approx(expected, abs=1e-8)
 
 
+def test_hp_values_constant_reads_events(spark, sf):
+    got, told = on_tables(spark, sf, "hp_values_constant")
+    assert got == told and len(got) == spark.read.parquet(f"{sf}/events.parquet").count() and {r[2] for r in got} == {0.1}
+
+
 def test_hp_normalise_reads_lineitem(spark, sf):
     got, told = on_tables(spark, sf, "hp_normalise")
     assert got == told and sum(r[2] for r in got) == 3 * spark.read.parquet(f"{sf}/lineitem.parquet").count()

@@ -219,6 +219,12 @@ def test_hp_values_constant_reads_events(spark, sf):
     assert got == told and len(got) == spark.read.parquet(f"{sf}/events.parquet").count() and {r[2] for r in got} == {0.1}
 
 
+def test_hp_values_cosine_reads_events(spark, sf):
+    got, told = on_tables(spark, sf, "hp_values_cosine")
+    piece, = H.cosine(0.1, 100, 0.001)
+    assert got == told and all(v == pytest.approx(piece.value(t), abs=1e-8) for _, t, v in got) and len({r[1] for r in got}) > 90
+
+
 def test_hp_normalise_reads_lineitem(spark, sf):
     got, told = on_tables(spark, sf, "hp_normalise")
     assert got == told and sum(r[2] for r in got) == 3 * spark.read.parquet(f"{sf}/lineitem.parquet").count()

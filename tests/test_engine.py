@@ -208,7 +208,7 @@ def test_simulation_of_four_trials():
 
 
 def test_values_by_spark_equal_python(spark, sf):
-    for name, pieces in (("restarts", H.cosine_restarts(0.1, 20, 100)), ("cyclic", H.cyclic(0.001, 0.1, 10, 100)), ("warmup", H.warmup(10, 0.1, H.exponential(0.1, 0.9, 90)))):
+    for name, pieces in (("restarts", H.cosine_restarts(0.1, 20, 100)), ("warmup", H.warmup(10, 0.1, H.exponential(0.1, 0.9, 90)))):
         expected = [p.value(t) for p in pieces for t in range(p.length)]
         got = [r["value"] for r in catalogue.queries()[f"hp_values_{name}"](spark, sf).orderBy("step").collect()]
         assert got == pytest.approx(expected, abs=1e-8)
@@ -225,6 +225,16 @@ def test_hp_values_cosine_reads_events(spark, sf):
     assert got == told and all(v == pytest.approx(piece.value(t), abs=1e-8) for _, t, v in got) and len({r[1] for r in got}) > 90
 
 
+def test_hp_values_cyclic_reads_events(spark, sf, tmp_path):
+    got, told = on_tables(spark, sf, "hp_values_cyclic")
+    expected = [p.value(t) for p in H.cyclic(0.001, 0.1, 10, 100) for t in range(p.length)]
+    assert got == told and all(v == pytest.approx(expected[t], abs=1e-8) for _, t, v in got) and len({r[1] for r in got}) > 90
+    # reports beyond the setting's end, and without a step
+    spark.createDataFrame([(1, '{"k": 100}'), (2, '{"k": -1}'), (3, '{}'), (4, '{"k": 99}')], "event_id bigint, props string").coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    got, told = on_tables(spark, str(tmp_path), "hp_values_cyclic")
+    assert got == told and [r[2] for r in got] == [None, None, None, 0.0109]
+
+
 def test_hp_normalise_reads_lineitem(spark, sf):
     got, told = on_tables(spark, sf, "hp_normalise")
     assert got == told and sum(r[2] for r in got) == 3 * spark.read.parquet(f"{sf}/lineitem.parquet").count()

@@ -51,7 +51,7 @@ def test_merge_rate_equals_step_by_step(spark, seed):
     assert (r["total_steps"], r["unique_steps"]) == brute(pieces)
 
 
-@pytest.mark.parametrize("name", ["fig_plan_literal", "fig_plan_running", "fig_plan_tree"])
+@pytest.mark.parametrize("name", ["fig_plan_running", "fig_plan_tree"])
 def test_worked_examples(spark, sf, name):
     import duckdb
 
@@ -96,6 +96,16 @@ def test_worked_examples_of_rates(spark):
     assert rows(M.merge_rate(catalogue.literal(spark, pairs)).drop("nodes")) == [(4, 800, 600, 1.333333)]
 
 
+def test_worked_example_of_a_plan(spark):
+    n1, n2, n3, n4 = (T.identity(*x) for x in (catalogue._N1, catalogue._N2, catalogue._N3, catalogue._N4))
+    tree = [(n1, 10, 15), (n2, 20, 25), (n3, 20, 35), (n3, 35, 40), (n4, 40, 60)]
+    own = catalogue.fig_plan(spark)
+    assert rows(forest.from_plan(*own).select("path", "lo", "hi")) == sorted(tree)
+    assert rows(forest.from_plan(*own, "literal").select("path", "lo", "hi")) == sorted([*tree[:3], (n3, 20, 40), tree[4]])
+    held = spark.createDataFrame([(n3, 20, 35)], "path string, lo bigint, hi bigint")
+    assert rows(forest.from_plan(*own, running=held).select("path", "lo", "hi", "blocked")) == sorted([(n1, 10, 15, False), (n2, 20, 25, False), (n3, 35, 40, True), (n4, 40, 60, True)])
+
+
 def test_fig_four_trials_reads_orders(spark, sf):
     got, told = on_tables(spark, sf, "fig_four_trials")
     assert got == told and {r[-1] for r in got} >= {1, 2, 3}
@@ -120,6 +130,17 @@ def test_fig_two_pairs_reads_orders(spark, sf):
     assert on_tables(spark, d, "fig_two_pairs") == ([("7", 4, 800, 600, 1.333333), ("8", 1, 200, 200, 1.0)],) * 2
 
 
+#: The plan of the figure as orders: customers 1 to 4 have its four trials (an order's steps are 10 + 5 (key mod 3)).
+PLANNED = [(k, c, "F", p, "1992") for k, c, p in [(1, 1, "1"), (3, 2, "1"), (4, 2, "2"), (2, 3, "1"), (7, 3, "3"), (5, 4, "1"), (8, 4, "3"), (11, 4, "4")]]
+
+
+def test_fig_plan_literal_reads_orders(spark, sf):
+    got, told = on_tables(spark, sf, "fig_plan_literal")
+    assert got == told
+    n1, n2, n3, n4 = (T.identity(*x) for x in (catalogue._N1, catalogue._N2, catalogue._N3, catalogue._N4))
+    assert on_tables(spark, some_orders(spark, PLANNED), "fig_plan_literal") == (sorted([(n1, 10, 15), (n2, 20, 25), (n3, 20, 35), (n3, 20, 40), (n4, 40, 60)]),) * 2
+
+
 @pytest.mark.parametrize("seed", [4, 5])
 def test_insert_equals_merge_of_the_union(spark, seed):
     g = T.canonical(spark.createDataFrame(random_pieces(seed), PIECES))

@@ -312,6 +312,19 @@ def test_batches_resume_without_repeats():
         assert sorted(seen.tolist()) == list(range(n))
 
 
+def test_batch_slices_reads_events(spark, sf, tmp_path):
+    got, told = on_tables(spark, sf, "batch_slices")
+    assert got == told and len(got) == spark.read.parquet(f"{sf}/events.parquet").count()
+    # batches of 3, 3, 2, 2 rows are those that training takes; keys have gaps
+    for n in (0, 1, 2, 7, 10):
+        spark.range(n).select((F.col("id") * 7 + 100).alias("event_id")).repartition(4).write.parquet(f"{tmp_path}/{n}/events.parquet")
+        expected, at = [], 0
+        for batch, size in enumerate([3, 3, 2, 2]):
+            expected += [(batch, r, 7 * r + 100) for r in training.rows_at(0, at, size, n, 1).tolist()] if at < n else []
+            at += size
+        assert on_tables(spark, f"{tmp_path}/{n}", "batch_slices") == (sorted(expected),) * 2
+
+
 def test_shared_training_is_lossless(spark, sf):
     r = {x["mode"]: x for x in catalogue.queries()["study_grid_cutout"](spark, sf).collect()}
     assert r["trial"]["equal"] and r["stage"]["equal"] and r["stage"]["steps_run"] < r["trial"]["steps_run"]

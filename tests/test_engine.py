@@ -558,6 +558,16 @@ def test_experiments_behave_as_reported(spark, sf):
     assert all(r["best"] >= r["target"] for r in rows.values())
 
 
+def test_grid_work_reads_part(spark, sf, tmp_path):
+    got, told = on_tables(spark, sf, "grid_work")
+    assert got == told and len({r[0] for r in got}) == 6
+    # rates part at steps 10 and 20, batch sizes at 24: 10 + 2 * 14 + 4 * 96 different steps
+    parts = [("A/~B", 10, "Brand#1"), ("A/~B", 20, "Brand#2"), ("C", 130, "Brand#25"), ("C", 130, None), ("C", None, "Brand#x"), (None, 1, "Brand#1")]
+    spark.createDataFrame(parts, "p_type string, p_size int, p_brand string").coalesce(1).write.parquet(f"{tmp_path}/part.parquet")
+    expected = [("A/~B", "external", 580.0), ("A/~B", "stage", 522.0), ("A/~B", "trial", 580.0), ("C", "external", 220.0), ("C", "stage", 220.0), ("C", "trial", 220.0)]
+    assert on_tables(spark, str(tmp_path), "grid_work") == (expected, expected)
+
+
 def test_tuners_of_a_study(spark, sf):
     from stagewise import study
 
